@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 from annspark.llm.language_id import op2_language_id
+from annspark.llm.pii import op4_contextual_pii
+from annspark.llm.secrets import op3_secret_scan
 from annspark.llm.sentencepiece_codec import op8_sentencepiece_codec
 from annspark.llm.simhash import op6_simhash_near_dedup
 
 QUERIES = {
     "op2_language_id": op2_language_id,
+    "op3_secret_scan": op3_secret_scan,
+    "op4_contextual_pii": op4_contextual_pii,
     "op6_simhash_near_dedup": op6_simhash_near_dedup,
     "op8_sentencepiece_codec": op8_sentencepiece_codec,
 }
