@@ -37,7 +37,7 @@ from annspark.sources.tables import table
 SPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 #: The cache has two generations of at most so many chunks; long chunks aren't kept.
-CACHE_ENTRIES, CACHE_CHARS = 250_000, 64
+CACHE_ENTRIES, CACHE_CHARS = 400_000, 64
 MODEL = "piece_bpe_32k.model"
 
 
@@ -134,7 +134,10 @@ class Codec:
         self.strip_spaces = bool(norm.get(4, 1))
         self.escape_spaces = bool(norm.get(5, 1))
         self.kinds = kinds
-        self.rank = {p: (-s, i) for i, (p, s, k) in enumerate(zip(self.pieces, scores, kinds)) if k == NORMAL}
+        self.normal = {p: i for i, (p, k) in enumerate(zip(self.pieces, kinds)) if k == NORMAL}
+        order = {s: r for r, s in enumerate(sorted({scores[i] for i in self.normal.values()}, reverse=True))}
+        #: Merging order of each piece: equal scores share a rank, and the leftmost goes first.
+        self.rank = {p: order[scores[i]] for p, i in self.normal.items()}
         if any(SPACE in p.lstrip(SPACE) for p in self.rank):
             raise ValueError("a piece crosses from a word into a space")
         self.reserved = {p: i for i, (p, k) in enumerate(zip(self.pieces, kinds)) if k in (CONTROL, UNKNOWN, BYTE)}
@@ -194,9 +197,27 @@ class Codec:
 
     def merge(self, chunk: str) -> list[str]:
         """The BPE pieces of one chunk: best score first, then leftmost."""
+        if len(chunk) > CACHE_CHARS:
+            return self._merge_long(chunk)
+        rank, none = self.rank.get, len(self.pieces)
+        parts = list(chunk)
+        ranks = [rank(a + b, none) for a, b in zip(parts, parts[1:])]
+        while ranks:
+            best = min(ranks)
+            if best == none:
+                break
+            i = ranks.index(best)
+            new = parts[i] = parts[i] + parts.pop(i + 1)
+            del ranks[i]
+            if i:
+                ranks[i - 1] = rank(parts[i - 1] + new, none)
+            if i < len(ranks):
+                ranks[i] = rank(new + parts[i + 1], none)
+        return parts
+
+    def _merge_long(self, chunk: str) -> list[str]:
+        """The same through a heap and linked places, for long chunks."""
         rank = self.rank
-        if chunk in rank and len(chunk) == 1:
-            return [chunk]
         parts: list[str] = list(chunk)
         n = len(parts)
         left, right = list(range(-1, n - 1)), [*range(1, n), -1]
@@ -204,7 +225,7 @@ class Codec:
 
         def offer(i: int, j: int) -> None:
             if (r := rank.get(parts[i] + parts[j])) is not None:
-                heapq.heappush(heap, (r[0], i, j, len(parts[i]) + len(parts[j])))
+                heapq.heappush(heap, (r, i, j, len(parts[i]) + len(parts[j])))
 
         for i in range(n - 1):
             offer(i, i + 1)
@@ -229,10 +250,10 @@ class Codec:
         if got is None:
             pairs: list[int] = []
             for piece in self.merge(chunk):
-                known = self.rank.get(piece)
+                known = self.normal.get(piece)
                 raw = piece.encode("utf-8")
                 if known is not None:
-                    pairs += (known[1], len(raw))
+                    pairs += (known, len(raw))
                 elif self.has_bytes:
                     for b in raw:
                         pairs += (self.byte_ids[b], 1)
