@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+from annspark.llm import maxscore
+from annspark.llm.cross_polytope import op10_cross_polytope
 from annspark.llm.language_id import op2_language_id
+from annspark.llm.maxscore import op9_maxscore_top_k
+from annspark.llm.mixing import op7_mix_sources
 from annspark.llm.pii import op4_contextual_pii
 from annspark.llm.secrets import op3_secret_scan
 from annspark.llm.sentencepiece_codec import op8_sentencepiece_codec
@@ -13,7 +17,10 @@ QUERIES = {
     "op3_secret_scan": op3_secret_scan,
     "op4_contextual_pii": op4_contextual_pii,
     "op6_simhash_near_dedup": op6_simhash_near_dedup,
+    "op7_mix_sources": op7_mix_sources,
     "op8_sentencepiece_codec": op8_sentencepiece_codec,
+    "op9_maxscore_top_k": op9_maxscore_top_k,
+    "op10_cross_polytope": op10_cross_polytope,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op9_maxscore_top_k": maxscore.ORACLE}
