@@ -11,7 +11,10 @@ noisy-or over its confident patterns. Seeds keep score one. Tokens of the right
 shape behind a confident pattern become spans of kind `found_<kind>`.
 
 Only patterns that introduce at least MIN_SEEDS different seeds take part, so
-copies of one document add nothing. The graph has one row for each pattern and
+copies of one document add nothing. Precision is bounded first: a pattern's
+occurrences in the texts that hold any instance are at most those in the corpus,
+so a pattern that is too common there is out, and only what remains is counted
+over all texts. The graph has one row for each pattern and
 instance, whatever their occurrences, which also levels hot keys. Everything is
 built-in SQL functions; tables of a round are written to the shared folder.
 
@@ -83,11 +86,11 @@ def _scanned(rows: DataFrame, text: str) -> DataFrame:
 
 
 def scan(docs: DataFrame) -> DataFrame:
-    """doc_id, key (a hash of id and text), base spans and places of every row."""
+    """doc_id, key (a hash of id and text), base spans and places of every row, and the text where it has places."""
     rows = docs.select(
         F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), F.sha2(F.concat_ws("/", F.col("doc_id").cast("string"), F.col("text").cast("string")), 256).alias("key")
     )
-    return _scanned(rows, "text").select("doc_id", "key", "base", "places")
+    return _scanned(rows, "text").select("doc_id", "key", "base", "places", F.when(F.size("places") > 0, F.col("text")).alias("text"))
 
 
 def occurrences(docs: DataFrame, patterns: DataFrame) -> DataFrame:
@@ -108,12 +111,14 @@ def confident_patterns(docs: DataFrame, scanned: DataFrame, min_seeds: int = MIN
     able = stage(able, "pii-patterns")
     if not able.take(1):
         return able.select("pattern", "kind", F.lit(1.0).alias("confidence"))
-    counted = occurrences(docs, able.select("pattern").distinct())
-    able = able.join(counted, "pattern", "left").select(
-        "pattern", "kind", (F.col("times") / F.greatest(F.col("times"), F.coalesce("n", F.lit(0)))).alias("precision")
-    )
-    able = stage(able.where(F.col("precision") >= confident), "pii-precise")
-    edges = stage(edges.join(able, ["pattern", "kind"]).select("pattern", "kind", "instance", "seed", "precision", F.col("seed").cast("double").alias("score")), "pii-graph")
+    for texts in (scanned.where("text IS NOT NULL"), docs):
+        counted = occurrences(texts, able.select("pattern").distinct())
+        able = able.select("pattern", "kind", "times").join(counted, "pattern", "left")
+        able = able.withColumn("precision", F.col("times") / F.greatest(F.col("times"), F.coalesce("n", F.lit(0))))
+        able = stage(able.where(F.col("precision") >= confident).select("pattern", "kind", "times", "precision"), "pii-precise")
+        if not able.take(1):
+            return able.select("pattern", "kind", F.lit(1.0).alias("confidence"))
+    edges = stage(edges.drop("times").join(able, ["pattern", "kind"]).select("pattern", "kind", "instance", "seed", "precision", F.col("seed").cast("double").alias("score")), "pii-graph")
     scored = None
     for _ in range(rounds):
         scored = edges.groupBy("pattern", "kind").agg((F.avg("score") * F.max("precision")).alias("confidence"))
