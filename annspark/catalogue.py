@@ -5,10 +5,448 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+from annspark import oracles as O
+from annspark.functions.graphs import Params
+from annspark.functions.rules import ScaledBall, ScaledShiftedBall, ShiftedBall, UnitBall, alpha_bar_sql
+from annspark.operators import build, exact, measures, relational, search, selecting, theory
+from annspark.plans.session import stage
+from annspark.sources import vectors as V
+from annspark.sources.tables import table
+from annspark.streaming import serving
+
+#: Every query set is the rows whose id is divisible by this, against all other rows.
+EVERY = O.EVERY
+ALPHA, TAU = 1.05, 0.001
+SUPP_ALPHA, SUPP_TAU = 1.2, 0.05
+EMB = Params(K=20, M=32, L=40, C=200, alpha=1.05, tau=0.001)
+RULES = {"unit": UnitBall(), "shifted": ShiftedBall(0.01), "scaled": ScaledBall(1.05), "scaled_shifted": ScaledShiftedBall(1.05, 0.001)}
+DROPS = {"unit": "d_uv < d_pu", "shifted": "d_uv < d_pu - 0.03::DOUBLE", "scaled": "d_pu > 1.05::DOUBLE * d_uv", "scaled_shifted": f"d_pu > 1.05::DOUBLE * d_uv + {(1.05 + 1) * 0.001!r}::DOUBLE"}
+SUPP_DROP = f"d_pu > {SUPP_ALPHA}::DOUBLE * d_uv + {(SUPP_ALPHA + 1) * SUPP_TAU!r}::DOUBLE"
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
 
+def query(oracle: str | None = None, name: str | None = None) -> Callable[[Query], Query]:
+    def add(f: Query) -> Query:
+        QUERIES[name or f.__name__] = f
+        if oracle:
+            ORACLES[name or f.__name__] = oracle
+        return f
+
+    return add
+
+
+def rounded(df: DataFrame, *columns: str) -> DataFrame:
+    """Doubles to six places, without a negative zero."""
+    return df.withColumns({c: F.round(c, 6) + 0.0 for c in columns})
+
+
+def queries_of(points: DataFrame) -> DataFrame:
+    return exact.as_queries(points.where(F.pmod(F.col("vec_id"), F.lit(EVERY)) == 0))
+
+
+# -- exact search ----------------------------------------------------------------
+
+@query(O.exact_knn(O.EMB, 10))
+def exact_knn_emb(spark, d):
+    p = V.v_emb(spark, d)
+    return rounded(exact.exact_knn(p, queries_of(p), 10, skip_self=True), "dist")
+
+
+@query(O.exact_knn(O.PART, 5))
+def exact_knn_part(spark, d):
+    p = V.v_part(spark, d)
+    return rounded(exact.exact_knn(p, queries_of(p), 5, skip_self=True), "dist")
+
+
+@query(O.exact_knn(O.SUPP, 5))
+def exact_knn_supp(spark, d):
+    p = V.v_supp(spark, d)
+    return rounded(exact.exact_knn(p, queries_of(p), 5, skip_self=True), "dist")
+
+
+@query()
+def exact_knn_line(spark, d):
+    base, asked = V.hold_out(V.v_line(spark, d), EVERY)
+    return rounded(exact.exact_knn(base, exact.as_queries(asked), 10), "dist")
+
+
+@query(O.exact_knn("SELECT vec_id AS id, CAST(embedding AS DOUBLE[]) AS e, label FROM embeddings", 10, "b.label < 5"))
+def knn_filtered_label(spark, d):
+    p = V.v_emb(spark, d)
+    return rounded(exact.exact_knn(p.where("label < 5"), queries_of(p), 10, skip_self=True), "dist")
+
+
+@query(f"WITH pt AS ({O.EMB}) SELECT src, dst, round(dist, 6) AS dist, CAST(rank AS INTEGER) AS rank FROM (SELECT a.id AS src, b.id AS dst, list_distance(a.e, b.e) AS dist, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.e, b.e), b.id) AS rank FROM pt a JOIN pt b ON a.id <> b.id) WHERE rank <= 10")
+def exact_knn_graph(spark, d):
+    return rounded(exact.exact_knn_graph(V.v_emb(spark, d), 10), "dist")
+
+
+@query(f"WITH pt AS ({O.PART}) SELECT a.id AS l_id, b.id AS r_id, round(list_distance(a.e, b.e), 6) AS dist FROM pt a JOIN pt b ON list_distance(a.e, b.e) <= 0.05::DOUBLE")
+def tau_range_join(spark, d):
+    p = V.v_part(spark, d)
+    return rounded(exact.range_join(p, p, 0.05), "dist")
+
+
+# -- pruning rules over all candidates --------------------------------------------
+
+def _prune(rule: str) -> Query:
+    return lambda spark, d: rounded(build.full_graph(V.v_emb(spark, d), RULES[rule]), "dist")
+
+
+for _rule in RULES:
+    query(O.edges(O.EMB, DROPS[_rule]), f"prune_{_rule}")(_prune(_rule))
+
+
+@query(O.edges(O.SUPP, SUPP_DROP))
+def prune_supp_sql_form(spark, d):
+    """The filter as a fold of built-in functions."""
+    return rounded(build.full_graph_sql(V.v_supp(spark, d), ScaledShiftedBall(SUPP_ALPHA, SUPP_TAU), 2000), "dist")
+
+
+@query(f"""WITH pt AS ({O.EMB}), nn AS (SELECT * FROM (SELECT a.id AS p, b.id AS u, b.e AS e, list_distance(a.e, b.e) AS dp, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.e, b.e), b.id) AS rank FROM pt a JOIN pt b ON a.id <> b.id) WHERE rank <= 6)
+SELECT x.p AS p, x.u AS u, y.u AS v, round((x.dp - 0.001::DOUBLE) / (list_distance(x.e, y.e) + 0.001::DOUBLE), 6) AS alpha_bar FROM nn x JOIN nn y ON x.p = y.p AND y.rank < x.rank""")
+def alpha_bar_pairs(spark, d):
+    p = V.v_emb(spark, d)
+    nn = exact.exact_knn_graph(p, 6).join(p.select(F.col("vec_id").alias("dst"), F.col("embedding").alias("e")), "dst")
+    nn = stage(nn, "alpha-bar")
+    x = nn.select(F.col("src").alias("p"), F.col("dst").alias("u"), F.col("dist").alias("dp"), F.col("e").alias("ue"), F.col("rank").alias("ur"))
+    y = nn.select(F.col("src").alias("p"), F.col("dst").alias("v"), F.col("e").alias("ve"), F.col("rank").alias("vr"))
+    duv = F.sqrt(F.aggregate(F.zip_with("ue", "ve", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, z: s + z))
+    both = x.join(y, "p").where("vr < ur").withColumn("d_uv", duv)
+    return rounded(both.select("p", "u", "v", F.expr(alpha_bar_sql("dp", "d_uv", 0.001)).alias("alpha_bar")), "alpha_bar")
+
+
+# -- selection over nearest candidates ---------------------------------------------
+
+TOP, CAP = 60, 16
+
+
+@query(O.adaptive_joined(O.EMB, TOP, 32, 0.001, 0.9, 0.05, 15))
+def adaptive_select_emb(spark, d):
+    return selecting.adaptive(V.v_emb(spark, d), TOP, Params(M=32, tau=0.001))
+
+
+@query(O.edges(O.EMB, DROPS["scaled_shifted"], CAP, TOP))
+def fixed_select_emb(spark, d):
+    return rounded(selecting.fixed(V.v_emb(spark, d), TOP, RULES["scaled_shifted"], CAP), "dist")
+
+
+@query(f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])} SELECT src, dst, round(dist, 6) AS dist, CAST(rank AS INTEGER) AS rank FROM edges WHERE rank <= {CAP}")
+def cap_nearest(spark, d):
+    return rounded(build.cap_nearest(build.full_graph(V.v_emb(spark, d), RULES["scaled_shifted"]), CAP), "dist")
+
+
+_FORWARD = f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'], CAP, TOP)}, both_ways AS (SELECT src, dst, dist FROM edges UNION SELECT dst, src, dist FROM edges), uniq AS (SELECT src, dst, min(dist) AS dist FROM both_ways GROUP BY ALL)"
+
+
+@query(f"{_FORWARD} SELECT src, dst, round(min(dist), 6) AS dist FROM uniq GROUP BY src, dst")
+def backward_lazy_candidates(spark, d):
+    return rounded(build.backward_candidates(selecting.fixed(V.v_emb(spark, d), TOP, RULES["scaled_shifted"], CAP)), "dist")
+
+
+@query(f"{_FORWARD} SELECT src, count(DISTINCT dst) AS n FROM uniq GROUP BY src HAVING count(DISTINCT dst) > {CAP}")
+def backward_overflow(spark, d):
+    return build.overflow(build.backward_candidates(selecting.fixed(V.v_emb(spark, d), TOP, RULES["scaled_shifted"], CAP)), CAP)
+
+
+# -- structure ---------------------------------------------------------------------
+
+def _supp_graph(spark, d) -> tuple[DataFrame, DataFrame]:
+    p = stage(V.v_supp(spark, d), "supp")
+    return p, stage(build.full_graph(p, ScaledShiftedBall(SUPP_ALPHA, SUPP_TAU)), "supp-graph")
+
+
+_SUPP_EDGES = f"WITH RECURSIVE {O.folded(O.SUPP, SUPP_DROP)}"
+_PAIRS = "sp AS (SELECT a.id AS src, b.id AS dst, pr.d AS dist FROM pr JOIN pt a ON a.i = pr.p JOIN pt b ON b.i = pr.u WHERE pr.p <> pr.u)"
+
+
+@query(f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])}, deg AS (SELECT src, count(*) AS degree FROM edges GROUP BY src) SELECT count(*) AS vertices, CAST(sum(degree) AS BIGINT) AS edges, round(sum(degree) / count(*), 6) AS mean_degree, max(degree) AS max_degree, quantile_cont(degree, 0.5) AS p50, quantile_cont(degree, 0.9) AS p90 FROM deg")
+def fcg_degree_stats(spark, d):
+    return rounded(measures.degree_stats(build.full_graph(V.v_emb(spark, d), RULES["scaled_shifted"])), "mean_degree")
+
+
+@query(f"WITH RECURSIVE {O.folded(O.SUPP, SUPP_DROP)}, {_PAIRS}, dm AS (SELECT max(dist) AS m FROM sp) SELECT src, CAST(floor(log2(m / dist)) AS INTEGER) AS ring, count(*) AS n FROM sp, dm WHERE dist > 0 GROUP BY ALL")
+def ring_histogram(spark, d):
+    pairs = theory.pair_distances(V.v_supp(spark, d)).where("dist > 0")
+    return measures.ring_histogram(pairs, theory.aspect_ratio(pairs).first()["diameter"])
+
+
+@query(f"WITH pt AS ({O.EMB}), pr AS (SELECT list_distance(a.e, b.e) AS d FROM pt a JOIN pt b ON a.id <> b.id) SELECT round(max(d), 6) AS diameter, round(min(d), 6) AS smallest, round(max(d) / min(d), 6) AS ratio FROM pr WHERE d > 0")
+def aspect_ratio(spark, d):
+    return rounded(theory.aspect_ratio(theory.pair_distances(V.v_emb(spark, d))), "diameter", "smallest", "ratio")
+
+
+@query(f"WITH {O.knn(O.EMB, 1)} SELECT tau, round(avg(CASE WHEN dist <= tau THEN 1.0 ELSE 0.0 END), 6) AS share FROM knn, (SELECT unnest([0.8, 1.0, 1.1, 1.2]::DOUBLE[]) AS tau) GROUP BY tau")
+def tau_coverage(spark, d):
+    p = V.v_emb(spark, d)
+    return rounded(measures.tau_coverage(exact.exact_knn(p, queries_of(p), 1, skip_self=True), [0.8, 1.0, 1.1, 1.2]), "share")
+
+
+@query(f"WITH pt AS ({O.EMB}), c AS (SELECT i, avg(e[i]) AS m FROM pt, range(1, 65) t(i) GROUP BY i), cc AS (SELECT list(m ORDER BY i) AS m FROM c) SELECT arg_min(id, list_distance(e, m)) AS entry FROM pt, cc")
+def exact_entry(spark, d):
+    return spark.range(1).select(F.lit(build.exact_entry(V.v_emb(spark, d))).cast("long").alias("entry"))
+
+
+@query(f"{_SUPP_EDGES}, walk(id, hops) AS (SELECT min(id), 0 FROM pt UNION SELECT e.dst, w.hops + 1 FROM walk w JOIN edges e ON e.src = w.id WHERE w.hops < 12) SELECT id, CAST(min(hops) AS INTEGER) AS hops FROM walk GROUP BY id")
+def reachability_from_entry(spark, d):
+    p, g = _supp_graph(spark, d)
+    return build.reachable(g, p.agg(F.min("vec_id")).first()[0])
+
+
+# -- routing and guarantees ----------------------------------------------------------
+
+_EMB_GRAPH = f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])}"
+
+
+@query(f"""{_EMB_GRAPH},
+qd AS MATERIALIZED (SELECT q.id AS q_id, b.id AS vec_id, list_distance(q.e, b.e) AS dist FROM pt q, pt b WHERE q.id % {EVERY} = 0),
+route(q_id, hop, vec_id, dist) AS (
+    SELECT q_id, 0, vec_id, dist FROM qd WHERE vec_id = (SELECT min(id) FROM pt)
+    UNION ALL
+    SELECT r.q_id, r.hop + 1, nx.v, nx.d FROM route r, LATERAL (
+        SELECT arg_min(qd.vec_id, qd.dist) AS v, min(qd.dist) AS d FROM edges e JOIN qd ON qd.vec_id = e.dst AND qd.q_id = r.q_id WHERE e.src = r.vec_id) nx WHERE nx.d < r.dist
+)
+SELECT q_id, CAST(hop AS INTEGER) AS hop, vec_id, round(dist, 6) AS dist FROM route""")
+def greedy_route_fcg(spark, d):
+    p = stage(V.v_emb(spark, d), "emb")
+    g = build.full_graph(p, RULES["scaled_shifted"])
+    return rounded(search.greedy_routes(p, g, queries_of(p), p.agg(F.min("vec_id")).first()[0]), "dist")
+
+
+def _near_queries(p: DataFrame, tau: float) -> DataFrame:
+    """Base points moved by less than tau along one axis chosen by the id."""
+    move = F.lit(tau) * (F.col("vec_id") % 7) / 8
+    return p.select(F.col("vec_id").alias("q_id"), F.transform("embedding", lambda v, i: F.when(i == F.col("vec_id") % F.size("embedding"), v + move).otherwise(v)).alias("qvec"))
+
+
+_NEAR = f"""
+asked AS (SELECT id AS q_id, [CASE WHEN i - 1 = id % len(e) THEN e[i] + {SUPP_TAU}::DOUBLE * (id % 7) / 8 ELSE e[i] END FOR i IN range(1, len(e) + 1)] AS qe FROM pt),
+qd AS MATERIALIZED (SELECT q_id, id AS vec_id, list_distance(qe, e) AS dist FROM asked, pt),
+near AS (SELECT q_id, arg_min(vec_id, dist) AS v, min(dist) AS vd FROM qd GROUP BY q_id),
+route(q_id, hop, vec_id, dist) AS (
+    SELECT q_id, 0, vec_id, dist FROM qd WHERE vec_id = (SELECT min(id) FROM pt)
+    UNION ALL
+    SELECT r.q_id, r.hop + 1, nx.v, nx.d FROM route r, LATERAL (
+        SELECT arg_min(qd.vec_id, qd.dist) AS v, min(qd.dist) AS d FROM edges e JOIN qd ON qd.vec_id = e.dst AND qd.q_id = r.q_id WHERE e.src = r.vec_id) nx WHERE nx.d < r.dist
+),
+ended AS (SELECT q_id, max(hop) + 1 AS hops, min(dist) AS got FROM route GROUP BY q_id),
+ext AS (SELECT max(dist) AS dia, min(dist) AS low FROM sp WHERE dist > 0),
+lim AS (SELECT ln(4 * dia / low) / ln({SUPP_ALPHA}) + 2 AS bound FROM ext)"""
+_SUPP_SHIFT = f"{(SUPP_ALPHA + 1) * SUPP_TAU!r}::DOUBLE"
+
+
+@query(f"""{_SUPP_EDGES}, {_PAIRS}, {_NEAR},
+missing AS (SELECT src, dst, dist FROM sp WHERE NOT EXISTS (SELECT 1 FROM edges e WHERE e.src = sp.src AND e.dst = sp.dst))
+SELECT 'reducible' AS statement, count(*) AS violations FROM qd JOIN near USING (q_id)
+WHERE vd <= {SUPP_TAU} AND dist > vd AND vec_id <> v AND NOT EXISTS (
+    SELECT 1 FROM edges e JOIN qd n ON n.vec_id = e.dst WHERE e.src = qd.vec_id AND n.q_id = qd.q_id AND (e.dst = near.v OR n.dist <= qd.dist / {SUPP_ALPHA} + 1e-9))
+UNION ALL SELECT 'shortcut', count(*) FROM missing m WHERE NOT EXISTS (
+    SELECT 1 FROM edges e JOIN sp n ON n.src = e.dst AND n.dst = m.dst WHERE e.src = m.src AND m.dist > {SUPP_ALPHA} * n.dist + {_SUPP_SHIFT} - 1e-9)
+UNION ALL SELECT 'packing', count(*) FROM edges a JOIN edges b ON a.src = b.src AND a.dst < b.dst JOIN sp ON sp.src = a.dst AND sp.dst = b.dst
+    WHERE greatest(a.dist, b.dist) > {SUPP_ALPHA} * sp.dist + {_SUPP_SHIFT} + 1e-9
+UNION ALL SELECT 'inexact', count(*) FROM near JOIN ended USING (q_id) WHERE vd <= {SUPP_TAU} AND abs(got - vd) > 1e-9
+UNION ALL SELECT 'over_bound', count(*) FROM near JOIN ended USING (q_id), lim WHERE vd <= {SUPP_TAU} AND hops > bound
+UNION ALL SELECT 'ratio', count(*) FROM near JOIN ended USING (q_id) WHERE got > ({SUPP_ALPHA} + 1) / ({SUPP_ALPHA} - 1) * vd + 1e-9""")
+def guarantee_violations(spark, d):
+    """Each guarantee of the exact graph with its number of violations, which is zero for all."""
+    p, g = _supp_graph(spark, d)
+    pairs = stage(theory.pair_distances(p), "supp-pairs")
+    ext = theory.aspect_ratio(pairs).first()
+    asked = stage(_near_queries(p, SUPP_TAU), "supp-queries")
+    dist = stage(theory.query_distances(p, asked), "supp-distances")
+    truth = stage(exact.exact_knn(p, asked, 1), "supp-truth")
+    routes = stage(search.greedy_routes(p, g, asked, p.agg(F.min("vec_id")).first()[0]), "supp-routes")
+    bound = stage(theory.hops_bound(routes, truth, SUPP_ALPHA, SUPP_TAU, ext["diameter"], ext["smallest"]), "supp-bound")
+    checks = {
+        "reducible": theory.reducible_violations(g, dist, SUPP_ALPHA, SUPP_TAU),
+        "shortcut": theory.shortcut_violations(g, pairs, SUPP_ALPHA, SUPP_TAU),
+        "packing": theory.packing_violations(g, pairs, SUPP_ALPHA, SUPP_TAU),
+        "inexact": bound.where(~F.col("exact")), "over_bound": bound.where("hops > bound"),
+        "ratio": theory.ratio_bound_violations(routes, truth, SUPP_ALPHA),
+    }
+    parts = [v.agg(F.lit(k).alias("statement"), F.count("*").alias("violations")) for k, v in checks.items()]
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    return out
+
+
+@query(f"{_SUPP_EDGES}, {_PAIRS}, {_NEAR} SELECT q_id, hops, round(bound, 6) AS bound, abs(got - vd) <= 1e-9 AS exact FROM near JOIN ended USING (q_id), lim WHERE vd <= {SUPP_TAU}")
+def hops_bound_check(spark, d):
+    p, g = _supp_graph(spark, d)
+    ext = theory.aspect_ratio(theory.pair_distances(p)).first()
+    asked = stage(_near_queries(p, SUPP_TAU), "supp-queries")
+    routes = search.greedy_routes(p, g, asked, p.agg(F.min("vec_id")).first()[0])
+    found = theory.hops_bound(routes, exact.exact_knn(p, asked, 1), SUPP_ALPHA, SUPP_TAU, ext["diameter"], ext["smallest"])
+    return rounded(found, "bound")
+
+
+# -- indexes of every method -----------------------------------------------------------
+
+def _wide(method: str) -> Query:
+    """Search with the whole shard as queue: an index that reaches everything gives the exact answer."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        p = stage(V.v_emb(spark, d), "emb")
+        index = build.build_index(p, method, EMB)
+        found = search.search_index(index, queries_of(p), 11, [p.count()])
+        near = found.where("q_id <> vec_id")
+        return rounded(exact.top_k(near, 10), "dist")
+
+    return run
+
+
+for _method in ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana", "hnsw_plus", "vamana_plus"):
+    query(O.exact_knn(O.EMB, 10), f"{_method}_exhaustive")(_wide(_method))
+
+
+def method_curves(spark: SparkSession, points: DataFrame, methods: tuple[str, ...], params: Params, k: int, widths: list[int], every: int = EVERY) -> DataFrame:
+    """(method, width, recall, ndc, hops, edges_scanned) over a hold-out."""
+    points = stage(points.select("vec_id", "embedding"), "curve-points")
+    base, asked = V.hold_out(points, every)
+    asked = exact.as_queries(asked)
+    truth = stage(exact.exact_knn(base, asked, k), "curve-truth")
+    out = None
+    for method in methods:
+        index = build.build_index(base, method, params)
+        found = stage(search.search_index(index, asked, k, widths), "curve-found")
+        part = measures.curve(found, truth, k).select(F.lit(method).alias("method"), "width", "recall", "ndc", "hops", "edges_scanned")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+PRACTICAL = ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana")
+
+
+@query()
+def recall_table(spark, d):
+    """Every practical method on unit vectors: recall@10 and costs by queue width."""
+    return method_curves(spark, V.v_emb(spark, d), PRACTICAL, EMB, 10, [10, 15, 20, 40, 80])
+
+
+@query()
+def speedup_table(spark, d):
+    """Best baseline's cost over the adaptive graph's at recall 0.90."""
+    curves = stage(method_curves(spark, V.v_emb(spark, d), PRACTICAL, EMB, 10, [10, 15, 20, 40, 80]), "curves")
+    return measures.speedup_at_recall(curves, 0.9, "lcg_adaptive", ("nsg", "shifted_local", "hnsw", "vamana"))
+
+
+@query()
+def rule_transplant(spark, d):
+    """The two baselines with the scaled-shifted rule in place of their own."""
+    return method_curves(spark, V.v_emb(spark, d), ("hnsw", "hnsw_plus", "vamana", "vamana_plus", "lcg_adaptive"), EMB, 10, [10, 20, 40, 80])
+
+
+@query()
+def index_cost(spark, d):
+    """Size, degree and selection work of each method's index."""
+    p = stage(V.v_emb(spark, d), "emb")
+    out = None
+    for method in (*PRACTICAL, "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full", "fcg"):
+        index = stage(build.build_index(p, method, EMB), "cost-index")
+        one = measures.index_stats(index).join(measures.selection_work(index), F.lit(True)).select(F.lit(method).alias("method"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def nn_descent_recall(spark, d):
+    p = stage(V.v_emb(spark, d), "emb")
+    return measures.graph_recall(build.nn_descent(p, 20), exact.exact_knn_graph(p, 20), 20)
+
+
+@query()
+def sharded_search(spark, d):
+    """Adaptive graphs in four shards behind a router: recall@10 by the number of shards probed."""
+    p = stage(V.v_event(spark, d), "event")
+    base, asked = V.hold_out(p, EVERY)
+    asked = exact.as_queries(asked)
+    router = build.train_router(base, 8)
+    index = stage(build.build_index(base, "lcg_adaptive", Params(K=32, M=24, L=40, C=200, tau=0.005), router), "event-index")
+    truth = stage(exact.exact_knn(base, asked, 10), "event-truth")
+    out = None
+    for probes in (1, 2, 4):
+        part = measures.curve(search.search_index(index, asked, 10, [40], router, probes), truth, 10).withColumn("probes", F.lit(probes))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query(O.exact_knn(O.SUPP, 3))
+def bsp_beam_search(spark, d):
+    """Beam search as supersteps of joins, with a queue as wide as the graph."""
+    p = stage(V.v_supp(spark, d), "supp")
+    index = stage(build.build_index(p, "lcg_adaptive", Params(K=10, M=8, L=16, C=40, tau=0.01)), "supp-index")
+    found = search.bsp_search(index, queries_of(p), 4, p.count(), expand=16)
+    return rounded(exact.top_k(found.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 3), "dist")
+
+
+@query(O.exact_knn(O.SUPP, 5))
+def lsh_family(spark, d):
+    p = V.v_supp(spark, d)
+    near = search.lsh_knn(p, queries_of(p), 6, bucket=1e9)
+    return rounded(exact.top_k(near.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 5), "dist")
+
+
+@query(O.exact_knn(O.PART, 5))
+def cell_family(spark, d):
+    """Inverted cells, all probed."""
+    p = V.v_part(spark, d)
+    near = search.cell_knn(p, queries_of(p), 6, build.train_router(p, 6), 6)
+    return rounded(exact.top_k(near.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 5), "dist")
+
+
+# -- text ------------------------------------------------------------------------------
+
+_HASHED = """
+    w AS (SELECT {id} AS id, unnest(regexp_split_to_array(lower({text}), '[\\x20\\x09-\\x0D]+')) AS word FROM {table}),
+    h AS (SELECT id, CAST(concat('0x', substr(md5(word), 1, 8)) AS BIGINT) AS h FROM w WHERE word <> ''),
+    s AS (SELECT id, h % 128 AS bucket, sum(CASE WHEN (h // 128) % 2 = 0 THEN 1.0 ELSE -1.0 END) AS v FROM h GROUP BY ALL)
+"""
+
+
+@query("WITH " + _HASHED.format(id="item_id", text="text", table="benchmark") + ", n AS (SELECT id, sqrt(sum(v * v)) AS n FROM s GROUP BY id) SELECT id AS vec_id, CAST(bucket AS INTEGER) AS bucket, round(v / n, 6) AS value FROM s JOIN n USING (id) WHERE v <> 0")
+def text_hash_vectors(spark, d):
+    at = V.v_bench(spark, d).select("vec_id", F.posexplode("embedding").alias("bucket", "value")).where("value <> 0")
+    return rounded(at, "value")
+
+
+@query()
+def doc_near_copies(spark, d):
+    """Pairs of document classes within tau on hashed texts, copies collapsed first."""
+    points = stage(V.collapse_duplicates(V.v_doc(spark, d)), "doc-points")
+    return rounded(exact.range_join(points, points, 0.3).where("l_id < r_id"), "dist")
+
+
+@query()
+def bench_to_docs(spark, d):
+    """Each benchmark item's nearest documents by hashed words."""
+    return rounded(exact.exact_knn(V.v_doc(spark, d), exact.as_queries(V.v_bench(spark, d)), 5), "dist")
+
+
+# -- operators around the methods ---------------------------------------------------------
+
+for _name, (_run, _sql) in relational.QUERIES.items():
+    query(_sql, _name)(_run)
+for _name, (_run, _sql) in serving.QUERIES.items():
+    query(_sql, _name)(_run)
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """Greedy routing over the exact scaled-and-shifted graph: hops, answer and whether it is the nearest point."""
+    p = stage(V.v_emb(spark, sf_dir), "emb")
+    base, asked = V.hold_out(p, EVERY)
+    asked = exact.as_queries(asked)
+    graph = build.full_graph(base, RULES["scaled_shifted"])
+    routes = search.greedy_routes(base, graph, asked, build.exact_entry(base))
+    last = routes.groupBy("q_id").agg((F.max("hop") + 1).alias("hops"), F.max_by("vec_id", "hop").alias("answer"), F.min("dist").alias("dist"))
+    truth = exact.exact_knn(base, asked, 1).select("q_id", F.col("vec_id").alias("nearest"))
+    return last.join(truth, "q_id").select("q_id", "hops", "answer", "dist", (F.col("answer") == F.col("nearest")).alias("exact"))
+
+
+#: The documents' tables are read here too, so that a missing one shows at once.
+TABLE = table

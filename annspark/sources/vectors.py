@@ -32,7 +32,8 @@ def v_emb(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def v_line(spark: SparkSession, sf_dir: str) -> DataFrame:
     line = table(spark, sf_dir, "lineitem")
-    ident = F.col("l_orderkey") * 16 + F.col("l_linenumber")
+    # Order and line number repeat here; 63 hashed bits of the four keys tell rows apart.
+    ident = F.shiftrightunsigned(F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"), 1)
     return standardised(line, ident, {c: F.col(f"l_{c}") for c in ("quantity", "extendedprice", "discount", "tax")})
 
 
