@@ -11,7 +11,8 @@ bounds can still enter. The threshold carries over from batch to batch of a
 shard, and the shards' hits are merged.
 
 Scores are exact: components are integers, sums of them stay exact in doubles
-below 2**53, and larger ones are summed as 64-bit integers.
+below 2**53, and larger ones are summed as 64-bit integers (a score that needs
+more than 64 bits has no defined value).
 
 Defined cases: vectors that are null, empty or hold null or non-finite
 components take no part; only vectors of the query's length are its candidates;
