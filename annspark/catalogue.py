@@ -7,10 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from annspark import experiments
 from annspark import oracles as O
 from annspark.functions.graphs import Params
 from annspark.functions.rules import ScaledBall, ScaledShiftedBall, ShiftedBall, UnitBall, alpha_bar_sql
 from annspark.operators import build, exact, measures, relational, search, selecting, theory
+from annspark.plans import query_plan
 from annspark.plans.session import stage
 from annspark.sources import vectors as V
 from annspark.sources.tables import table
@@ -428,6 +430,22 @@ def bench_to_docs(spark, d):
     return rounded(exact.exact_knn(V.v_doc(spark, d), exact.as_queries(V.v_bench(spark, d)), 5), "dist")
 
 
+# -- experiment workloads ----------------------------------------------------------------
+
+for _name, _workload in experiments.WORKLOADS.items():
+    query(None, _name)(_workload)
+
+
+@query(O.exact_knn("SELECT vec_id AS id, CAST(embedding AS DOUBLE[]) AS e, label FROM embeddings", 10, "b.label < 5"))
+def filtered_search(spark, d):
+    """The planner's choice for a filtered request: the index, asked for more until the filter leaves k."""
+    p = stage(V.v_emb(spark, d), "emb")
+    index = stage(build.build_index(p, "lcg_adaptive", EMB), "emb-index")
+    asked = queries_of(p)
+    _, found = query_plan.answer(query_plan.AnnQuery(11, 40, F.col("label") < 5), p, index, asked)
+    return rounded(exact.top_k(found.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 10), "dist")
+
+
 # -- operators around the methods ---------------------------------------------------------
 
 for _name, (_run, _sql) in relational.QUERIES.items():

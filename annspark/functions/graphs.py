@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import heapq
 import math
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 
@@ -54,6 +54,11 @@ class Graph:
         return padded(self.neighbors)
 
 
+def replace_knn(p: Params) -> Params:
+    """The same parameters with candidates from the search alone."""
+    return replace(p, include_knn=False)
+
+
 def mix(i: np.ndarray | int, seed: int) -> np.ndarray:
     """A well-mixed unsigned 64-bit value for each integer."""
     z = np.asarray(i, np.uint64) + np.uint64((seed * 0x9E3779B97F4A7C15 + 0x9E3779B97F4A7C15) & (2**64 - 1))
@@ -190,16 +195,22 @@ def repair(x, neighbors, dists, entry: int, p: Params, metric: Metric) -> list[t
         added.append((u, v))
 
 
-def build_local(x: np.ndarray, p: Params, policy: str = "adaptive", backward: str = "lazy", metric: Metric = Metric(), knn=None) -> Graph:
+def prepare_local(x: np.ndarray, p: Params, metric: Metric = Metric()) -> tuple[int, list[tuple[np.ndarray, np.ndarray]]]:
+    """(entry, candidates): the phases that neither alpha nor tau touches, shared by sweeps over them."""
+    knn, knn_dist = exact_knn_graph(x, p.K, metric)
+    entry = find_entry(x, knn, p.L, metric, p.seed)
+    return entry, local_candidates(x, knn, knn_dist, entry, p, metric)
+
+
+def build_local(x: np.ndarray, p: Params, policy: str = "adaptive", backward: str = "lazy", metric: Metric = Metric(), prepared=None) -> Graph:
     """Candidates by search on a K-NN graph, selection by ``policy``, backward edges, repair."""
     n = len(x)
     if n == 1:
         return Graph([[]], [[]], 0)
-    knn, knn_dist = exact_knn_graph(x, p.K, metric) if knn is None else knn
-    entry = find_entry(x, knn, p.L, metric, p.seed)
+    entry, candidates = prepare_local(x, p, metric) if prepared is None else prepared
     select = make_select(policy, p, metric)
     neighbors, dists, log = [], [], []
-    for ids, d in local_candidates(x, knn, knn_dist, entry, p, metric):
+    for ids, d in candidates:
         got = select(d, x[ids])
         log.append(got)
         neighbors.append(ids[got.kept].tolist())
@@ -332,7 +343,7 @@ def search_layered(g: Graph, x, queries, width: int, k: int, metric: Metric = Me
     return got
 
 
-METHODS = ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana", "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full", "fcg")
+METHODS = ("lcg_adaptive", "lcg_fixed", "lcg_adaptive_eager", "nsg", "shifted_local", "hnsw", "vamana", "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full", "fcg")
 
 
 def build(method: str, x: np.ndarray, p: Params, metric: Metric = Metric()) -> Graph:
@@ -341,6 +352,8 @@ def build(method: str, x: np.ndarray, p: Params, metric: Metric = Metric()) -> G
         return Graph([[] for _ in x], [[] for _ in x], 0)
     if method == "lcg_adaptive":
         return build_local(x, p, "adaptive", "lazy", metric)
+    if method == "lcg_adaptive_eager":
+        return build_local(x, p, "adaptive", "eager", metric)
     if method == "lcg_fixed":
         return build_local(x, p, "fixed", "lazy", metric)
     if method == "nsg":
