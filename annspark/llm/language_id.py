@@ -48,7 +48,7 @@ SCRIPT_SHARE = 0.02
 #: The filter keeps texts in which the winner has at least this share of the letters.
 KEEP_SCORE = 0.3
 UNDETERMINED = "und"
-CACHE_ENTRIES, CACHE_CHARS = 400_000, 48
+CACHE_ENTRIES, CACHE_CHARS = 120_000, 48
 
 # First and last code point of common scripts' letters.
 SCRIPT_RANGES = (
@@ -72,12 +72,14 @@ def script_of(ch: str) -> str:
 
 
 class Model:
-    """Word and trigram scores of each language; plain dictionaries, so it travels to workers."""
+    """Word and trigram scores of each language: matrices with a row for each word, trigram and script."""
 
     def __init__(self, counts: list[tuple[str, str, int]]):
         self.langs = sorted({c[0] for c in counts})
         at = {x: i for i, x in enumerate(self.langs)}
         n = len(self.langs)
+        if not n:
+            return
         words: dict[str, list[float]] = defaultdict(lambda: [0.0] * n)
         grams: dict[str, list[float]] = defaultdict(lambda: [0.0] * n)
         contexts: dict[str, list[float]] = defaultdict(lambda: [0.0] * n)
@@ -92,32 +94,50 @@ class Model:
                 contexts[padded[k : k + 2]][i] += count
         total = np.array([sum(w[i] for w in words.values()) for i in range(n)])
         self.prior = int(total.argmax()) if n else 0
-        self.scripts: dict[str, list[bool]] = {}
-        for s in {s for c in scripts for s in c}:
-            self.scripts[s] = [c[s] >= SCRIPT_SHARE * max(1, sum(c.values())) for c in scripts]
+        #: Which languages use a script; the last row is for scripts none uses.
+        self.scripts = {s: i for i, s in enumerate(sorted({s for c in scripts for s in c}))}
+        allowed = [[c[s] >= SCRIPT_SHARE * max(1, sum(c.values())) for c in scripts] for s in self.scripts]
+        self.allowed = np.array([*allowed, [False] * n], bool)
         size = max(1, len(words))
-        self.words = {w: (np.log((np.array(c) + 0.5) / (total + 0.5 * size))).tolist() for w, c in words.items() if max(c) >= 2}
+        seen = {w: c for w, c in words.items() if max(c) >= 2}
+        self.words = {w: i for i, w in enumerate(seen)}
+        self.word_scores = np.log((np.array(list(seen.values())).reshape(-1, n) + 0.5) / (total + 0.5 * size)).astype(np.float32)
         letters = max(30, len({g[2] for g in grams}))
-        self.grams = {g: np.log((np.array(c) + 0.2) / (np.array(contexts[g[:2]]) + 0.2 * letters)).tolist() for g, c in grams.items()}
-        self.unseen = math.log(1 / letters)
-
-    def score(self, word: str) -> list[float]:
-        """Log scores of one lower-case word, the best candidate at zero; all zero if none uses its script."""
-        n = len(self.langs)
-        allowed = self.scripts.get(script_of(word[0]))
-        if not allowed or not any(allowed):
-            return [0.0] * n
-        got = self.words.get(word)
+        self.grams = {g: i for i, g in enumerate(grams, 1)}
+        above = np.array(list(grams.values())).reshape(-1, n) + 0.2
+        below = np.array([contexts[g[:2]] for g in grams]).reshape(-1, n) + 0.2 * letters
+        #: The first row is for trigrams that training never saw.
+        self.gram_scores = np.concatenate([np.full((1, n), math.log(1 / letters)), np.log(above / below)]).astype(np.float32)
+        self._script: dict[str, int] = {}
+
+    def script_row(self, ch: str) -> int:
+        got = self._script.get(ch)
         if got is None:
-            padded = f" {word} "
-            sums = [0.0] * n
-            for k in range(len(padded) - 2):
-                g = self.grams.get(padded[k : k + 3])
-                for i in range(n):
-                    sums[i] += g[i] if g else self.unseen
-            got = sums
-        best = max(x for x, ok in zip(got, allowed) if ok)
-        return [max(WORD_FLOOR, x - best) if ok else WORD_FLOOR for x, ok in zip(got, allowed)]
+            got = self._script[ch] = self.scripts.get(script_of(ch), len(self.scripts))
+        return got
+
+    def scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Log scores of lower-case words, the best candidate at zero, and whether any language uses the script.
+
+        A word whose script no language uses scores zero for all.
+        """
+        at = np.array([self.words.get(w, -1) for w in words], np.int64)
+        out = np.empty((len(words), len(self.langs)), np.float32)
+        out[at >= 0] = self.word_scores[at[at >= 0]]
+        new = np.flatnonzero(at < 0)
+        if len(new):
+            get, flat, ends = self.grams.get, [], []
+            for i in new.tolist():
+                w = f" {words[i]} "
+                ends.append(len(flat))
+                flat += [get(a + b + c, 0) for a, b, c in zip(w, w[1:], w[2:])]
+            out[new] = np.add.reduceat(self.gram_scores[flat], ends, axis=0)
+        allowed = self.allowed[[self.script_row(w[0]) for w in words]]
+        known = allowed.any(axis=1)
+        out = np.where(allowed, out, -np.inf)
+        best = out.max(axis=1, initial=-np.inf, keepdims=True)
+        out = np.maximum(np.where(known[:, None], out - np.where(known[:, None], best, 0), 0), WORD_FLOOR)
+        return out, known
 
 
 def viterbi(scores: np.ndarray, penalty: float) -> np.ndarray:
@@ -156,33 +176,44 @@ class Labeller:
     def _reset(self) -> None:
         k = len(self.model.langs)
         self.index: dict[str, int] = {}
-        self.table = np.zeros((1024, k))
+        self.table = np.zeros((1024, k), np.float32)
         self.letters = np.zeros(1024, np.int64)
         self.known = np.zeros(1024, bool)
 
-    def _add(self, token: str) -> int:
-        """The row of a token's summed word scores; a token without letters has none."""
-        i = len(self.index)
-        if i == len(self.table):
-            grow = min(i, 65536)
-            self.table = np.concatenate([self.table, np.zeros((grow, self.table.shape[1]))])
-            self.letters = np.concatenate([self.letters, np.zeros(grow, np.int64)])
-            self.known = np.concatenate([self.known, np.zeros(grow, bool)])
-        total = np.zeros(self.table.shape[1])
-        letters, known = 0, False
-        for word in _LETTERS.findall(token.lower()):
-            score = self.model.score(word)
-            total += score
-            letters += len(word)
-            known |= script_of(word[0]) in self.model.scripts
-        self.table[i] = np.maximum(total - total.max(), WORD_FLOOR) if len(total) else total
-        self.letters[i], self.known[i] = letters, known
-        self.index[token] = i
-        return i
+    def _add(self, tokens: list[str]) -> None:
+        """Rows of summed word scores for new tokens; a token without letters has no letters."""
+        words: list[str] = []
+        owner: list[int] = []
+        for j, token in enumerate(tokens):
+            if token.isalpha():
+                words.append(token.lower())
+                owner.append(j)
+            else:
+                parts = _LETTERS.findall(token.lower())
+                words += parts
+                owner += [j] * len(parts)
+        first, n = len(self.index), len(tokens)
+        while first + n > len(self.table):
+            self.table = np.concatenate([self.table, np.zeros_like(self.table)])
+            self.letters = np.concatenate([self.letters, np.zeros_like(self.letters)])
+            self.known = np.concatenate([self.known, np.zeros_like(self.known)])
+        self.index.update(zip(tokens, range(first, first + n)))
+        rows = slice(first, first + n)
+        if not words:
+            return
+        scores, known = self.model.scores(words)
+        at = np.array(owner)
+        total = np.stack([np.bincount(at, scores[:, i], n) for i in range(scores.shape[1])], axis=1)
+        self.table[rows] = np.maximum(total - total.max(axis=1, keepdims=True), WORD_FLOOR)
+        self.letters[rows] = np.bincount(at, list(map(len, words)), n)
+        self.known[rows] = np.bincount(at, known, n) > 0
 
     def rows(self, tokens: list[str]) -> np.ndarray:
-        index, add = self.index, self._add
-        return np.array([got if got is not None else add(t) for got, t in zip(map(index.get, tokens), tokens)], np.int64)
+        got = list(map(self.index.get, tokens))
+        if None in got:
+            self._add(list(dict.fromkeys(t for t, g in zip(tokens, got) if g is None)))
+            got = list(map(self.index.get, tokens))
+        return np.array(got, np.int64)
 
     def label(self, text: str | None) -> tuple[str, float, np.ndarray | None, np.ndarray | None]:
         """(language, score, path over the tokens that hold letters, those tokens' positions)."""
@@ -199,7 +230,7 @@ class Labeller:
             return UNDETERMINED, 0.0, None, None
         rows, letters = rows[at], letters[at]
         scores = self.table[rows]
-        total = np.cumsum(scores, axis=0)
+        total = np.cumsum(scores, axis=0, dtype=np.float64)
         best = int(total[-1].argmax())
         lead = total - total[:, best : best + 1]
         low = np.minimum(np.minimum.accumulate(lead, axis=0), 0)
