@@ -322,18 +322,22 @@ def label_spans(docs: DataFrame, model: Model) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame, model: Model, least: float = KEEP_SCORE) -> DataFrame:
-    """The rows, with all their columns, whose language is determined with a score of at least ``least``."""
+    """The rows, with all their columns, whose language is determined with a score of at least ``least``.
+
+    Only the text goes to Python and one flag a row comes back; the other
+    columns wait in the JVM.
+    """
     ship_package(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    at = docs.columns.index("text")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    @F.arrow_udf("boolean")
+    def identified(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         labeller = Labeller(shared.value)
-        for batch in batches:
-            got = [labeller.label(t.as_py()) for t in batch.column(at)]
-            yield batch.filter(pa.array([g[0] != UNDETERMINED and g[1] >= least for g in got], pa.bool_()))
+        for batch in texts:
+            got = (labeller.label(t.as_py()) for t in batch)
+            yield pa.array([g[0] != UNDETERMINED and g[1] >= least for g in got], pa.bool_())
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.where(identified(F.col("text").cast("string")))
 
 
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

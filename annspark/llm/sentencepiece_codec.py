@@ -37,7 +37,7 @@ from annspark.sources.tables import table
 SPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 #: The cache has two generations of at most so many chunks; long chunks aren't kept.
-CACHE_ENTRIES, CACHE_CHARS = 400_000, 64
+CACHE_ENTRIES, CACHE_CHARS = 200_000, 64
 MODEL = "piece_bpe_32k.model"
 
 
