@@ -98,7 +98,7 @@ def _batch(adjacency, x, queries, starts, width, metric, pools, traces) -> Found
         all_i = np.concatenate([ids[live], wide_i], axis=1)
         all_d = np.concatenate([dist[live], wide_d], axis=1)
         all_x = np.concatenate([done[live], ~new], axis=1)
-        order = np.lexsort((all_i, all_d), axis=1)[:, :width]
+        order = _order(all_d, all_i)[:, :width]
         ids[live] = np.take_along_axis(all_i, order, 1)
         dist[live] = np.take_along_axis(all_d, order, 1)
         done[live] = np.take_along_axis(all_x, order, 1)
@@ -111,6 +111,16 @@ def _batch(adjacency, x, queries, starts, width, metric, pools, traces) -> Found
     return out
 
 
+def _order(dist: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """The order of each row by (distance, id). The queue is sorted already, so a stable sort is quick; ids settle ties."""
+    order = np.argsort(dist, axis=1, kind="stable")
+    d = np.take_along_axis(dist, order, 1)
+    tied = np.flatnonzero(((d[:, 1:] == d[:, :-1]) & np.isfinite(d[:, 1:])).any(axis=1))
+    if len(tied):
+        order[tied] = np.lexsort((ids[tied], dist[tied]), axis=1)
+    return order
+
+
 def greedy_route(adjacency: np.ndarray, x: np.ndarray, queries: np.ndarray, entries: np.ndarray | int, metric: Metric = Metric()) -> Found:
     """Beam search of width one: a chain of falling distances whose last hop is the answer."""
     return beam_search(adjacency, x, queries, entries, 1, 1, metric, traces=True)
