@@ -37,7 +37,7 @@ from annspark.sources.tables import table
 SPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 #: The cache has two generations of at most so many chunks; long chunks aren't kept.
-CACHE_ENTRIES, CACHE_CHARS = 200_000, 64
+CACHE_ENTRIES, CACHE_CHARS = 250_000, 64
 MODEL = "piece_bpe_32k.model"
 
 
@@ -151,8 +151,11 @@ class Codec:
         ]
         self.is_byte = np.array([k == BYTE for k in kinds])
         self.identity = not self.char_map.units and not self.strip_spaces and self.escape_spaces
-        self.cache: dict[str, bytes] = {}
+        #: Words that follow one space: (id, original byte length) of their pieces, in two generations.
+        self.words: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
+        #: Chunks of texts that the quick way doesn't fit.
+        self.chunks: dict[str, list[int]] = {}
 
     # -- normalising ---------------------------------------------------------
 
@@ -244,28 +247,34 @@ class Codec:
                 offer(i, right[i])
         return [p for p in parts if p]
 
-    def chunk(self, chunk: str) -> bytes:
-        """(id, normalised byte length) of each piece of one chunk, as packed unsigned 32-bit integers."""
-        got = self.older.get(chunk)
+    def chunk(self, chunk: str) -> list[int]:
+        """id and normalised byte length of each piece of one chunk, in turn."""
+        pairs: list[int] = []
+        for piece in self.merge(chunk):
+            known = self.normal.get(piece)
+            raw = piece.encode("utf-8")
+            if known is not None:
+                pairs += (known, len(raw))
+            elif self.has_bytes:
+                for b in raw:
+                    pairs += (self.byte_ids[b], 1)
+            elif pairs and pairs[-2] == self.unknown:
+                pairs[-1] += len(raw)
+            else:
+                pairs += (self.unknown, len(raw))
+        return pairs
+
+    def word(self, word: str) -> bytes:
+        """id and original byte length of each piece of a space and a word, as packed unsigned 32-bit integers."""
+        got = self.older.get(word)
         if got is None:
-            pairs: list[int] = []
-            for piece in self.merge(chunk):
-                known = self.normal.get(piece)
-                raw = piece.encode("utf-8")
-                if known is not None:
-                    pairs += (known, len(raw))
-                elif self.has_bytes:
-                    for b in raw:
-                        pairs += (self.byte_ids[b], 1)
-                elif pairs and pairs[-2] == self.unknown:
-                    pairs[-1] += len(raw)
-                else:
-                    pairs += (self.unknown, len(raw))
+            pairs = self.chunk(SPACE + word)
+            pairs[1] -= 2  # the mark's three bytes stand for a space
             got = struct.pack(f"<{len(pairs)}I", *pairs)
-        if len(chunk) <= CACHE_CHARS:
-            if len(self.cache) >= CACHE_ENTRIES:
-                self.older, self.cache = self.cache, {}
-            self.cache[chunk] = got
+        if len(word) <= CACHE_CHARS:
+            if len(self.words) >= CACHE_ENTRIES:
+                self.older, self.words = self.words, {}
+            self.words[word] = got
         return got
 
     _chunks = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+").findall
@@ -276,21 +285,28 @@ class Codec:
         The begin and end ids have the empty spans at the text's ends.
         """
         text = text or ""
-        if self.identity:
-            normal = text.replace(" ", SPACE)
-            normal = SPACE + normal if text and self.dummy_prefix else normal
+        if self.identity and self.dummy_prefix and text and SPACE not in text and "  " not in text and text[0] != " " and text[-1] != " ":
+            # Words between single spaces: each is a chunk, the first one's space being the prefix.
+            words = text.split(" ")
+            packed = list(map(self.words.get, words))
+            if None in packed:
+                own = self.word
+                packed = [got if got is not None else own(w) for got, w in zip(packed, words)]
+            pairs = np.frombuffer(b"".join(packed), "<u4").reshape(-1, 2)
+            ids, stops = pairs[:, 0], np.cumsum(pairs[:, 1], dtype=np.int64) - 1
         else:
-            normal, source = self.normalise(text)
-        own = self.chunk
-        chunks = self._chunks(normal)
-        packed = [got if got is not None else own(c) for got, c in zip(map(self.cache.get, chunks), chunks)]
-        pairs = np.frombuffer(b"".join(packed), "<u4").reshape(-1, 2)
-        ids, ends = pairs[:, 0], np.cumsum(pairs[:, 1], dtype=np.int64)
-        if self.identity:
-            source = self._identity_source(text, normal, ends)
-            stops = source
-        else:
-            stops = source[ends]
+            if self.identity:
+                normal = text.replace(" ", SPACE)
+                normal = SPACE + normal if text and self.dummy_prefix else normal
+            else:
+                normal, source = self.normalise(text)
+            if len(self.chunks) > CACHE_ENTRIES // 4:
+                self.chunks.clear()
+            memo, own = self.chunks, self.chunk
+            packed = [memo.get(c) or (memo.setdefault(c, own(c)) if len(c) <= CACHE_CHARS else own(c)) for c in self._chunks(normal)]
+            pairs = np.array([n for p in packed for n in p], "<u4").reshape(-1, 2)
+            ids, ends = pairs[:, 0], np.cumsum(pairs[:, 1], dtype=np.int64)
+            stops = self._identity_source(text, normal, ends) if self.identity else source[ends]
         total = int(stops[-1]) if len(stops) else 0
         starts = np.concatenate([[0, 0], stops[:-1], [total]]) if len(stops) else np.zeros(2, np.int64)
         stops = np.concatenate([[0], stops, [total]]) if len(stops) else np.zeros(2, np.int64)
