@@ -33,6 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from annspark.plans.session import ship_package, stage
+from annspark.plans.skew import join_hot_apart
 from annspark.sources.tables import table
 
 SHINGLE_WORDS = 3
@@ -247,19 +248,15 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
 
 
 def near_duplicate_classes(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp, component_id, n_same) for each row of ``docs``.
-
-    component_id is the smallest doc_id of the class; n_same counts the rows
-    that have this very doc_id and fingerprint.
-    """
+    """(doc_id, fp, component_id) for each row of ``docs``; component_id is the smallest doc_id of the class."""
     each = stage(fingerprints(docs), "fingerprints")
     nodes = stage(each.groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("n")), "nodes")
     roots = stage(components(link_forest(nodes.select("fp"))), "roots")
     linked = roots.withColumnRenamed("node", "fp").unionByName(roots.select(F.col("root").alias("fp"), "root").distinct())
     linked = nodes.join(linked, "fp").select("fp", "root", "low")
     low = linked.groupBy("root").agg(F.min("low").alias("class_low"))
-    classes = nodes.join(linked.join(low, "root").select("fp", "class_low"), "fp", "left").select("fp", F.coalesce("class_low", "low").alias("component_id"))
-    return each.join(classes, "fp").select("doc_id", "fp", "component_id")
+    classes = nodes.join(linked.join(low, "root").select("fp", "class_low"), "fp", "left").select("fp", "n", F.coalesce("class_low", "low").alias("component_id"))
+    return join_hot_apart(each, stage(classes, "classes"), "fp", "n").select("doc_id", "fp", "component_id")
 
 
 def keep_representatives(docs: DataFrame) -> DataFrame:
