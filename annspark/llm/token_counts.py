@@ -28,6 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from annspark.plans.session import path_exists, ship_package, stage, staging_path
+from annspark.plans.skew import join_hot_apart
 from annspark.sources.tables import table
 
 KEYS = ("source", "lang", "tokenizer_version")
@@ -163,8 +164,9 @@ class TokenRollup:
 
 def exact_copies(counted: DataFrame) -> DataFrame:
     """Rows of ``counted`` whose text also stands under a smaller doc_id."""
-    first = counted.groupBy(F.col("text_hash").alias("_hash")).agg(F.min("doc_id").alias("_first"), F.count("*").alias("_n")).where("_n > 1")
-    return counted.join(first, counted["text_hash"] == first["_hash"]).where(F.col("doc_id") > F.col("_first")).select(*counted.columns)
+    first = counted.where("text_hash IS NOT NULL").groupBy("text_hash").agg(F.min("doc_id").alias("_first"), F.count("*").alias("_n")).where("_n > 1")
+    both = join_hot_apart(counted, stage(first, "token-firsts"), "text_hash", "_n")
+    return both.where(F.col("doc_id") > F.col("_first")).select(*counted.columns)
 
 
 def rollup_documents(spark: SparkSession, sf_dir: str, versions: tuple[str, ...]) -> DataFrame:
