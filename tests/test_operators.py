@@ -193,3 +193,21 @@ def test_reuse_and_lazy_pruning_save_work(spark, small):
 
 def test_theory_regime_flag():
     assert theory.theory_regime(1.2, 1.0, True, True, False) and not theory.theory_regime(1.2, 0.5, True, True, False)
+
+
+def test_functions_for_sql(spark):
+    from annspark.functions import sqlfns
+
+    x = points(80)
+    p = frame(spark, x)
+    sqlfns.register(spark)
+    sqlfns.register_index(spark, build.build_index(p, "lcg_adaptive", Params(K=8, M=8, L=10, C=30)))
+    p.createOrReplaceTempView("pts")
+    row = spark.sql("SELECT l2_distance(array(0D, 3D), array(4D, 0D)) AS a, l1_distance(array(0D, 3D), array(4D, 0D)) AS b, chord_distance(array(2D, 0D), array(0D, 5D)) AS c, angular_distance(array(2D, 0D), array(0D, 5D)) AS d, l2_distance(NULL, array(1D)) AS e, unit_norm(array(3D, 4D)) AS f").first()
+    assert (row.a, row.b, row.c, row.d, row.e, row.f) == (5.0, 7.0, pytest.approx(2**0.5), pytest.approx(np.pi / 2), None, [0.6, 0.8])
+    got = spark.sql("SELECT q.vec_id AS q, t.vec_id AS v FROM pts q, LATERAL ann_topk(q.embedding, 1, 80) t").collect()
+    assert len(got) == 80 and all(r.q == r.v for r in got)
+    trace = spark.sql("SELECT t.* FROM pts q, LATERAL ann_trace(q.embedding) t WHERE q.vec_id = 5 ORDER BY hop").collect()
+    assert all(a.dist > b.dist for a, b in zip(trace, trace[1:]))
+    merged = spark.sql("SELECT topk_merge(d, i, 2) AS m FROM VALUES (2D, 7L), (1D, 9L), (1D, 8L) AS t(d, i)").first().m
+    assert merged == [8, 9]
