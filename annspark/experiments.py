@@ -27,9 +27,9 @@ PARAMS = {
     "v_emb": G.Params(K=20, M=32, L=40, C=200, alpha=1.05, tau=0.001),
     "v_event": G.Params(K=40, M=24, L=60, C=300, alpha=1.2, tau=0.005),
     "v_part": G.Params(K=30, M=24, L=40, C=200, alpha=1.2, tau=0.005),
-    "v_doc": G.Params(K=30, M=32, L=40, C=200, alpha=1.05, tau=0.01),
+    "v_doc": G.Params(K=40, M=40, L=60, C=400, alpha=1.05, tau=0.01),
 }
-WIDTHS = [10, 15, 20, 30, 40, 80]
+WIDTHS = [10, 15, 20, 30, 40, 80, 160]
 #: Points that one shard of an experiment holds; larger views get more shards.
 SHARD_POINTS = 12_500
 
@@ -94,6 +94,14 @@ def tau_search(spark: SparkSession, sf_dir: str, view: str = "v_emb") -> DataFra
     return tune.tune_tau(base.where(~tuning), exact.as_queries(base.where(tuning)), PARAMS[view], 10, WIDTHS)
 
 
+def alpha_search(spark: SparkSession, sf_dir: str, view: str = "v_emb") -> DataFrame:
+    """Three values of alpha on the tuning queries, by the fixed variant's cost."""
+    base, _ = split(spark, sf_dir, view)
+    tuning = F.pmod(F.col("vec_id"), F.lit(EVERY)) == 1
+    p = PARAMS[view]
+    return tune.tune_alpha(base.where(~tuning), exact.as_queries(base.where(tuning)), p, 10, WIDTHS, (1.0, p.alpha, 1.1))
+
+
 def build_cost(spark: SparkSession, sf_dir: str, view: str = "v_emb") -> DataFrame:
     """(method, build_s, vertices, edges, index_mb, vector_mb, mean_degree, max_degree, pairs, selections, repair_edges)."""
     base, _ = split(spark, sf_dir, view)
@@ -110,7 +118,7 @@ def build_cost(spark: SparkSession, sf_dir: str, view: str = "v_emb") -> DataFra
     return out
 
 
-def transplant(spark: SparkSession, sf_dir: str, view: str = "v_emb") -> DataFrame:
+def transplant(spark: SparkSession, sf_dir: str, view: str = "v_doc") -> DataFrame:
     """The two insertion baselines with their own rule and with the scaled-shifted one."""
     return curves(spark, sf_dir, view, ("hnsw", "hnsw_plus", "vamana", "vamana_plus", "lcg_adaptive"))
 
@@ -218,8 +226,8 @@ def text_retrieval(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 WORKLOADS = {
     "w01_curves_emb": lambda s, d: curves(s, d, "v_emb"), "w01_curves_part": lambda s, d: curves(s, d, "v_part"), "w01_curves_doc": lambda s, d: curves(s, d, "v_doc"),
-    "w03_speedups_emb": lambda s, d: cost_at_levels(s, d, "v_emb"), "w03_speedups_part": lambda s, d: cost_at_levels(s, d, "v_part"), "w04_scalability": scalability,
-    "w05_tau_effect": tau_effect, "w06_alpha_effect": alpha_effect, "w07_build_cost": build_cost, "w08_transplant": transplant, "w09_reuse": reuse, "w10_backward": backward,
+    "w03_speedups_emb": lambda s, d: cost_at_levels(s, d, "v_emb"), "w03_speedups_part": lambda s, d: cost_at_levels(s, d, "v_part"), "w03_speedups_doc": lambda s, d: cost_at_levels(s, d, "v_doc", (0.8, 0.9, 0.95)), "w04_scalability": scalability,
+    "w05_tau_effect": tau_effect, "w06_alpha_effect": alpha_effect, "w06_alpha_search": alpha_search, "w07_build_cost": build_cost, "w08_transplant": transplant, "w09_reuse": reuse, "w10_backward": backward,
     "w12_tau_search": tau_search, "w13_rules": rules_compared, "w15_text_retrieval": text_retrieval, "w16_statistics": dataset_statistics,
     "candidate_quality": candidate_quality, "self_findability": self_findability,
 }

@@ -44,12 +44,15 @@ def cost_at_recall(curves: DataFrame, target: float, by: tuple[str, ...] = ("met
 
 
 def speedup_at_recall(curves: DataFrame, target: float, ours: str, baselines: tuple[str, ...]) -> DataFrame:
-    """(measure, ours, best_baseline, value, speedup): the best baseline's cost over ours, at equal recall."""
+    """(measure, ours, best_baseline, value, speedup): the best baseline's cost over ours, at equal recall.
+
+    Where no baseline reaches the target, its columns and the speedup are null.
+    """
     at = cost_at_recall(curves, target)
     long = at.unpivot(["method"], ["ndc", "hops"], "measure", "value")
     mine = long.where(F.col("method") == ours).select("measure", F.col("value").alias("ours"))
     best = long.where(F.col("method").isin(*baselines)).groupBy("measure").agg(F.min("value").alias("value"), F.min_by("method", "value").alias("best_baseline"))
-    return best.join(mine, "measure", "left").select("measure", "ours", "best_baseline", "value", (F.col("value") / F.col("ours")).alias("speedup"))
+    return mine.join(best, "measure", "left").select("measure", "ours", "best_baseline", "value", (F.col("value") / F.col("ours")).alias("speedup"))
 
 
 def degree_stats(edges: DataFrame, n: int | None = None) -> DataFrame:
