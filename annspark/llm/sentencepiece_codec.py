@@ -39,6 +39,8 @@ NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 #: The cache has two generations of at most so many chunks; long chunks aren't kept.
 CACHE_ENTRIES, CACHE_CHARS = 250_000, 64
 MODEL = "piece_bpe_32k.model"
+#: Places between a letter and an ASCII mark, digit or control character.
+_CUT = re.compile(r"(?<=[^\W\d_²³¹])(?=[\x00-\x1f!-@\[-`{-~])|(?<=[\x00-\x1f!-@\[-`{-~])(?=[^\W\d_²³¹])")
 
 
 def default_model_path() -> str:
@@ -140,6 +142,8 @@ class Codec:
         self.rank = {p: order[scores[i]] for p, i in self.normal.items()}
         if any(SPACE in p.lstrip(SPACE) for p in self.rank):
             raise ValueError("a piece crosses from a word into a space")
+        #: Whether letters and ASCII marks never share a piece; merges then don't cross from one to the other.
+        self.cuts = not any(_CUT.search(p) for p in self.rank)
         self.reserved = {p: i for i, (p, k) in enumerate(zip(self.pieces, kinds)) if k in (CONTROL, UNKNOWN, BYTE)}
         self.unknown = kinds.index(UNKNOWN)
         self.bos, self.eos = self.reserved.get("<s>", -1), self.reserved.get("</s>", -1)
@@ -265,18 +269,35 @@ class Codec:
         return pairs
 
     def word(self, word: str) -> bytes:
-        """id and original byte length of each piece of a space and a word, as packed unsigned 32-bit integers."""
+        """id and original byte length of each piece of a space and a word, as packed unsigned 32-bit integers.
+
+        Marks around letters are merged apart from them, so that a word is one
+        entry whatever stands after it.
+        """
         got = self.older.get(word)
         if got is None:
-            pairs = self.chunk(SPACE + word)
-            pairs[1] -= 2  # the mark's three bytes stand for a space
-            got = struct.pack(f"<{len(pairs)}I", *pairs)
+            parts = _CUT.split(word) if self.cuts and not word.isalpha() else [word]
+            if len(parts) > 1:
+                got = (self.words.get(parts[0]) or self.word(parts[0])) + b"".join(map(self._part, parts[1:]))
+            else:
+                pairs = self.chunk(SPACE + word)
+                pairs[1] -= 2  # the mark's three bytes stand for a space
+                got = struct.pack(f"<{len(pairs)}I", *pairs)
         if len(word) <= CACHE_CHARS:
             if len(self.words) >= CACHE_ENTRIES:
                 self.older, self.words = self.words, {}
             self.words[word] = got
         return got
 
+    def _part(self, part: str) -> bytes:
+        """The same for a part that follows no space."""
+        pairs = self.chunks.get(part)
+        if pairs is None:
+            pairs = self.chunk(part)
+            if len(part) <= CACHE_CHARS and len(self.chunks) <= CACHE_ENTRIES // 4:
+                self.chunks[part] = pairs
+        return struct.pack(f"<{len(pairs)}I", *pairs)
+
     _chunks = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+").findall
 
     def encode(self, text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
