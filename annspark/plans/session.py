@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 _PACKAGE = Path(__file__).resolve().parents[1]
 _shipped: set[str] = set()
 _own_dirs: dict[str, str] = {}
+_staged: dict[str, list[str]] = {}
 
 
 def ship_package(spark: SparkSession) -> None:
@@ -53,8 +54,20 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def staging_path(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder."""
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    """A fresh path in the shared folder, remembered for release_staged."""
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _staged.setdefault(spark.sparkContext.applicationId, []).append(path)
+    return path
+
+
+def release_staged(spark: SparkSession) -> int:
+    """Delete what this application has staged so far; call it when no result that reads it is needed any more."""
+    paths = _staged.pop(spark.sparkContext.applicationId, [])
+    jvm = spark.sparkContext._jvm
+    for path in paths:
+        p = jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+    return len(paths)
 
 
 def stage(df: DataFrame, name: str) -> DataFrame:

@@ -211,3 +211,11 @@ def test_functions_for_sql(spark):
     assert all(a.dist > b.dist for a, b in zip(trace, trace[1:]))
     merged = spark.sql("SELECT topk_merge(d, i, 2) AS m FROM VALUES (2D, 7L), (1D, 9L), (1D, 8L) AS t(d, i)").first().m
     assert merged == [8, 9]
+
+
+def test_staged_tables_can_be_released(spark):
+    from annspark.plans import session
+
+    session.release_staged(spark)
+    df = session.stage(frame(spark, points(5)), "released")
+    assert df.count() == 5 and session.release_staged(spark) == 1 and session.release_staged(spark) == 0
