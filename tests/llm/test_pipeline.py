@@ -51,3 +51,9 @@ def test_run_is_deterministic(spark):
 def test_registry_has_each_operator():
     assert sorted(int(n[2:].split("_")[0]) for n in registry.QUERIES if n.startswith("op")) == list(range(1, 11))
     assert secrets.MARKS["random"] == "[SECRET]" and registry.ORACLES
+
+
+def test_edge_and_empty_tables(spark, edge, empty, folder_of):
+    got = corpus_pipeline.run(spark, folder_of("documents", edge)).collect()
+    assert {r.doc_id for r in got} <= {4, 5, 6, 7, 8, None} and got
+    assert corpus_pipeline.run(spark, folder_of("documents", empty)).count() == 0
