@@ -48,15 +48,18 @@ class Metric:
             out[i : i + step] = self.of_differences(a[i : i + step, None, :] - b[None, :, :])
         return out
 
-    def nearest(self, a: np.ndarray, b: np.ndarray, b_ids: np.ndarray, k: int, skip: np.ndarray | None = None, block: int = 512) -> tuple[np.ndarray, np.ndarray]:
+    def nearest(
+        self, a: np.ndarray, b: np.ndarray, b_ids: np.ndarray, k: int, skip: np.ndarray | None = None, block: int = 512, bound: np.ndarray | None = None
+    ) -> tuple[np.ndarray, np.ndarray]:
         """(ids, distances) of the k rows of ``b`` nearest to each row of ``a``, by (distance, id).
 
-        ``skip`` has an id for each row of ``a`` that isn't its own neighbour.
-        A matrix product ranks coarsely; what can be among the k is measured again
-        by direct differences. Missing places hold id -1 and infinity.
+        ``skip`` has an id for each row of ``a`` that isn't its own neighbour;
+        ``bound`` has a distance beyond which a neighbour is of no use, and such
+        ones may be left out. A matrix product ranks coarsely; what can be among
+        the k is measured again by direct differences. Missing places hold id -1
+        and infinity.
         """
         n = len(b)
-        k_all = min(k, n)
         ids, dist = np.full((len(a), k), -1, np.int64), np.full((len(a), k), np.inf)
         if not n:
             return ids, dist
@@ -73,12 +76,23 @@ class Metric:
                 coarse, slack = self.cross(x, b), 1e-12
             if skip is not None:
                 coarse[skip[i : i + block][:, None] == b_ids[None, :]] = np.inf
-            cut = np.partition(coarse, k_all - 1, axis=1)[:, k_all - 1] if k_all < n else np.full(len(x), np.inf)
-            for r in range(len(x)):
-                near = np.flatnonzero(coarse[r] <= cut[r] + slack) if np.isfinite(cut[r]) else np.flatnonzero(np.isfinite(coarse[r]))
-                d = self.rows(b[near], x[r])
-                order = np.lexsort((b_ids[near], d))[:k]
-                ids[i + r, : len(order)], dist[i + r, : len(order)] = b_ids[near][order], d[order]
+            cut = np.full(len(x), np.inf)
+            if bound is not None:
+                lim = bound[i : i + block]
+                lim = 2 * np.sin(np.minimum(lim, np.pi) / 2) if self.name == "angular" else lim
+                cut = (lim * lim if euclid else lim) * (1 + 1e-12)
+            many = np.flatnonzero((coarse <= cut[:, None] + slack).sum(axis=1) > k) if n > k else np.empty(0, np.int64)
+            if len(many):
+                cut[many] = np.minimum(cut[many], np.partition(coarse[many], k - 1, axis=1)[:, k - 1])
+            rows, cols = np.nonzero((coarse <= cut[:, None] + slack) & np.isfinite(coarse))
+            if not len(rows):
+                continue
+            d = self.rows(b[cols], x[rows])
+            order = np.lexsort((b_ids[cols], d, rows))
+            rows, cols, d = rows[order], cols[order], d[order]
+            place = np.arange(len(rows)) - np.searchsorted(rows, rows)
+            top = place < k
+            ids[i + rows[top], place[top]], dist[i + rows[top], place[top]] = b_ids[cols[top]], d[top]
         return ids, dist
 
 

@@ -68,7 +68,8 @@ def exact_knn(base: DataFrame, queries: DataFrame, k: int, metric: str = "l2", s
                 if not batch.num_rows:
                     continue
                 b_ids = batch.column(0).to_numpy()
-                got_i, got_d = space.nearest(q, space.prepare(to_matrix(batch.column(1))), b_ids, k, ids if skip_self else None)
+                bound = best_d[:, -1] if best_d.shape[1] == k else None
+                got_i, got_d = space.nearest(q, space.prepare(to_matrix(batch.column(1))), b_ids, k, ids if skip_self else None, bound=bound)
                 best_i, best_d = np.concatenate([best_i, got_i], axis=1), np.concatenate([best_d, got_d], axis=1)
                 order = np.lexsort((best_i, best_d), axis=1)[:, :k]
                 best_i, best_d = np.take_along_axis(best_i, order, 1), np.take_along_axis(best_d, order, 1)

@@ -40,8 +40,10 @@ def test_exact_search_over_partitions_and_blocks(spark, monkeypatch):
     x, q = points(300), points(40, seed=2)
     monkeypatch.setattr(exact, "QUERY_BLOCK", 16)
     asked = exact.as_queries(frame(spark, q, 1000))
-    for parts in (1, 5):
+    for parts, rows in ((1, 10_000), (5, 10_000), (2, 7), (1, 2)):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
         got = exact.exact_knn(frame(spark, x).repartition(parts), asked, 4).collect()
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
         for i, row in enumerate(q):
             d = np.sqrt(((x - row) ** 2).sum(1))
             assert [r.vec_id for r in sorted(got, key=lambda r: r["rank"]) if r.q_id == 1000 + i] == np.argsort(d)[:4].tolist()
