@@ -53,6 +53,13 @@ def test_held_out_accuracy(spark):
     assert share >= 0.97
 
 
+def test_held_out_rows_follow_the_checksum(spark):
+    import zlib
+
+    ids = spark.range(50).select(F.col("id"), L.is_held_out(F.col("id")).alias("out")).collect()
+    assert all(r.out == (zlib.crc32(str(r.id).encode()) % 4 == 2) for r in ids)
+
+
 def test_edges(edge, empty, spark):
     model = L.fit(edge)
     rows = {(r.doc_id, r.lang_pred) for r in L.predict(edge, model).collect()}
