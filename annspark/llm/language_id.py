@@ -39,7 +39,7 @@ from annspark.plans.session import ship_package
 from annspark.sources.tables import table
 
 SAMPLE_ROWS = 1500
-MODEL_ROWS = 200_000
+MODEL_ROWS = 100_000
 SWITCH_PENALTY = 12.0
 #: A word's score is cut at so much below its best language.
 WORD_FLOOR = -6.0
@@ -285,8 +285,8 @@ def fit(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, model_rows: int = MODEL
     chosen = may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < F.try_element_at(rates, F.col("lang")) * 1_000_000)
     words = chosen.select("lang", F.explode(F.expr(r"regexp_extract_all(lower(text), '\\p{L}+', 0)")).alias("word"))
     counts = words.where(F.length("word") <= CACHE_CHARS).groupBy("lang", "word").agg(F.count("*").alias("n"))
-    kept = counts.orderBy(F.desc("n"), "lang", "word").limit(model_rows).collect()
-    return Model([(r.lang, r.word, r.n) for r in kept])
+    kept = counts.orderBy(F.desc("n"), "lang", "word").limit(model_rows).toArrow()
+    return Model(list(zip(*(kept.column(c).to_pylist() for c in ("lang", "word", "n")))))
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
