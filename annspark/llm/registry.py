@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-from annspark.llm import maxscore, token_counts
-from annspark.llm.chat_format import op5_chat_format
+from annspark.llm import chat_format, maxscore, token_counts
 from annspark.llm.cross_polytope import op10_cross_polytope
 from annspark.llm.language_id import op2_language_id
 from annspark.llm.maxscore import op9_maxscore_top_k
@@ -18,7 +17,7 @@ QUERIES = {
     "op2_language_id": op2_language_id,
     "op3_secret_scan": op3_secret_scan,
     "op4_contextual_pii": op4_contextual_pii,
-    "op5_chat_format": op5_chat_format,
+    "op5_chat_format": chat_format.op5_chat_format,
     "op6_simhash_near_dedup": op6_simhash_near_dedup,
     "op7_mix_sources": op7_mix_sources,
     "op8_sentencepiece_codec": op8_sentencepiece_codec,
@@ -27,4 +26,4 @@ QUERIES = {
     "token_rollup_words": token_counts.token_rollup_words,
 }
 
-ORACLES: dict[str, str] = {"op9_maxscore_top_k": maxscore.ORACLE, "token_rollup_words": token_counts.ORACLE_WORDS}
+ORACLES: dict[str, str] = {"op5_chat_format": chat_format.ORACLE, "op9_maxscore_top_k": maxscore.ORACLE, "token_rollup_words": token_counts.ORACLE_WORDS}

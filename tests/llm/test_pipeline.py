@@ -57,3 +57,16 @@ def test_edge_and_empty_tables(spark, edge, empty, folder_of):
     got = corpus_pipeline.run(spark, folder_of("documents", edge)).collect()
     assert {r.doc_id for r in got} <= {4, 5, 6, 7, 8, None} and got
     assert corpus_pipeline.run(spark, folder_of("documents", empty)).count() == 0
+
+
+def test_registered_sql_gives_the_same_rows(spark):
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("documents", "conversations", "embeddings"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SMALL}/{t}.parquet'")
+    for name, sql in registry.ORACLES.items():
+        got, want = registry.QUERIES[name](spark, SMALL), con.sql(sql)
+        cols = sorted(got.columns)
+        rows = sorted(([r[c] for c in cols] for r in got.collect()), key=str)
+        assert cols == sorted(want.columns) and rows == sorted(([r[want.columns.index(c)] for c in cols] for r in want.fetchall()), key=str), name
