@@ -65,6 +65,17 @@ def packing_violations(edges: DataFrame, pairs: DataFrame, alpha: float, tau: fl
     return both.where(F.greatest("du", "dv") > alpha * F.col("uv") + (alpha + 1) * tau + EPS).select("src", "u", "v")
 
 
+def near_ring_counts(edges: DataFrame, pairs: DataFrame, alpha: float, tau: float) -> DataFrame:
+    """(src, kept, packing): kept neighbours within 2 (alpha + 1) tau, and the points there, which bound them.
+
+    With distances of at least one between points, a ball of fixed radius holds a fixed number of them at most.
+    """
+    near = 2 * (alpha + 1) * tau
+    kept = edges.where(F.col("dist") <= near).groupBy("src").agg(F.count("*").alias("kept"))
+    there = pairs.where(F.col("dist") <= near).groupBy("src").agg(F.count("*").alias("packing"))
+    return there.join(kept, "src", "left").select("src", F.coalesce("kept", F.lit(0)).alias("kept"), "packing")
+
+
 def hops_bound(routes: DataFrame, truth: DataFrame, alpha: float, tau: float, diameter: float, smallest: float) -> DataFrame:
     """(q_id, hops, bound, exact) of the queries within tau of the data: greedy must be exact within log_alpha(4 ratio) + 2 hops."""
     last = routes.groupBy("q_id").agg((F.max("hop") + 1).alias("hops"), F.max_by("vec_id", "hop").alias("answer"), F.max_by("dist", "hop").alias("got"))

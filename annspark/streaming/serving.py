@@ -35,6 +35,25 @@ def windowed(events: DataFrame, ts: str, value: str, kind: str = "tumbling", lat
     return stream.groupBy(window.alias("w")).agg(F.count("*").alias("n"), F.avg(value).alias("mean")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n", "mean")
 
 
+def count_late(events: DataFrame, ts: str, out: str, checkpoint: str, delay_s: int = 7200):
+    """Start a query that writes (rows, late, newest) of each micro-batch under ``out/batch=<id>``.
+
+    A row is late if it is more than ``delay_s`` older than the newest row of all earlier batches.
+    """
+
+    def one(batch: DataFrame, epoch: int) -> None:
+        spark = batch.sparkSession
+        before = None
+        if path_exists(spark, out):
+            seen = spark.read.schema("rows long, late long, newest double, batch int").parquet(out)
+            before = seen.where(F.col("batch") < epoch).agg(F.max("newest")).first()[0]
+        second = F.unix_micros(F.col(ts).cast("timestamp")) / 1e6
+        late = F.count_if(second < before - delay_s) if before is not None else F.lit(0).cast("long")
+        batch.agg(F.count("*").alias("rows"), late.alias("late"), F.max(second).alias("newest")).write.mode("overwrite").parquet(f"{out}/batch={epoch}")
+
+    return events.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
 def insert_buffer(inserts: DataFrame, limit: int = 1000) -> DataFrame:
     """(shard, pending, flushed): pending vectors per shard, kept as state and flushed when a shard has ``limit``.
 
@@ -98,4 +117,4 @@ QUERIES = {
     ),
 }
 
-__all__ = ["QUERIES", "answer_stream", "insert_buffer", "stream_of", "windowed"]
+__all__ = ["QUERIES", "answer_stream", "count_late", "insert_buffer", "stream_of", "windowed"]

@@ -221,3 +221,22 @@ def test_staged_tables_can_be_released(spark):
     session.release_staged(spark)
     df = session.stage(frame(spark, points(5)), "released")
     assert df.count() == 5 and session.release_staged(spark) == 1 and session.release_staged(spark) == 0
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    schema = "ts timestamp"
+    for i, seconds in enumerate(([0, 10_000], [9_000, 100, 20_000], [])):
+        df = spark.createDataFrame([(s,) for s in seconds], "s long").select(F.timestamp_seconds("s").alias("ts")).coalesce(1)
+        df.write.mode("append").parquet(str(tmp_path / "in"))
+        stream = serving.stream_of(spark, str(tmp_path / "in"), schema)
+        serving.count_late(stream, "ts", str(tmp_path / "out"), str(tmp_path / "cp")).awaitTermination()
+    got = spark.read.parquet(str(tmp_path / "out")).groupBy().agg(F.sum("rows").alias("rows"), F.sum("late").alias("late")).first()
+    assert (got.rows, got.late) == (5, 1)
+
+
+def test_near_rings_hold_no_more_than_their_packing(spark):
+    p = frame(spark, points(80, 2))
+    pairs = theory.pair_distances(p)
+    g = build.full_graph(p, ScaledShiftedBall(1.2, 0.1))
+    rows = theory.near_ring_counts(g, pairs, 1.2, 0.1).collect()
+    assert rows and all(0 < r.packing and r.kept <= r.packing for r in rows)
