@@ -156,6 +156,17 @@ def backward_overflow(spark, d):
     return build.overflow(build.backward_candidates(selecting.fixed(V.v_emb(spark, d), TOP, RULES["scaled_shifted"], CAP)), CAP)
 
 
+_EMB_GRAPH_SQL = f"""WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])},
+qd AS MATERIALIZED (SELECT q.id AS q_id, b.id AS vec_id, list_distance(q.e, b.e) AS dist FROM pt q, pt b WHERE q.id % {EVERY} = 0),
+route(q_id, hop, vec_id, dist) AS (
+    SELECT q_id, 0, vec_id, dist FROM qd WHERE vec_id = (SELECT min(id) FROM pt)
+    UNION ALL
+    SELECT r.q_id, r.hop + 1, nx.v, nx.d FROM route r, LATERAL (
+        SELECT arg_min(qd.vec_id, qd.dist) AS v, min(qd.dist) AS d FROM edges e JOIN qd ON qd.vec_id = e.dst AND qd.q_id = r.q_id WHERE e.src = r.vec_id) nx WHERE nx.d < r.dist
+)
+"""
+
+
 # -- structure ---------------------------------------------------------------------
 
 def _supp_graph(spark, d) -> tuple[DataFrame, DataFrame]:
@@ -172,6 +183,25 @@ def fcg_degree_stats(spark, d):
     return rounded(measures.degree_stats(build.full_graph(V.v_emb(spark, d), RULES["scaled_shifted"])), "mean_degree")
 
 
+@query(f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])}, deg AS (SELECT src, count(*) AS degree FROM edges GROUP BY src) SELECT degree, count(*) AS vertices FROM deg GROUP BY degree")
+def degree_histogram(spark, d):
+    return measures.degree_histogram(build.full_graph(V.v_emb(spark, d), RULES["scaled_shifted"]))
+
+
+@query(f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])} SELECT round(avg(CASE WHEN dist > 1.4::DOUBLE THEN 1.0 ELSE 0.0 END), 6) AS long_share FROM edges")
+def long_edge_share(spark, d):
+    return rounded(measures.long_edge_share(build.full_graph(V.v_emb(spark, d), RULES["scaled_shifted"]), 1.4).select("long_share"), "long_share")
+
+
+@query(f"""{_EMB_GRAPH_SQL} SELECT q_id, round(CASE WHEN got = near THEN 1.0 ELSE got / near END, 6) AS ratio FROM
+(SELECT q_id, min(dist) AS got FROM route GROUP BY q_id) JOIN (SELECT q_id, min(dist) AS near FROM qd GROUP BY q_id) USING (q_id)""")
+def approx_ratio_greedy(spark, d):
+    """Greedy routing's answer over the true nearest distance."""
+    p = stage(V.v_emb(spark, d), "emb")
+    routes = search.greedy_routes(p, build.full_graph(p, RULES["scaled_shifted"]), queries_of(p), p.agg(F.min("vec_id")).first()[0])
+    return rounded(measures.approx_ratio(routes, exact.exact_knn(p, queries_of(p), 1)), "ratio")
+
+
 @query(f"WITH RECURSIVE {O.folded(O.SUPP, SUPP_DROP)}, {_PAIRS}, dm AS (SELECT max(dist) AS m FROM sp) SELECT src, CAST(floor(log2(m / dist)) AS INTEGER) AS ring, count(*) AS n FROM sp, dm WHERE dist > 0 GROUP BY ALL")
 def ring_histogram(spark, d):
     pairs = theory.pair_distances(V.v_supp(spark, d)).where("dist > 0")
@@ -202,18 +232,7 @@ def reachability_from_entry(spark, d):
 
 # -- routing and guarantees ----------------------------------------------------------
 
-_EMB_GRAPH = f"WITH RECURSIVE {O.folded(O.EMB, DROPS['scaled_shifted'])}"
-
-
-@query(f"""{_EMB_GRAPH},
-qd AS MATERIALIZED (SELECT q.id AS q_id, b.id AS vec_id, list_distance(q.e, b.e) AS dist FROM pt q, pt b WHERE q.id % {EVERY} = 0),
-route(q_id, hop, vec_id, dist) AS (
-    SELECT q_id, 0, vec_id, dist FROM qd WHERE vec_id = (SELECT min(id) FROM pt)
-    UNION ALL
-    SELECT r.q_id, r.hop + 1, nx.v, nx.d FROM route r, LATERAL (
-        SELECT arg_min(qd.vec_id, qd.dist) AS v, min(qd.dist) AS d FROM edges e JOIN qd ON qd.vec_id = e.dst AND qd.q_id = r.q_id WHERE e.src = r.vec_id) nx WHERE nx.d < r.dist
-)
-SELECT q_id, CAST(hop AS INTEGER) AS hop, vec_id, round(dist, 6) AS dist FROM route""")
+@query(f"""{_EMB_GRAPH_SQL} SELECT q_id, CAST(hop AS INTEGER) AS hop, vec_id, round(dist, 6) AS dist FROM route""")
 def greedy_route_fcg(spark, d):
     p = stage(V.v_emb(spark, d), "emb")
     g = build.full_graph(p, RULES["scaled_shifted"])
@@ -303,8 +322,9 @@ def _wide(method: str) -> Query:
     return run
 
 
-for _method in ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana", "hnsw_plus", "vamana_plus"):
+for _method in ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana", "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full"):
     query(O.exact_knn(O.EMB, 10), f"{_method}_exhaustive")(_wide(_method))
+query(O.exact_knn(O.EMB, 10), "beam_search_fcg")(_wide("fcg"))
 
 
 def method_curves(spark: SparkSession, points: DataFrame, methods: tuple[str, ...], params: Params, k: int, widths: list[int], every: int = EVERY) -> DataFrame:
