@@ -266,9 +266,12 @@ def keep_representatives(docs: DataFrame) -> DataFrame:
     one stays, and a class without any id keeps its rows.
     """
     classes = stage(near_duplicate_classes(docs), "classes")
-    kept = classes.where(F.col("doc_id") == F.col("component_id")).groupBy("doc_id").agg(F.count("*").alias("rows_of_id"))
+    kept = stage(classes.where(F.col("doc_id") == F.col("component_id")).groupBy("doc_id").agg(F.count("*").alias("rows_of_id")), "kept")
     once, more = kept.where("rows_of_id = 1").select("doc_id"), kept.where("rows_of_id > 1").select("doc_id")
-    out = docs.join(once, "doc_id", "left_semi").unionByName(docs.join(more, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
+    # The table of kept ids grows with the corpus, so it's merged at every size and never broadcast.
+    out = docs.join(once.hint("merge"), "doc_id", "left_semi")
+    if more.take(1):
+        out = out.unionByName(docs.join(more, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
     lone = classes.where("component_id is null").select(F.lit(True).alias("_any")).limit(1)
     if lone.count():
         out = out.unionByName(docs.where("doc_id is null"))
