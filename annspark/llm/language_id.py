@@ -48,7 +48,7 @@ SCRIPT_SHARE = 0.02
 #: The filter keeps texts in which the winner has at least this share of the letters.
 KEEP_SCORE = 0.3
 UNDETERMINED = "und"
-CACHE_ENTRIES, CACHE_CHARS = 120_000, 48
+CACHE_ENTRIES, CACHE_CHARS = 80_000, 48
 
 # First and last code point of common scripts' letters.
 SCRIPT_RANGES = (

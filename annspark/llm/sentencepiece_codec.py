@@ -37,7 +37,7 @@ from annspark.sources.tables import table
 SPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 #: The cache has two generations of at most so many chunks; long chunks aren't kept.
-CACHE_ENTRIES, CACHE_CHARS = 250_000, 64
+CACHE_ENTRIES, CACHE_CHARS = 100_000, 64
 MODEL = "piece_bpe_32k.model"
 #: Places between a letter and an ASCII mark, digit or control character.
 _CUT = re.compile(r"(?<=[^\W\d_²³¹])(?=[\x00-\x1f!-@\[-`{-~])|(?<=[\x00-\x1f!-@\[-`{-~])(?=[^\W\d_²³¹])")
@@ -454,6 +454,7 @@ def encode_digests(df: DataFrame, model_path: str | None = None) -> DataFrame:
                 [batch.column(0), pa.array(n, pa.int64()), pa.array(ids_hex, pa.string()), pa.array(text_hex, pa.string()), pa.array(size, pa.int64())],
                 ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "span_bytes"],
             )
+        c.older = {}  # the worker may go on to other stages
 
     frame = df.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     return frame.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, span_bytes long")
