@@ -5,7 +5,8 @@ on the vector padded to a power of two. Its hash is the nearest signed axis:
 the largest component by size, with its sign. Each of TABLES rotations makes a
 table of every vector. A query probes the PROBES signed axes it is nearest to in
 each table, and the union of what lies there is reranked by exact cosine on the
-original vectors in double precision.
+original vectors in double precision. A query that finds fewer than k so, over
+all shards, is ranked against every candidate of its length.
 
 The index covers every row and fits nothing: rotations come from a seed alone.
 Each shard holds its own tables, and shards are merged.
@@ -25,6 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from annspark.llm.vector_blocks import Best, search, valid_vectors
+from annspark.plans.session import stage
 from annspark.sources.tables import table
 
 TABLES = 12
@@ -80,6 +82,19 @@ def probes(rotated: np.ndarray, count: int) -> np.ndarray:
     return 2 * at + (np.take_along_axis(rotated, at, axis=2) < 0)
 
 
+def add_cosines(best: Best, q: int, w: np.ndarray, ids: np.ndarray, rows: np.ndarray, norms: np.ndarray) -> None:
+    if len(ids):
+        best.add(q, ids, (rows * w).sum(axis=1) / (norms * np.sqrt((w * w).sum())))
+
+
+def visit_all(query_ids: np.ndarray, queries: np.ndarray, ids: np.ndarray, rows: np.ndarray, best: Best) -> None:
+    """Every candidate is a hit."""
+    norms = np.sqrt((rows * rows).sum(axis=1))
+    for q, me in enumerate(query_ids):
+        at = np.flatnonzero(ids != me)
+        add_cosines(best, q, queries[q], ids[at], rows[at], norms[at])
+
+
 def make_visit(tables: int, count: int, seed: int):
     def visit(query_ids: np.ndarray, queries: np.ndarray, ids: np.ndarray, rows: np.ndarray, best: Best) -> None:
         n = len(ids)
@@ -96,16 +111,20 @@ def make_visit(tables: int, count: int, seed: int):
                     hit[order[t, starts[t, b] : starts[t, b + 1]]] = True
             hit &= ids != me
             at = np.flatnonzero(hit)
-            if len(at):
-                w = queries[q]
-                best.add(q, ids[at], (rows[at] * w).sum(axis=1) / (norms[at] * np.sqrt((w * w).sum())))
+            add_cosines(best, q, queries[q], ids[at], rows[at], norms[at])
 
     return visit
 
 
 def nearest(candidates: DataFrame, queries: DataFrame, k: int = TOP, tables: int = TABLES, count: int = PROBES, seed: int = SEED) -> DataFrame:
-    """(query_id, rank, vec_id, score) of the k largest cosines found, never a query's own row."""
-    return search(candidates, queries, k, make_visit(tables, count, seed), "double")
+    """(query_id, rank, vec_id, score) of the k largest cosines found, never a query's own row; all candidates where they are fewer."""
+    found = stage(search(candidates, queries, k, make_visit(tables, count, seed), "double"), "polytope-found")
+    full = found.where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"))
+    short = stage(queries.join(full, "vec_id", "left_anti"), "polytope-short")
+    if not short.take(1):
+        return found
+    rest = search(candidates, short, k, visit_all, "double")
+    return found.join(full.select(F.col("vec_id").alias("query_id")), "query_id", "left_semi").unionByName(rest)
 
 
 def op10_cross_polytope(spark: SparkSession, sf_dir: str) -> DataFrame:

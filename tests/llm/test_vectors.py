@@ -88,3 +88,25 @@ def test_no_rows(spark, folder_of, run):
     assert run(spark, folder_of("embeddings", make(spark, [(50, [1.0, 0.0])]))).count() == 0
     got = run(spark, folder_of("embeddings", make(spark, [(50, [1.0, 0.5]), (51, [0.5, 1.0]), (51, [0.5, 1.0])]))).collect()
     assert [(r["rank"], r.vec_id) for r in sorted(got)] == [(1, 51), (2, 51)]
+
+
+def test_cross_polytope_completes_short_results(spark, folder_of):
+    rng = np.random.default_rng(4)
+    v = [1.0, 0.5, -2.0, 0.25]
+    rows = [(50, v), (51, [-x for x in v])]
+    got = X.op10_cross_polytope(spark, folder_of("embeddings", make(spark, rows))).collect()
+    assert [(r["rank"], r.vec_id, round(r.score, 12)) for r in got] == [(1, 51, -1.0)]
+    # Lengths with few rows beside a long one: every candidate of the length, or the five best of all.
+    rows += [(i, (-np.abs(rng.normal(size=16)) if i % 50 else np.abs(rng.normal(size=16))).tolist()) for i in range(100, 300)]
+    rows += [(i, rng.normal(size=8).tolist()) for i in range(300, 304)] + [(i, [(-1.0) ** (i > 350)] * 3) for i in range(350, 359)]
+    found: dict = {}
+    for r in X.op10_cross_polytope(spark, folder_of("embeddings", make(spark, rows).repartition(7))).collect():
+        found.setdefault(r.query_id, []).append((r["rank"], r.vec_id, r.score))
+    cos = lambda a, b: float(np.dot(a, b) / np.linalg.norm(a) / np.linalg.norm(b))
+    for q, w in rows:
+        if q % 50 == 0:
+            hits = sorted((-round(cos(np.float32(w), np.float32(x)), 9), i) for i, x in rows if i != q and len(x) == len(w))[:5]
+            got = sorted(found[q])
+            assert [g[0] for g in got] == list(range(1, min(5, len(hits)) + 1))
+            if len(w) < 16:
+                assert [g[1] for g in got] == [i for _, i in hits]
