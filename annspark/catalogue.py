@@ -439,9 +439,15 @@ def text_hash_vectors(spark, d):
 
 @query()
 def doc_near_copies(spark, d):
-    """Pairs of document classes within tau on hashed texts, copies collapsed first."""
-    points = stage(V.collapse_duplicates(V.v_doc(spark, d)), "doc-points")
-    return rounded(exact.range_join(points, points, 0.3).where("l_id < r_id"), "dist")
+    """Near copies on hashed texts: kind `member` has one row for each document with words (l_id its class, r_id the document), kind `near` each pair of classes within tau.
+
+    A class is the documents of one vector, named by the smallest id.
+    """
+    docs = stage(V.v_doc(spark, d), "doc-vectors")
+    points = stage(V.collapse_duplicates(docs), "doc-points")
+    near = exact.range_join(points, points, 0.3).where("l_id < r_id")
+    members = V.members_of_classes(docs, points).select(F.col("class_id").alias("l_id"), F.col("vec_id").alias("r_id"), F.lit(0.0).alias("dist"))
+    return rounded(members.withColumn("kind", F.lit("member")).unionByName(near.withColumn("kind", F.lit("near"))), "dist")
 
 
 @query()

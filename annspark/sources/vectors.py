@@ -10,6 +10,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from annspark.plans.skew import join_hot_apart
 from annspark.sources.tables import table
 
 HASH_DIM = 128
@@ -122,6 +123,12 @@ def collapse_duplicates(points: DataFrame) -> DataFrame:
     return points.groupBy("embedding").agg(F.min("vec_id").alias("vec_id"), F.count("*").alias("copies")).select("vec_id", "embedding", "copies")
 
 
+def members_of_classes(points: DataFrame, classes: DataFrame) -> DataFrame:
+    """(vec_id, class_id) of every row of ``points``; ``classes`` is what collapse_duplicates made of them."""
+    named = classes.select("embedding", F.col("vec_id").alias("class_id"), "copies")
+    return join_hot_apart(points.select("vec_id", "embedding"), named, "embedding", "copies").select("vec_id", "class_id")
+
+
 def hold_out(points: DataFrame, every: int = 20) -> tuple[DataFrame, DataFrame]:
     """(base, queries): ids divisible by ``every`` are queries."""
     out = F.pmod(F.col("vec_id"), F.lit(every)) == 0

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from annspark import experiments
+from annspark import catalogue, experiments
 from annspark.functions.graphs import Params
 from annspark.functions.rules import ScaledShiftedBall, ShiftedBall, UnitBall
 from annspark.operators import build, exact, measures, search, theory
@@ -240,3 +240,11 @@ def test_near_rings_hold_no_more_than_their_packing(spark):
     g = build.full_graph(p, ScaledShiftedBall(1.2, 0.1))
     rows = theory.near_ring_counts(g, pairs, 1.2, 0.1).collect()
     assert rows and all(0 < r.packing and r.kept <= r.packing for r in rows)
+
+
+def test_near_copies_keep_every_document(spark, tmp_path):
+    texts = {1: "a b c d e f g h", 2: "H g f e d c b a", 3: "only copies here", 4: "only copies here", 5: "only  Copies\nhere", 6: "alone", 7: "a b c d e f g h " * 12 + "i", 8: " "}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = catalogue.QUERIES["doc_near_copies"](spark, str(tmp_path)).collect()
+    assert sorted((r.l_id, r.r_id) for r in got if r.kind == "member") == [(1, 1), (1, 2), (3, 3), (3, 4), (3, 5), (6, 6), (7, 7)]
+    assert [(r.l_id, r.r_id) for r in got if r.kind == "near"] == [(1, 7)]
