@@ -19,6 +19,7 @@ from annspark.functions.graphs import Params
 from annspark.operators import exact
 from annspark.operators.build import INDEX, Router, build_index, train_router
 from annspark.operators.search import search_index
+from annspark.plans.session import stage
 
 POINTS = "vec_id long, embedding array<double>"
 
@@ -77,14 +78,30 @@ class IndexStore:
         return self._table("delta", POINTS).join(self._table("tombstones", "vec_id long"), "vec_id", "left_anti")
 
     def search(self, queries: DataFrame, k: int, width: int, probes: int = 1) -> DataFrame:
-        """(q_id, rank, vec_id, dist): the index without tombstones, over-fetched, merged with a scan of the delta."""
+        """(q_id, rank, vec_id, dist): the index without tombstones, merged with a scan of the delta.
+
+        It is asked for more than k, and queries that deletions leave with fewer are asked again with twice as many, up to the index's size.
+        """
         rows, router, about = self.index()
         dead = self._table("tombstones", "vec_id long").distinct()
-        n_dead = dead.count()
-        fetch = k + min(n_dead, width)
-        found = search_index(rows, queries, fetch, [max(width, fetch)], router, probes, about["metric"]).select("q_id", "vec_id", "dist")
+        fetch = k + min(dead.count(), width)
         fresh = exact.exact_knn(self.live_delta(), queries, k, about["metric"]).select("q_id", "vec_id", "dist")
-        return exact.top_k(found.join(dead, "vec_id", "left_anti").unionByName(fresh).distinct(), k)
+        held = rows.where("level = 0").select(F.col("src").alias("vec_id")).distinct()
+        n, need = held.count(), min(k, held.join(dead, "vec_id", "left_anti").count())
+        answers, left = fresh, stage(queries, "store-queries")
+        while need:
+            found = search_index(rows, left, fetch, [max(width, fetch)], router, probes, about["metric"]).select("q_id", "vec_id", "dist")
+            live = stage(exact.top_k(found.join(dead, "vec_id", "left_anti").distinct(), k), "store-found")
+            full = live.groupBy("q_id").agg(F.count("*").alias("c")).where(F.col("c") >= need).select("q_id")
+            done = live if fetch >= n else live.join(full, "q_id", "left_semi")
+            answers = answers.unionByName(done.select("q_id", "vec_id", "dist"))
+            if fetch >= n:
+                break
+            left = stage(left.join(full, "q_id", "left_anti"), "store-left")
+            if not left.take(1):
+                break
+            fetch = min(n, 2 * fetch)
+        return exact.top_k(answers.distinct(), k)
 
     def rebuild(self) -> int:
         """Fold the delta in and the tombstones out, as a new version; then empty both."""

@@ -248,3 +248,15 @@ def test_near_copies_keep_every_document(spark, tmp_path):
     got = catalogue.QUERIES["doc_near_copies"](spark, str(tmp_path)).collect()
     assert sorted((r.l_id, r.r_id) for r in got if r.kind == "member") == [(1, 1), (1, 2), (3, 3), (3, 4), (3, 5), (6, 6), (7, 7)]
     assert [(r.l_id, r.r_id) for r in got if r.kind == "near"] == [(1, 7)]
+
+
+def test_store_asks_again_when_the_nearest_are_deleted(spark, tmp_path):
+    x = np.concatenate([np.random.default_rng(2).normal(0, 0.01, (60, 4)), np.random.default_rng(3).normal(5, 1, (40, 4))])
+    store = IndexStore(spark, str(tmp_path / "ix"))
+    store.write(frame(spark, x), "lcg_adaptive", Params(K=20, M=12, L=30, C=60, alpha=1.1, tau=0.01))
+    store.delete(spark.createDataFrame([(i,) for i in range(60)], "vec_id long"))
+    asked = spark.createDataFrame([(0, [0.0] * 4), (1, [5.0] * 4)], "q_id long, qvec array<double>")
+    got = store.search(asked, 5, 10).collect()
+    for q, c in ((0, 0.0), (1, 5.0)):
+        want = 60 + np.argsort(np.linalg.norm(x[60:] - c, axis=1), kind="stable")[:5]
+        assert [r.vec_id for r in sorted(got, key=lambda r: r["rank"]) if r.q_id == q] == want.tolist()
