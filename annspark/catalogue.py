@@ -107,7 +107,7 @@ for _rule in RULES:
 @query(O.edges(O.SUPP, SUPP_DROP))
 def prune_supp_sql_form(spark, d):
     """The filter as a fold of built-in functions."""
-    return rounded(build.full_graph_sql(V.v_supp(spark, d), ScaledShiftedBall(SUPP_ALPHA, SUPP_TAU), 2000), "dist")
+    return rounded(build.full_graph_sql(V.v_supp(spark, d), ScaledShiftedBall(SUPP_ALPHA, SUPP_TAU)), "dist")
 
 
 @query(f"""WITH pt AS ({O.EMB}), nn AS (SELECT * FROM (SELECT a.id AS p, b.id AS u, b.e AS e, list_distance(a.e, b.e) AS dp, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.e, b.e), b.id) AS rank FROM pt a JOIN pt b ON a.id <> b.id) WHERE rank <= 6)
@@ -204,13 +204,13 @@ def approx_ratio_greedy(spark, d):
 
 @query(f"WITH RECURSIVE {O.folded(O.SUPP, SUPP_DROP)}, {_PAIRS}, dm AS (SELECT max(dist) AS m FROM sp) SELECT src, CAST(floor(log2(m / dist)) AS INTEGER) AS ring, count(*) AS n FROM sp, dm WHERE dist > 0 GROUP BY ALL")
 def ring_histogram(spark, d):
-    pairs = theory.pair_distances(V.v_supp(spark, d)).where("dist > 0")
-    return measures.ring_histogram(pairs, theory.aspect_ratio(pairs).first()["diameter"])
+    p = stage(V.v_supp(spark, d), "supp")
+    return measures.ring_histogram(theory.pair_distances(p).where("dist > 0"), theory.aspect_ratio(p).first()["diameter"])
 
 
 @query(f"WITH pt AS ({O.EMB}), pr AS (SELECT list_distance(a.e, b.e) AS d FROM pt a JOIN pt b ON a.id <> b.id) SELECT round(max(d), 6) AS diameter, round(min(d), 6) AS smallest, round(max(d) / min(d), 6) AS ratio FROM pr WHERE d > 0")
 def aspect_ratio(spark, d):
-    return rounded(theory.aspect_ratio(theory.pair_distances(V.v_emb(spark, d))), "diameter", "smallest", "ratio")
+    return rounded(theory.aspect_ratio(stage(V.v_emb(spark, d), "emb")), "diameter", "smallest", "ratio")
 
 
 @query(f"WITH {O.knn(O.EMB, 1)} SELECT tau, round(avg(CASE WHEN dist <= tau THEN 1.0 ELSE 0.0 END), 6) AS share FROM knn, (SELECT unnest([0.8, 1.0, 1.1, 1.2]::DOUBLE[]) AS tau) GROUP BY tau")
@@ -277,7 +277,7 @@ def guarantee_violations(spark, d):
     """Each guarantee of the exact graph with its number of violations, which is zero for all."""
     p, g = _supp_graph(spark, d)
     pairs = stage(theory.pair_distances(p), "supp-pairs")
-    ext = theory.aspect_ratio(pairs).first()
+    ext = theory.aspect_ratio(p).first()
     asked = stage(_near_queries(p, SUPP_TAU), "supp-queries")
     dist = stage(theory.query_distances(p, asked), "supp-distances")
     truth = stage(exact.exact_knn(p, asked, 1), "supp-truth")
@@ -300,7 +300,7 @@ def guarantee_violations(spark, d):
 @query(f"{_SUPP_EDGES}, {_PAIRS}, {_NEAR} SELECT q_id, hops, round(bound, 6) AS bound, abs(got - vd) <= 1e-9 AS exact FROM near JOIN ended USING (q_id), lim WHERE vd <= {SUPP_TAU}")
 def hops_bound_check(spark, d):
     p, g = _supp_graph(spark, d)
-    ext = theory.aspect_ratio(theory.pair_distances(p)).first()
+    ext = theory.aspect_ratio(p).first()
     asked = stage(_near_queries(p, SUPP_TAU), "supp-queries")
     routes = search.greedy_routes(p, g, asked, p.agg(F.min("vec_id")).first()[0])
     found = theory.hops_bound(routes, exact.exact_knn(p, asked, 1), SUPP_ALPHA, SUPP_TAU, ext["diameter"], ext["smallest"])

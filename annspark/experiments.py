@@ -176,7 +176,7 @@ def dataset_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for view in ("v_emb", "v_part", "v_supp", "v_cust"):
         p = stage(V.collapse_duplicates(V.VIEWS[view](spark, sf_dir)).select("vec_id", "embedding"), "stat-points")
-        ext = theory.aspect_ratio(theory.pair_distances(p, 20_000)).first()
+        ext = theory.aspect_ratio(p).first()
         rows.append((view, p.count(), len(p.first().embedding), ext.diameter, ext.smallest, ext.ratio, median_nearest(p), theory.doubling_dimension(p)))
     return spark.createDataFrame(rows, "view string, n long, dim int, diameter double, smallest double, ratio double, median_nearest double, doubling_dim double")
 

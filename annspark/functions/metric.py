@@ -48,6 +48,26 @@ class Metric:
             out[i : i + step] = self.of_differences(a[i : i + step, None, :] - b[None, :, :])
         return out
 
+    def extremes(self, a: np.ndarray, b: np.ndarray, high: float = 0.0, low: float = np.inf, block: int = 512) -> tuple[float, float]:
+        """(largest, smallest positive) Euclidean distance between rows of ``a`` and of ``b``, and of ``high`` and ``low``.
+
+        A matrix product ranks coarsely, and what can be an extreme is measured again by direct differences.
+        """
+        bb = np.einsum("ij,ij->i", b, b)
+        for i in range(0, len(a), block):
+            x = a[i : i + block]
+            xx = np.einsum("ij,ij->i", x, x)
+            coarse = xx[:, None] + bb[None, :] - 2 * (x @ b.T)
+            slack = 1e-9 * (float(bb.max()) + float(xx.max())) + 1e-300
+            over = max(high * high, float(coarse.max())) - slack
+            apart = coarse[coarse > slack]
+            under = min(low * low, float(apart.min(initial=np.inf))) + slack
+            rows, cols = np.nonzero((coarse >= over) | (coarse <= under))
+            for j in range(0, len(rows), 100_000):
+                d = self.rows(b[cols[j : j + 100_000]], x[rows[j : j + 100_000]])
+                high, low = max(high, float(d.max())), min(low, float(d[d > 0].min(initial=np.inf)))
+        return high, low
+
     def nearest(
         self, a: np.ndarray, b: np.ndarray, b_ids: np.ndarray, k: int, skip: np.ndarray | None = None, block: int = 512, bound: np.ndarray | None = None
     ) -> tuple[np.ndarray, np.ndarray]:

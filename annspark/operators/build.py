@@ -30,16 +30,19 @@ INDEX = (
     "shard int, src long, vec array<double>, nbrs array<long>, dists array<double>, level int, is_entry boolean, n_repair int, "
     "alpha_used double, steps int, pairs long, distinct_kept int, selections long"
 )
-#: A full graph looks at every pair of points and broadcasts them all.
-FULL_LIMIT = 20_000
+#: Sources of one task of a full graph, at most about so many.
+SOURCE_BLOCK = 1024
 
 
-def full_graph(points: DataFrame, rule: Rule, metric: str = "l2", limit: int = FULL_LIMIT) -> DataFrame:
-    """(src, dst, dist, rank): the rule's kept set of every point over all others."""
+def full_graph(points: DataFrame, rule: Rule, metric: str = "l2", limit: int | None = None) -> DataFrame:
+    """(src, dst, dist, rank): the rule's kept set of every point over all others.
+
+    It looks at every pair of points and broadcasts all vectors; a caller who wants no quadratic job sets ``limit``.
+    """
     spark = points.sparkSession
     ship_package(spark)
     n = points.count()
-    if n > limit:
+    if limit is not None and n > limit:
         raise ValueError(f"{n} points; a full-candidate graph is quadratic and limited to {limit}")
     space = Metric(metric)
     rows = points.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>")).orderBy("vec_id").toArrow()
@@ -50,19 +53,21 @@ def full_graph(points: DataFrame, rule: Rule, metric: str = "l2", limit: int = F
         ids, x = shared.value
         for batch in batches:
             own = np.searchsorted(ids, batch.column(0).to_numpy())
-            for p, (kept, dist) in zip(own, G.full_graph(x, rule, space, own)):
+            for p in own:
+                [(kept, dist)] = G.full_graph(x, rule, space, [p])
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(np.full(len(kept), ids[p])), pa.array(ids[kept]), pa.array(dist, pa.float64()), pa.array(np.arange(1, len(kept) + 1, dtype=np.int32))],
                     ["src", "dst", "dist", "rank"],
                 )
 
-    tasks = max(1, min(n, spark.sparkContext.defaultParallelism))
+    # Sources in blocks of a bounded size, at least one for each core.
+    tasks = max(1, min(n, max(spark.sparkContext.defaultParallelism, -(-n // SOURCE_BLOCK))))
     return points.select(F.col("vec_id").cast("long")).repartition(tasks).mapInArrow(run, EDGES)
 
 
-def full_graph_sql(points: DataFrame, rule: Rule, limit: int = 200) -> DataFrame:
+def full_graph_sql(points: DataFrame, rule: Rule, limit: int | None = None) -> DataFrame:
     """The same by built-in functions alone, for small sets and for reading."""
-    if (n := points.count()) > limit:
+    if limit is not None and (n := points.count()) > limit:
         raise ValueError(f"{n} points; the form in SQL is limited to {limit}")
     p = points.select(F.col("vec_id").alias("p"), F.col("embedding").cast("array<double>").alias("pe"))
     u = points.select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("e"))

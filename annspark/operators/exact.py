@@ -19,6 +19,8 @@ from annspark.plans.session import ship_package
 
 #: Queries in a broadcast block, at most about so many.
 QUERY_BLOCK = 8192
+#: Pairs of one Arrow batch of all_distances, at most about so many.
+PAIR_BLOCK = 100_000
 RESULT = "q_id long, rank int, vec_id long, dist double"
 
 
@@ -86,6 +88,32 @@ def exact_knn(base: DataFrame, queries: DataFrame, k: int, metric: str = "l2", s
     return top_k(out, k)
 
 
+def all_distances(base: DataFrame, queries: DataFrame, metric: str = "l2") -> DataFrame:
+    """(q_id, vec_id, dist) of all queries and base rows, in query blocks; the rows are streamed and never held together."""
+    spark = base.sparkSession
+    ship_package(spark)
+    space = Metric(metric)
+    rows = base.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>"))
+    out = spark.createDataFrame([], "q_id long, vec_id long, dist double")
+    for ids, q in query_blocks(queries):
+        shared = spark.sparkContext.broadcast((ids, space.prepare(q)))
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            ids, q = shared.value
+            for batch in batches:
+                if not batch.num_rows:
+                    continue
+                b_ids, x = batch.column(0).to_numpy(), space.prepare(to_matrix(batch.column(1)))
+                step = max(1, PAIR_BLOCK // len(b_ids))
+                for i in range(0, len(ids), step):
+                    part = ids[i : i + step]
+                    d = space.cross(q[i : i + step], x)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part, len(b_ids))), pa.array(np.tile(b_ids, len(part))), pa.array(d.ravel())], ["q_id", "vec_id", "dist"])
+
+        out = out.unionByName(rows.mapInArrow(run, "q_id long, vec_id long, dist double"))
+    return out
+
+
 def exact_knn_graph(points: DataFrame, k: int, metric: str = "l2") -> DataFrame:
     """(src, dst, dist, rank): every point with its k nearest others."""
     return exact_knn(points, as_queries(points), k, metric, skip_self=True).select(F.col("q_id").alias("src"), F.col("vec_id").alias("dst"), "dist", "rank")

@@ -119,13 +119,11 @@ def search_index(
     return best.join(costs, ["q_id", "width"]).select(*[c.split()[0] for c in FOUND.split(", ")])
 
 
-def greedy_routes(points: DataFrame, edges: DataFrame, queries: DataFrame, entry: int, metric: str = "l2", limit: int = 50_000) -> DataFrame:
-    """(q_id, hop, vec_id, dist): the vertices that greedy routing visits, the last being its answer."""
+def greedy_routes(points: DataFrame, edges: DataFrame, queries: DataFrame, entry: int, metric: str = "l2") -> DataFrame:
+    """(q_id, hop, vec_id, dist): the vertices that greedy routing visits, the last being its answer. The whole graph is broadcast."""
     spark = points.sparkSession
     ship_package(spark)
     space = Metric(metric)
-    if points.count() > limit:
-        raise ValueError("a whole graph is broadcast here; use an index with shards")
     rows = points.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>")).orderBy("vec_id").toArrow()
     ids = rows.column(0).to_numpy()
     lists = edges.groupBy("src").agg(F.array_sort(F.collect_list("dst")).alias("n")).toArrow()

@@ -2,41 +2,56 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from annspark.functions.metric import Metric
+from annspark.operators import exact
 from annspark.operators.exact import to_matrix
+from annspark.plans.session import ship_package, stage
 
 #: Slack for comparisons of sums of distances.
 EPS = 1e-9
 
 
-def pair_distances(points: DataFrame, limit: int = 5000) -> DataFrame:
-    """(src, dst, dist) of all ordered pairs of a small set."""
-    if (n := points.count()) > limit:
-        raise ValueError(f"{n} points; all pairs are limited to {limit}")
-    a = points.select(F.col("vec_id").alias("src"), F.col("embedding").cast("array<double>").alias("a"))
-    b = points.select(F.col("vec_id").alias("dst"), F.col("embedding").cast("array<double>").alias("b"))
-    diff = F.zip_with("a", "b", lambda x, y: (x - y) * (x - y))
-    return a.join(F.broadcast(b), F.col("src") != F.col("dst")).select("src", "dst", F.sqrt(F.aggregate(diff, F.lit(0.0), lambda s, z: s + z)).alias("dist"))
-
-
-def aspect_ratio(pairs: DataFrame) -> DataFrame:
-    """(diameter, smallest, ratio) over positive distances."""
-    ext = pairs.where("dist > 0").agg(F.max("dist").alias("diameter"), F.min("dist").alias("smallest"))
+def pair_distances(points: DataFrame) -> DataFrame:
+    """(src, dst, dist) of all ordered pairs."""
+    pairs = exact.all_distances(points, exact.as_queries(points))
+    return pairs.where("q_id <> vec_id").select(F.col("q_id").alias("src"), F.col("vec_id").alias("dst"), "dist")
+
+
+def aspect_ratio(points: DataFrame) -> DataFrame:
+    """(diameter, smallest, ratio) over the positive distances of all pairs; a task returns two numbers for each block of points."""
+    spark = points.sparkSession
+    ship_package(spark)
+    # Copies are at distance zero and have no other distances than their first.
+    rows = stage(points.select("vec_id", F.col("embedding").cast("array<double>")).groupBy("embedding").agg(F.min("vec_id").alias("vec_id")), "extreme-points")
+    space = Metric()
+    out = spark.createDataFrame([], "high double, low double")
+    for _, q in exact.query_blocks(exact.as_queries(rows)):
+        shared = spark.sparkContext.broadcast(q)
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            high, low = 0.0, np.inf
+            for batch in batches:
+                if batch.num_rows:
+                    high, low = space.extremes(shared.value, to_matrix(batch.column(0)), high, low)
+            if high > 0:
+                yield pa.RecordBatch.from_arrays([pa.array([high]), pa.array([low])], ["high", "low"])
+
+        out = out.unionByName(rows.select("embedding").mapInArrow(run, "high double, low double"))
+    ext = out.agg(F.max("high").alias("diameter"), F.min("low").alias("smallest"))
     return ext.select("diameter", "smallest", (F.col("diameter") / F.col("smallest")).alias("ratio"))
 
 
-def query_distances(points: DataFrame, queries: DataFrame, limit: int = 5000) -> DataFrame:
-    """(q_id, vec_id, dist) of all queries and points of a small set."""
-    if points.count() > limit:
-        raise ValueError(f"the point set is limited to {limit}")
-    b = points.select("vec_id", F.col("embedding").cast("array<double>").alias("b"))
-    diff = F.zip_with("qvec", "b", lambda x, y: (x - y) * (x - y))
-    return queries.select("q_id", F.col("qvec").cast("array<double>")).join(F.broadcast(b), F.lit(True)).select("q_id", "vec_id", F.sqrt(F.aggregate(diff, F.lit(0.0), lambda s, z: s + z)).alias("dist"))
+def query_distances(points: DataFrame, queries: DataFrame) -> DataFrame:
+    """(q_id, vec_id, dist) of all queries and points."""
+    return exact.all_distances(points, queries)
 
 
 def reducible_violations(edges: DataFrame, distances: DataFrame, alpha: float, tau: float) -> DataFrame:

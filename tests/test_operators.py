@@ -260,3 +260,20 @@ def test_store_asks_again_when_the_nearest_are_deleted(spark, tmp_path):
     for q, c in ((0, 0.0), (1, 5.0)):
         want = 60 + np.argsort(np.linalg.norm(x[60:] - c, axis=1), kind="stable")[:5]
         assert [r.vec_id for r in sorted(got, key=lambda r: r["rank"]) if r.q_id == q] == want.tolist()
+
+
+def test_pair_extremes_and_graphs_have_no_row_limit(spark, monkeypatch):
+    monkeypatch.setattr(exact, "PAIR_BLOCK", 64)
+    x = np.concatenate([points(300, 4), points(1, 4), points(40, 4)[:5] + 3e-7])
+    p = frame(spark, x)
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
+    got = theory.aspect_ratio(p).first()
+    assert got.diameter == pytest.approx(d.max(), abs=1e-12) and got.smallest == pytest.approx(d[d > 0].min(), abs=1e-12) and got.ratio == pytest.approx(d.max() / d[d > 0].min())
+    pairs = theory.pair_distances(p).toPandas()
+    assert len(pairs) == 306 * 305 and np.allclose(pairs["dist"], d[pairs["src"], pairs["dst"]], atol=1e-12)
+    # More points than the limits that were: in two dimensions, as fast as may be.
+    wide = frame(spark, points(5100, 2))
+    asked = spark.createDataFrame([(1, [0.1, 0.2])], "q_id long, qvec array<double>")
+    assert theory.query_distances(wide, asked).count() == 5100 and theory.pair_distances(wide).count() == 5100 * 5099
+    few = frame(spark, points(250, 3))
+    assert build.full_graph_sql(few, UnitBall()).count() == build.full_graph(few, UnitBall()).count()
