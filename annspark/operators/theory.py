@@ -107,21 +107,34 @@ def ratio_bound_violations(routes: DataFrame, truth: DataFrame, alpha: float) ->
     return near.join(last, "q_id").where(F.col("got") > limit * F.col("true") + EPS).select("q_id", (F.col("got") / F.col("true")).alias("ratio"))
 
 
-def doubling_dimension(points: DataFrame, centres: int = 16, radii: int = 4, metric: str = "l2", sample: int = 2000) -> float:
-    """log2 of the most half-radius balls a greedy cover of a ball needs, over sampled centres and radii."""
+def doubling_dimension(points: DataFrame, centres: int = 16, radii: int = 4, metric: str = "l2") -> float:
+    """log2 of the most half-radius balls a greedy cover of a ball needs, over sampled centres and radii.
+
+    Only the centres are a sample, by a hash of the id; radii are quantiles of the distances to every row, and a ball
+    holds every row within it. All vectors are broadcast, and a task takes a centre.
+    """
+    spark = points.sparkSession
+    ship_package(spark)
     space = Metric(metric)
-    rows = points.select("vec_id", F.col("embedding").cast("array<double>").alias("e")).orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).toArrow()
-    x = space.prepare(to_matrix(rows.column(1)))
-    worst = 1
-    for c in range(min(centres, len(x))):
-        d = space.rows(x, x[c])
-        for q in np.quantile(d[d > 0], np.linspace(0.2, 1, radii)) if (d > 0).any() else []:
-            ball, count = x[d <= q], 0
-            while len(ball):
-                ball = ball[space.rows(ball, ball[0]) > q / 2]
-                count += 1
-            worst = max(worst, count)
-    return float(np.log2(worst))
+    rows = points.select("vec_id", F.col("embedding").cast("array<double>").alias("e")).orderBy(F.xxhash64("vec_id"), "vec_id").toArrow()
+    shared = spark.sparkContext.broadcast(space.prepare(to_matrix(rows.column(1))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        x = shared.value
+        for batch in batches:
+            for c in batch.column(0).to_numpy():
+                d, worst = space.rows(x, x[c]), 1
+                for q in np.quantile(d[d > 0], np.linspace(0.2, 1, radii)) if (d > 0).any() else []:
+                    ball, count = x[d <= q], 0
+                    while len(ball):
+                        ball = ball[space.rows(ball, ball[0]) > q / 2]
+                        count += 1
+                    worst = max(worst, count)
+                yield pa.RecordBatch.from_arrays([pa.array([worst])], ["worst"])
+
+    n = min(centres, rows.num_rows)
+    worst = spark.range(0, n, 1, n).mapInArrow(run, "worst long").agg(F.max("worst")).first()[0] if n else None
+    return float(np.log2(worst or 1))
 
 
 def unit_scale(points: DataFrame, smallest: float) -> DataFrame:

@@ -277,3 +277,18 @@ def test_pair_extremes_and_graphs_have_no_row_limit(spark, monkeypatch):
     assert theory.query_distances(wide, asked).count() == 5100 and theory.pair_distances(wide).count() == 5100 * 5099
     few = frame(spark, points(250, 3))
     assert build.full_graph_sql(few, UnitBall()).count() == build.full_graph(few, UnitBall()).count()
+
+
+def test_statistics_cover_every_row(spark):
+    x = points(2600, 2, seed=8)
+    p = frame(spark, x)
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
+    np.fill_diagonal(d, np.inf)
+    assert experiments.median_nearest(p) == pytest.approx(np.median(d.min(axis=1)), abs=1e-12)
+    # A dense line that the first 2000 rows by hash don't have.
+    first = {r.vec_id for r in p.orderBy(F.xxhash64("vec_id"), "vec_id").limit(2000).collect()}
+    y = np.zeros((2600, 64))
+    rest = [i for i in range(2600) if i not in first]
+    y[sorted(first), 0] = np.linspace(0, 1e-3, 2000)
+    y[rest[:64], range(64)] = 1.0
+    assert theory.doubling_dimension(frame(spark, y)) >= 5
