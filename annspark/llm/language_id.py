@@ -234,7 +234,11 @@ class Labeller:
         best = int(total[-1].argmax())
         lead = total - total[:, best : best + 1]
         low = np.minimum(np.minimum.accumulate(lead, axis=0), 0)
-        if (lead - np.concatenate([np.zeros((1, len(langs))), low[:-1]])).max() <= self.penalty:
+        # One language throughout wins if no stretch of another gains more than a switch costs, and no first and last
+        # stretch together do: a path that leaves the best language out pays one switch less than it has stretches.
+        gain = (lead - np.concatenate([np.zeros((1, len(langs))), low[:-1]])).max()
+        ends = lead.max() + (lead[-1] - low[-1]).max()
+        if gain <= self.penalty and (len(langs) < 3 or ends <= self.penalty):
             path = np.full(len(at), best)
         else:
             path = viterbi(scores, self.penalty)

@@ -37,6 +37,19 @@ def test_monolingual_proof_agrees_with_viterbi():
         assert cost(path) == pytest.approx(cost(best), abs=1e-3)
 
 
+def test_monolingual_proof_with_three_languages():
+    lab = L.Labeller(L.Model([(lang, lang * 3, 5) for lang in "abc"]), penalty=12.0)
+    lab.rows = lambda tokens: np.arange(len(tokens))
+    rng = np.random.default_rng(5)
+    cases = [np.array([(0, -6, -2.9)] * 3 + [(-6, 0, -2.9)] * 3)] + [-rng.exponential(4, (8, 3)) for _ in range(300)]
+    for scores in cases:
+        lab.table, lab.letters, lab.known = np.float32(scores), np.ones(len(scores), np.int64), np.ones(len(scores), bool)
+        path = lab.label("w " * len(scores))[2]
+        cost = lambda p: scores[np.arange(len(p)), p].sum() - 12.0 * (np.diff(p) != 0).sum()
+        assert cost(path) == pytest.approx(cost(L.viterbi(np.float32(scores), 12.0)), abs=1e-3)
+    assert lab.model.langs == ["a", "b", "c"]
+
+
 def test_mixed_spans_and_scripts():
     model = L.Model([("en", w, 9) for w in ("the", "house", "water", "green")] + [("ru", w, 9) for w in ("дом", "вода", "зеленый")] + [("de", w, 9) for w in ("das", "haus", "wasser", "grün")])
     text = "the house the water the green " * 3 + "дом вода зеленый дом"
