@@ -5,13 +5,14 @@ before each seed form a lexical pattern. Identifier-like tokens that the fixed
 patterns miss (other ways to write numbers and addresses, told apart by shape)
 stand after patterns too. Patterns and instances form a bipartite graph that
 Spark scores in rounds: a pattern's confidence is the mean score of the distinct
-instances it introduces, times its precision, the share of all its occurrences
-in the corpus that introduce an instance of that kind; an instance's score is a
-noisy-or over its confident patterns. Seeds keep score one. Tokens of the right
+instances it introduces that have one, times its precision, the share of all its
+occurrences in the corpus that introduce an instance of that kind; an instance's
+score is a noisy-or over its confident patterns. Seeds keep score one. Tokens of the right
 shape behind a confident pattern become spans of kind `found_<kind>`.
 
-Only patterns that introduce at least MIN_SEEDS different seeds take part, so
-copies of one document add nothing. Precision is bounded first: a pattern's
+Only patterns that introduce at least MIN_SEEDS different seeds and instances of
+a confident score take part, so copies of one document add nothing; each round
+admits those that have got so many. Precision is bounded first: a pattern's
 occurrences in the texts that hold any instance are at most those in the corpus,
 so a pattern that is too common there is out, and only what remains is counted
 over all texts. The graph has one row for each pattern and
@@ -102,34 +103,46 @@ def occurrences(docs: DataFrame, patterns: DataFrame) -> DataFrame:
     return pairs.join(side, "pattern", "left_semi").groupBy("pattern").agg(F.count("*").alias("n"))
 
 
-def confident_patterns(docs: DataFrame, scanned: DataFrame, min_seeds: int = MIN_SEEDS, rounds: int = ROUNDS, confident: float = CONFIDENT) -> DataFrame:
-    """(pattern, kind, confidence) of the patterns that introduce personal data."""
-    places = scanned.select(F.explode("places").alias("p")).select("p.pattern", "p.kind", F.xxhash64("p.value").alias("instance"), "p.seed")
-    edges = places.groupBy("pattern", "kind", "instance").agg(F.max("seed").alias("seed"), F.count("*").alias("times"))
-    edges = stage(edges, "pii-edges")
-    able = edges.groupBy("pattern", "kind").agg(F.sum("seed").alias("seeds"), F.sum("times").alias("times")).where(F.col("seeds") >= min_seeds)
-    able = stage(able, "pii-patterns")
-    if not able.take(1):
-        return able.select("pattern", "kind", F.lit(1.0).alias("confidence"))
+def precise_patterns(docs: DataFrame, scanned: DataFrame, able: DataFrame, confident: float) -> DataFrame:
+    """(pattern, kind, precision) of those of ``able(pattern, kind, times)`` whose occurrences introduce an instance of the kind often enough."""
     for texts in (scanned.where("text IS NOT NULL"), docs):
         counted = occurrences(texts, able.select("pattern").distinct())
         able = able.select("pattern", "kind", "times").join(counted, "pattern", "left")
         able = able.withColumn("precision", F.col("times") / F.greatest(F.col("times"), F.coalesce("n", F.lit(0))))
         able = stage(able.where(F.col("precision") >= confident).select("pattern", "kind", "times", "precision"), "pii-precise")
         if not able.take(1):
-            return able.select("pattern", "kind", F.lit(1.0).alias("confidence"))
-    edges = stage(edges.drop("times").join(able, ["pattern", "kind"]).select("pattern", "kind", "instance", "seed", "precision", F.col("seed").cast("double").alias("score")), "pii-graph")
-    scored = None
+            break
+    return able.select("pattern", "kind", "precision")
+
+
+def confident_patterns(docs: DataFrame, scanned: DataFrame, min_seeds: int = MIN_SEEDS, rounds: int = ROUNDS, confident: float = CONFIDENT) -> DataFrame:
+    """(pattern, kind, confidence) of the patterns that introduce personal data."""
+    places = scanned.select(F.explode("places").alias("p")).select("p.pattern", "p.kind", F.xxhash64("p.value").alias("instance"), "p.seed")
+    edges = places.groupBy("pattern", "kind", "instance").agg(F.max("seed").alias("seed"), F.count("*").alias("times"))
+    # An instance without a label has no score yet.
+    edges = stage(edges.withColumn("score", F.when(F.col("seed") == 1, 1.0)), "pii-edges")
+    patterns = tried = None
     for _ in range(rounds):
-        scored = edges.groupBy("pattern", "kind").agg((F.avg("score") * F.max("precision")).alias("confidence"))
-        strength = edges.where("seed = 0").join(scored.where(F.col("confidence") >= confident), ["pattern", "kind"])
+        able = edges.groupBy("pattern", "kind").agg(F.sum((F.coalesce("score", F.lit(0.0)) >= confident).cast("int")).alias("known"), F.sum("times").alias("times")).where(F.col("known") >= min_seeds)
+        if tried is not None:
+            able = able.join(tried, ["pattern", "kind"], "left_anti")
+        able = stage(able.select("pattern", "kind", "times"), "pii-patterns")
+        if able.take(1):
+            new = precise_patterns(docs, scanned, able, confident)
+            patterns = new if patterns is None else patterns.unionByName(new)
+            tried = able.select("pattern", "kind") if tried is None else tried.unionByName(able.select("pattern", "kind"))
+        if patterns is None or not patterns.take(1):
+            return able.select("pattern", "kind", F.lit(1.0).alias("confidence")).limit(0)
+        scored = _scored(edges, patterns).where(F.col("confidence") >= confident)
+        strength = edges.where("seed = 0").join(scored, ["pattern", "kind"])
         instances = strength.groupBy("instance", "kind").agg((1 - F.exp(F.sum(F.log(1 - 0.9 * F.col("confidence"))))).alias("new"))
-        edges = stage(
-            edges.join(instances, ["instance", "kind"], "left").select("pattern", "kind", "instance", "seed", "precision", F.when(F.col("seed") == 1, 1.0).otherwise(F.coalesce("new", "score")).alias("score")),
-            "pii-graph",
-        )
-    scored = edges.groupBy("pattern", "kind").agg((F.avg("score") * F.max("precision")).alias("confidence"))
-    return stage(scored.where(F.col("confidence") >= confident), "pii-confident")
+        edges = stage(edges.join(instances, ["instance", "kind"], "left").withColumn("score", F.when(F.col("seed") == 1, 1.0).otherwise(F.coalesce("new", "score"))).drop("new"), "pii-edges")
+    return stage(_scored(edges, patterns).where(F.col("confidence") >= confident), "pii-confident")
+
+
+def _scored(edges: DataFrame, patterns: DataFrame) -> DataFrame:
+    """(pattern, kind, confidence): the mean score of the labelled instances, times the precision."""
+    return edges.join(patterns, ["pattern", "kind"]).groupBy("pattern", "kind").agg((F.avg("score") * F.max("precision")).alias("confidence"))
 
 
 def discovered(scanned: DataFrame, patterns: DataFrame) -> DataFrame:

@@ -115,6 +115,18 @@ def test_patterns_discover_unseen_identifiers(docs_of):
     assert found[20] == "found_phone:14:28" and found[21] == "" and "found" not in found[23]
 
 
+def test_bootstrap_reaches_beyond_the_seeds(docs_of):
+    # Three seeds and four unseen numbers behind one pattern; a second pattern has only numbers that the first one found, and one more.
+    rows = [(i, f"please just call me at +1 (555) 010-00{i:02d} any time", "en", "s") for i in range(3)]
+    rows += [(10 + i, f"please just call me at (555) 999-123{i} any time", "en", "s") for i in range(4)]
+    rows += [(20 + i, f"and my office line (555) 999-123{i} is open", "en", "s") for i in range(3)] + [(30, "and my office line (555) 888-7777 is open", "en", "s")]
+    rows += [(31, "the other year (555) 777-6666 is alone", "en", "s")]
+    docs = docs_of(rows)
+    scanned = stage(pii.scan(docs), "t")
+    found = {r.doc_id: r.s for r in pii.with_all_spans(docs, scanned).select("doc_id", S.joined(F.col("all_spans")).alias("s")).collect()}
+    assert all("found_phone" in found[i] for i in (10, 11, 12, 13, 20, 21, 22, 30)) and found[31] == ""
+
+
 def test_edges(edge, empty, spark, folder_of):
     d, e = folder_of("documents", edge), folder_of("documents", empty)
     for run in (secrets.op3_secret_scan, pii.op4_contextual_pii):
