@@ -40,8 +40,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, DataType, MapType, StructType
 
+from annspark.llm.rows import packed, row_hash, unpacked
 from annspark.plans.session import stage
 from annspark.sources.tables import table
 
@@ -67,17 +67,6 @@ SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def _has_map(kind: DataType) -> bool:
-    if isinstance(kind, StructType):
-        return any(_has_map(f.dataType) for f in kind.fields)
-    return isinstance(kind, MapType) or isinstance(kind, ArrayType) and _has_map(kind.elementType)
-
-
-def row_hash(docs: DataFrame) -> Column:
-    """A hash of a whole row."""
-    return F.xxhash64(*[F.to_json(F.struct(docs[f"`{f.name}`"])) if _has_map(f.dataType) else docs[f"`{f.name}`"] for f in docs.schema.fields])
-
-
 def sizes(docs: DataFrame) -> DataFrame:
     """doc_id, source, size in words, and tie: a hash of the row."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
@@ -266,16 +255,15 @@ def mix_documents(docs: DataFrame, block_words: int = BLOCK_WORDS, seed: int = S
     # Rows equal in every column have their passes in one list, so one of them stands for all.
     lists = passes.groupBy("doc_id", "tie").agg(F.array_sort(F.collect_list(F.struct("pass", "first", "shard", "parts"))).alias("uses"))
     lists = lists.select(F.col("doc_id").alias("use_id"), F.col("tie").alias("use_tie"), "uses")
-    packed = docs.select(F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("key"), row_hash(docs).alias("hash")).dropDuplicates(["key", "hash"])
-    each = packed.join(lists, F.col("key").eqNullSafe(F.col("use_id")) & (F.col("hash") == F.col("use_tie"))).select("row", F.explode("uses").alias("use"))
+    texts = docs.select(packed(docs), F.col("doc_id").cast("long").alias("key"), row_hash(docs).alias("hash")).dropDuplicates(["key", "hash"])
+    each = texts.join(lists, F.col("key").eqNullSafe(F.col("use_id")) & (F.col("hash") == F.col("use_tie"))).select("row", F.explode("uses").alias("use"))
     text = F.col("row").getField("text").cast("string")
     each = each.select("row", text.alias("text"), F.col("use.parts").alias("parts"), F.col("use.shard").alias("shard"))
     words = f"filter(split(text, '{SPACE}'), w -> w <> '')".replace("\\", "\\\\")
     cut = F.expr(f"transform(array({words}), ws -> array_join(flatten(transform(parts, p -> slice(ws, cast(p.start + 1 AS int), cast(p.stop - p.start AS int)))), ' '))[0]")
     out = each.withColumn("text", F.when(F.col("parts").isNotNull(), cut).otherwise(F.col("text")))
     renewed = {"text": F.col("text"), "n_chars": F.length("text").cast("long")}
-    columns = [renewed[c].alias(c) if c in renewed else F.col("row").getField(c).alias(c) for c in docs.columns]
-    return out.select(*columns, *([F.col("shard").alias(shard_column)] if shard_column else []))
+    return out.select(*unpacked(out, docs.columns, renewed), *([F.col("shard").alias(shard_column)] if shard_column else []))
 
 
 def op7_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,9 +14,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-SPAN = "struct<start: bigint, end: bigint, value: string, left: string>"
-#: Characters of left context kept beside a match.
-LEFT = 48
+SPAN = "struct<start: bigint, end: bigint, value: string, left: string, right: string>"
+#: Characters of left and right context kept beside a match.
+LEFT = RIGHT = 48
 
 
 def _quoted(pattern: str) -> str:
@@ -28,13 +28,15 @@ def located(text: str, found: str, pattern: str) -> Column:
     return F.expr(f"""
         CASE WHEN size(`{found}`) > 0 THEN
             aggregate(
-                zip_with(slice(split(`{text}`, {_quoted(pattern)}, -1), 1, size(`{found}`)), `{found}`, (x, y) -> named_struct('piece', x, 'value', y)),
+                transform(array(split(`{text}`, {_quoted(pattern)}, -1)), ps -> zip_with(
+                    zip_with(slice(ps, 1, size(`{found}`)), `{found}`, (x, y) -> named_struct('piece', x, 'value', y)),
+                    slice(ps, 2, size(`{found}`)), (m, z) -> named_struct('piece', m.piece, 'value', m.value, 'right', substring(z, 1, {RIGHT}))))[0],
                 named_struct('at', 0L, 'out', cast(array() AS array<{SPAN}>)),
                 (a, m) -> named_struct(
                     'at', a.at + length(m.piece) + length(m.value),
                     'out', array_append(a.out, named_struct(
                         'start', a.at + length(m.piece), 'end', a.at + length(m.piece) + length(m.value),
-                        'value', m.value, 'left', substring(m.piece, -{LEFT})))),
+                        'value', m.value, 'left', substring(m.piece, -{LEFT}), 'right', m.right))),
                 a -> a.out)
         ELSE cast(array() AS array<{SPAN}>) END""")
 

@@ -1,7 +1,11 @@
 import hashlib
+import math
 import random
+from collections import Counter, defaultdict
+from statistics import NormalDist
 
 import regex
+from pytest import approx
 from pyspark.sql import functions as F
 
 from annspark.llm import pii, secrets
@@ -79,6 +83,70 @@ def test_long_runs_stay_linear(spark, docs_of, folder_of):
     check(spark, folder, pii.op4_contextual_pii, PERSONAL, rows)
 
 
+def battery(value):
+    """encoding, chi-squared, p_random and p_text of one run, from their definitions."""
+    v = value.rstrip("=").translate(str.maketrans("-_", "+/"))
+    name, _, alphabet, d = next(e for e in secrets.ENCODINGS if regex.search(e[1] or "^", v))
+    n, k = len(v), len(alphabet)
+    chi = sum((c - n / k) ** 2 / (n / k) for c in Counter(v).values()) + (k - len(set(v))) * n / k
+    xs = [alphabet.index(c) for c in v]
+    high = [x >= k / 2 for x in xs]
+    runs, mu = 1 + sum(a != b for a, b in zip(high, high[1:])), 2 * sum(high) * (n - sum(high)) / n
+    mean = sum(xs) / n
+    corr = sum((x - mean) * (y - mean) for x, y in zip(xs, xs[1:])) / max(1e-9, sum((x - mean) ** 2 for x in xs))
+    tail = lambda z: max(1e-15, NormalDist().cdf(-z))
+    h = 2 / (9 * (k - 1))
+    z = [((chi / (k - 1)) ** (1 / 3) - 1 + h) / h**0.5, abs(runs - 1 - mu) / (mu * (mu - 1) / (n - 1)) ** 0.5 if mu > 1 else 9, abs(corr + 1 / n) * n**0.5]
+    joint = tail(z[0]) * min(1, 2 * tail(z[1])) * min(1, 2 * tail(z[2]))
+    s = -math.log(joint)
+    classes = ["U" if c.isupper() else "L" if c.islower() else "D" for c in v if c.isalnum()]
+    pairs, changes = max(1, len(classes) - 1), sum(a != b for a, b in zip(classes, classes[1:]))
+    f, t = changes / pairs, secrets.CLASS_CHANGES
+    rare = pairs * (f * math.log(f / t) + (0 if f == 1 else (1 - f) * math.log((1 - f) / (1 - t)))) if f > t else 0
+    u = rare - math.log(tail(-(chi - (k - 1) - n * d) / (2 * (k - 1) + 4 * n * d) ** 0.5))
+    return name, n, chi, math.exp(-s) * (1 + s + s * s / 2), math.exp(-u) * (1 + u)
+
+
+ALPHABETS = ["0123456789", "0123456789abcdef", "0123456789ABCDEF", "etaoinshr", "ETAOINSHR", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", "abcdefgh0123456789", "ABCDEFGH0189", "ABCxyz", "ABCDEFabcdef0189", "ABCDabcd0189+/", "aaab", "-_Az09"]
+
+
+def test_battery_matches_its_definitions(spark, docs_of):
+    rng = random.Random(5)
+    values = ["".join(rng.choice(a) for _ in range(rng.choice([12, 13, 20, 40, 64, 200]))) + rng.choice(["", "", "=", "=="]) for a in ALPHABETS for _ in range(12)]
+    rows = [(i, f"x {v} y", "en", "s") for i, v in enumerate(values)]
+    got = {r.doc_id: r.tested for r in secrets.scan(docs_of(rows)).collect()}
+    names = set()
+    for i, v in enumerate(values):
+        (t,) = got[i]
+        name, n, chi, p_random, p_text = battery(v)
+        names.add(name)
+        assert (t.start, t.end, t.encoding, t.n) == (2, 2 + len(v), name, n), v
+        assert t.chi == approx(chi) and t.p_random == approx(p_random, 0.02, 1e-14) and t.p_text == approx(p_text, 0.02, 1e-14), (v, t)
+    assert names == {e[0] for e in secrets.ENCODINGS}
+
+
+def test_step_up_matches_its_definition(spark):
+    rng = random.Random(8)
+    rows = [(float(rng.choice([12, 20, 40, 90])), rng.random() ** 8, rng.random() * (0.002 if i % 3 else 1e-9)) for i in range(3000)] + [(30.0, 0.5, rng.random()) for _ in range(9000)]
+    df = spark.createDataFrame([([r],) for r in rows], "tested array<struct<n: double, p_random: double, p_text: double>>")
+    mean, least = secrets.threshold(df)
+    want = sum(min(n, secrets.FULL_LENGTH) for n, *_ in rows) / len(rows)
+    assert mean == approx(want)
+    bins = [max(0, min(secrets.BINS, math.floor(secrets.BINS_PER_DECADE * -math.log10(p / (min(n, secrets.FULL_LENGTH) / want))))) for n, _, p in rows]
+    best = [b for b in set(bins) if len(rows) * 10 ** (-b / secrets.BINS_PER_DECADE) <= secrets.DISCOVERY_RATE * sum(c >= b and r[1] >= secrets.RANDOM_LEVEL for c, r in zip(bins, rows))]
+    assert best and least == min(best)
+    assert secrets.threshold(df.limit(0)) == (1.0, float("inf"))
+
+
+def test_base_spans_are_tested_too(spark, docs_of, folder_of):
+    rng = random.Random(3)
+    rows = [(i, "set token=" + "".join(rng.choice("0123456789abcdef") for _ in range(40)) + " now", "en", "s") for i in range(30)]
+    rows += [(100, "password=internationalisation and the understanding of it", "en", "s")]
+    got = {r.doc_id: r for r in secrets.op3_secret_scan(spark, folder_of("documents", docs_of(rows))).collect()}
+    assert sum(got[i].n_confirmed for i in range(30)) >= 25 and all(got[i].battery.startswith("hex:10:50:") and got[i].n_random == 0 for i in range(30))
+    assert got[100].spans == "assign:0:29" and got[100].n_confirmed == 0 and got[100].n_tested == 2 and got[100].battery.startswith("lower:9:29:")
+
+
 def test_random_tokens_are_found_and_plain_ones_left(spark, docs_of, folder_of):
     rng = random.Random(9)
     alphabet = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
@@ -97,7 +165,23 @@ def test_redactions(docs_of):
     got = {r.doc_id: r for r in secrets.redact(docs).collect()}
     assert got[1].text == "x [SECRET] y" and got[1].n_chars == len(got[1].text) and got[2].text is None and got[3].text == "clean text" and got[3].n_chars == 10
     assert secrets.redact(docs).columns == docs.columns
-    assert {r.doc_id: r.text for r in pii.redact(docs).collect()}[4] == "mail é [EMAIL] now"
+    masked = {r.doc_id: r for r in pii.redact(docs).collect()}
+    assert masked[4].text == "mail é [EMAIL] now" and masked[4].n_chars == 18 and masked[2].text is None and masked[3].text == "clean text"
+
+
+def test_extra_columns_with_the_names_used_inside(spark):
+    names = ["base", "candidate", "tested", "found", "all_spans", "added", "assign", "access", "hex", "candidate__raw", "assign__at", "__text", "row", "places", "clear", "email", "ip", "key", "a.b"]
+    rows = [(1, "x password=abcdefghijklmnop y bob@example.com", "en", "s", 45, *names), (2, None, None, None, None, *names)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"`{n}` string" for n in names))
+    for op, text in ((secrets, "x [SECRET] y bob@example.com"), (pii, "x password=abcdefghijklmnop y [EMAIL]")):
+        got = {r[0]: tuple(r) for r in op.redact(docs).collect()}
+        assert got == {1: (1, text, "en", "s", len(text), *names), 2: rows[1]}
+        assert op.scan(docs).count() == 2
+
+
+def test_found_identifiers_are_masked(docs_of):
+    rows = [(i, f"hello there you can call me at +1 (555) 010-00{i:02d} any time", "en", "s") for i in range(8)] + [(20, "so call me at (555) 999-1234 then", "en", "s")]
+    assert {r.doc_id: r.text for r in pii.redact(docs_of(rows)).collect()}[20] == "so call me at [PHONE] then"
 
 
 def test_overlapping_spans_are_replaced_once(spark):
@@ -127,6 +211,102 @@ def test_bootstrap_reaches_beyond_the_seeds(docs_of):
     assert all("found_phone" in found[i] for i in (10, 11, 12, 13, 20, 21, 22, 30)) and found[31] == ""
 
 
+def shape(v):
+    n = len(digits(v))
+    if regex.search(r"@|[(\[]at[)\]]", v):
+        return "email"
+    if regex.search(r"^[0-9]+(?:[.:][0-9]+){3,7}$", v):
+        return "ip"
+    return "card" if 12 <= n <= 19 else "phone" if 7 <= n <= 11 else None
+
+
+def induced(text, start, end):
+    """The patterns of one place, from the text around it."""
+    left, right = text[:start].lower(), text[end:].lower()
+    out, w = [], left.split()
+    if left[-1:].isspace() and w:
+        out += ["one|" + w[-1]] + (["two|" + " ".join(w[-2:])] if len(w) > 1 else [])
+        m = regex.match(r"\s+(\S+)\s", right)
+        out += [f"both|{w[-1]} {m[1]}"] if m else []
+    m = regex.search(r"(?<!\p{L})(\p{L}{1,20}[:=#])\s?$", left)
+    return out + (["label|" + m[1]] if m else [])
+
+
+def all_occurrences(text):
+    w = text.lower().split()
+    yield from ("one|" + x for x in w)
+    yield from (f"two|{a} {b}" for a, b in zip(w, w[1:]))
+    yield from (f"both|{a} {b}" for g in range(1, pii.GAP_WORDS + 1) for a, b in zip(w, w[g + 1 :]))
+    yield from ("label|" + x for x in regex.findall(r"(?<!\p{L})\p{L}{1,20}[:=#]", text.lower()))
+
+
+def bootstrap(texts):
+    """Brute force: {(pattern, kind): (support, confidence or its bound, confident)} and {text number: found spans}."""
+    places = []
+    for t, text in enumerate(texts):
+        base = wanted(text, PERSONAL)
+        places += [(t, kind, text[s:e].lower(), 1, s, e) for s, _, kind, e in base]
+        for m in regex.finditer(pii.CANDIDATE.replace(r"\x20", " "), text):
+            if shape(m[0]) and not any(s < m.end() and m.start() < e for s, _, _, e in base):
+                places.append((t, shape(m[0]), m[0].lower(), 0, *m.span()))
+    seeds, times, with_places = {}, Counter(), set()
+    for t, kind, value, seed, s, e in places:
+        for p in induced(texts[t], s, e):
+            with_places.add(t)
+            seeds[p, kind, value] = max(seed, seeds.get((p, kind, value), 0))
+            times[p, kind] += 1
+    score = {(k, v): 1.0 for (p, k, v), seed in seeds.items() if seed}
+    owned = lambda p, k, v: 1.0 if seeds[p, k, v] else score.get((k, v)) if (k, v, "new") in score else None
+    near, whole = (Counter(p for t in some for p in all_occurrences(texts[t])) for some in (with_places, range(len(texts))))
+    precision = {}
+    def confidence(key):
+        own = [x for (p, k, v) in seeds if (p, k) == key and (x := owned(p, k, v)) is not None]
+        return sum(own) / len(own) * precision[key][0]
+    for _ in range(pii.ROUNDS):
+        known = Counter((p, k) for (p, k, v) in seeds if (owned(p, k, v) or 0) >= pii.CONFIDENT)
+        for key in [key for key, n in known.items() if n >= pii.MIN_SEEDS and key not in precision]:
+            bound = times[key] / max(times[key], near[key[0]])
+            precision[key] = (times[key] / max(times[key], whole[key[0]]), True) if bound >= pii.CONFIDENT else (bound, False)
+        sure = {key: c for key in precision if precision[key][1] and (c := confidence(key)) >= pii.CONFIDENT}
+        miss = defaultdict(lambda: 1.0)
+        for (p, k, v), seed in seeds.items():
+            if not seed and (p, k) in sure:
+                miss[k, v] *= 1 - 0.9 * sure[p, k]
+        if not miss:
+            break
+        for (k, v), x in miss.items():
+            score[k, v], score[k, v, "new"] = 1 - x, True
+    out = {key: (sum(seed for (p, k, v), seed in seeds.items() if (p, k) == key), confidence(key), precision[key][1] and confidence(key) >= pii.CONFIDENT) for key in precision}
+    found = defaultdict(set)
+    for t, kind, value, seed, s, e in places:
+        if not seed and any(out.get((p, kind), (0, 0, False))[2] for p in induced(texts[t], s, e)):
+            found[t].add(f"found_{kind}:{s}:{e}")
+    return out, found
+
+
+def test_the_graph_by_brute_force(docs_of):
+    rng = random.Random(12)
+    heads = ["please call me at ", "reach us: tel: ", "office tel:", "mail to ", "the host is ", "of the ", "in ", "my number ", "id "]
+    def thing():
+        n = lambda k: "".join(rng.choice("0123456789") for _ in range(k))
+        phones, mails = [f"+1 ({n(3)}) 555-{n(4)}", f"({n(3)}) 555-{n(4)}", f"{n(3)}-{n(4)}"], [f"bob{n(2)} [at] mail.example", f"bob{n(2)}@mail.example.com"]
+        value = rng.choice([*phones, *mails, f"10.{n(1)}.{n(2)}.7", f"10.{n(1)}.{n(2)}.7.9", n(16)])
+        own = heads[0] if value in phones else heads[3] if value in mails else heads[4]
+        return (own if rng.random() < 0.6 else rng.choice(heads)) + value
+    texts = [" ".join(thing() + rng.choice([" any time", " today please", "", " and of the day"]) + "." * rng.randint(0, 1) for _ in range(rng.randint(1, 3))) for _ in range(150)]
+    texts += ["of the day in the year", "my number is up", "in of in of in the", "tel: none, tel: none"] * 3
+    want, found = bootstrap(texts)
+    docs = docs_of([(i, t, "en", "s") for i, t in enumerate(texts)])
+    scanned = stage(pii.scan(docs), "t")
+    got = {(r.pattern, r.kind): (r.support, r.confidence, r.confident) for r in pii.scored_patterns(docs, scanned).collect()}
+    assert got.keys() == want.keys() and len({p.split("|")[0] for p, _ in want}) == 4
+    for key, (support, c, sure) in want.items():
+        assert got[key][0] == support and got[key][1] == approx(c, 1e-6) and got[key][2] == sure, key
+    assert {sure for *_, sure in want.values()} == {True, False} and found
+    spans = {r.doc_id: {x for x in r.s.split(",") if x.startswith("found")} for r in pii.with_all_spans(docs, scanned).select("doc_id", S.joined(F.col("all_spans")).alias("s")).collect()}
+    assert spans == {i: found.get(i, set()) for i in range(len(texts))}
+
+
 def test_edges(edge, empty, spark, folder_of):
     d, e = folder_of("documents", edge), folder_of("documents", empty)
     for run in (secrets.op3_secret_scan, pii.op4_contextual_pii):
