@@ -1,9 +1,11 @@
-"""A stated query set against all vectors, in blocks of bounded size.
-
-Queries go to the driver and out again in blocks of at most about QUERY_BLOCK
-rows, so what is broadcast doesn't grow with the data; each block meets every
-candidate where it lies. A task keeps the best hits of its partition (one shard)
-and returns at most k rows for each query, and a window merges the shards.
+"""A stated query set against all vectors, in a grid of query blocks and candidate shards.
+
+Queries fall into blocks of about QUERY_BLOCK rows and candidates into shards,
+both by a hash of the id. Each cell of the grid is one group of rows: a block's
+queries first, then a shard's candidates, which stream past them in Arrow
+batches. So a task holds one block and one batch, whatever the table's size,
+nothing passes the driver, and a lost task is redone from shuffled rows. A cell
+returns at most k rows for each query, and a window merges the shards.
 """
 
 from __future__ import annotations
@@ -19,6 +21,9 @@ from pyspark.sql import functions as F
 from annspark.plans.session import ship_package
 
 QUERY_BLOCK = 8192
+#: Candidates of a shard, at most about so many; there are at least SPREAD shards for each core.
+SHARD_ROWS = 262_144
+SPREAD = 3
 
 
 def valid_vectors(df: DataFrame, nonzero: bool = False) -> DataFrame:
@@ -30,10 +35,9 @@ def valid_vectors(df: DataFrame, nonzero: bool = False) -> DataFrame:
     return df.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>")).where(fine)
 
 
-def matrices(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(ids, matrix) of a batch for each vector length in it."""
-    ids = batch.column(0).to_numpy(zero_copy_only=False)
-    lists = batch.column(1)
+def matrices(ids: pa.Array, lists: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(ids, matrix) of rows for each vector length among them."""
+    ids = ids.to_numpy(zero_copy_only=False)
     ends = lists.offsets.to_numpy()
     flat = lists.values.to_numpy(zero_copy_only=False)
     width = np.diff(ends)
@@ -42,26 +46,17 @@ def matrices(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         yield ids[rows], flat[ends[rows][:, None] + np.arange(d)]
 
 
-def query_blocks(queries: DataFrame) -> Iterator[dict[int, tuple[np.ndarray, np.ndarray]]]:
-    """Blocks of distinct queries by vector length: {length: (ids, matrix)}. Of rows that repeat an id the smallest vector counts."""
-    n = queries.count()
-    blocks = -(-n // QUERY_BLOCK)
-    for b in range(blocks):
-        rows = queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).groupBy("vec_id").agg(F.min("embedding").alias("embedding")).toArrow()
-        out: dict[int, tuple[list, list]] = {}
-        for batch in rows.to_batches():
-            for ids, m in matrices(batch):
-                held = out.setdefault(m.shape[1], ([], []))
-                held[0].append(ids)
-                held[1].append(m)
-        yield {d: (np.concatenate(i), np.concatenate(m)) for d, (i, m) in out.items()}
-
-
 class Best:
-    """The k best hits of each query so far: larger scores first, then smaller ids."""
+    """The k best hits of each query so far: larger scores first, then smaller ids.
+
+    ``seen`` counts each query's reranked candidates, ``memo`` holds what a
+    visit derives from its queries alone.
+    """
 
     def __init__(self, n: int, k: int):
         self.k = k
+        self.seen = np.zeros(n, np.int64)
+        self.memo: dict = {}
         self.ids: list[np.ndarray] = [np.empty(0, np.int64)] * n
         self.scores: list[np.ndarray] = [np.empty(0)] * n
 
@@ -78,40 +73,75 @@ class Best:
         self.ids[q], self.scores[q] = ids[order], scores[order]
 
 
-def search(
-    candidates: DataFrame, queries: DataFrame, k: int, visit: Callable[[np.ndarray, np.ndarray, np.ndarray, np.ndarray, Best], None], score_type: str
-) -> DataFrame:
+Visit = Callable[[np.ndarray, np.ndarray, np.ndarray, np.ndarray, Best], None]
+
+
+def grid(candidates: DataFrame, queries: DataFrame) -> DataFrame:
+    """(block, shard, side, vec_id, embedding), sorted: of each cell first the queries (side 0), then the candidates."""
+    distinct = queries.groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
+    blocks = max(1, -(-distinct.count() // QUERY_BLOCK))
+    cores = candidates.sparkSession.sparkContext.defaultParallelism
+    shards = max(-(-candidates.count() // SHARD_ROWS), -(-SPREAD * cores // blocks))
+    part = lambda n, salt: F.pmod(F.xxhash64("vec_id", F.lit(salt)), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = distinct.select(part(blocks, 1).alias("block"), every(shards).alias("shard"), F.lit(0).alias("side"), "vec_id", "embedding")
+    right = candidates.select(every(blocks).alias("block"), part(shards, 2).alias("shard"), F.lit(1).alias("side"), "vec_id", "embedding")
+    return left.unionByName(right).repartition(blocks * shards, "block", "shard").sortWithinPartitions("block", "shard", "side")
+
+
+def search(candidates: DataFrame, queries: DataFrame, k: int, visit: Visit, score_type: str, counted: bool = False) -> DataFrame:
     """(query_id, rank, vec_id, score) of the k best candidates that ``visit`` finds for each query.
 
     ``visit(query ids, queries, candidate ids, candidates, best)`` adds the hits
-    of one batch of candidates.
+    of one batch of candidates. Of rows that repeat a query's id the smallest
+    vector counts. ``counted`` adds n_candidates: how many were reranked.
     """
     ship_package(candidates.sparkSession)
-    schema = f"query_id long, vec_id long, score {score_type}"
-    kind = pa.int64() if score_type == "long" else pa.float64()
-    parts = []
-    for block in query_blocks(queries):
-        shared = candidates.sparkSession.sparkContext.broadcast(block)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            best = {d: Best(len(ids), k) for d, (ids, _) in shared.value.items()}
-            for batch in batches:
-                for ids, m in matrices(batch):
-                    if m.shape[1] in best:
-                        visit(*shared.value[m.shape[1]], ids, m, best[m.shape[1]])
-            for d, hits in best.items():
-                n = [len(x) for x in hits.ids]
-                scores = np.concatenate(hits.scores) if n else np.empty(0)
-                scores = scores.astype(np.int64) if kind == pa.int64() else scores.astype(np.float64)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.repeat(shared.value[d][0], n)), pa.array(np.concatenate(hits.ids)), pa.array(scores, kind)], ["query_id", "vec_id", "score"]
-                )
-
-        parts.append(candidates.mapInArrow(run, schema))
-    if not parts:
-        return candidates.sparkSession.createDataFrame([], f"query_id long, rank int, vec_id long, score {score_type}")
-    found = parts[0]
-    for part in parts[1:]:
-        found = found.unionByName(part)
+    whole = score_type == "long"
+
+    def found(block: dict[int, tuple[np.ndarray, np.ndarray, Best]]) -> Iterator[pa.RecordBatch]:
+        for ids, _, best in block.values():
+            n = [len(x) for x in best.ids]
+            if not sum(n):
+                continue
+            scores = np.concatenate(best.scores).astype(np.int64 if whole else np.float64)
+            seen = np.zeros(sum(n), np.int64)
+            has = np.array(n) > 0
+            seen[(np.cumsum(n) - n)[has]] = best.seen[has]  # on a query's first row
+            columns = [pa.array(np.repeat(ids, n)), pa.array(np.concatenate(best.ids)), pa.array(scores, pa.int64() if whole else pa.float64()), pa.array(seen)]
+            yield pa.RecordBatch.from_arrays(columns, ["query_id", "vec_id", "score", "seen"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held, block = None, {}, None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cell = np.stack([batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)])
+            cuts = [0, *(np.flatnonzero((cell[:, 1:] != cell[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
+            for s, e in zip(cuts, cuts[1:]):
+                b, h, side = cell[:, s].tolist()
+                if (b, h) != now:
+                    if block:
+                        yield from found(block)
+                    now, held, block = (b, h), {}, None
+                rows = batch.slice(s, e - s)
+                for ids, m in matrices(rows.column(3), rows.column(4)):
+                    if side == 0:
+                        got = held.setdefault(m.shape[1], ([], []))
+                        got[0].append(ids)
+                        got[1].append(m)
+                        continue
+                    if block is None:
+                        block = {d: (np.concatenate(i), np.concatenate(x), Best(sum(map(len, i)), k)) for d, (i, x) in held.items()}
+                    if m.shape[1] in block:
+                        query_ids, wanted, best = block[m.shape[1]]
+                        visit(query_ids, wanted, ids, m, best)
+        if block:
+            yield from found(block)
+
+    hits = grid(candidates, queries).mapInArrow(run, f"query_id long, vec_id long, score {score_type}, seen long")
     by = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    if counted:
+        hits = hits.withColumn("n_candidates", F.sum("seen").over(W.partitionBy("query_id")))
+    ranked = hits.withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= k)
+    return ranked.select("query_id", "rank", "vec_id", "score", *(["n_candidates"] if counted else []))

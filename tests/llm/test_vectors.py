@@ -6,6 +6,7 @@ import pytest
 
 from annspark.llm import cross_polytope as X
 from annspark.llm import maxscore as M
+from annspark.llm import vector_blocks as B
 
 SCHEMA = "vec_id long, embedding array<float>, label int, score string, query_id int"
 
@@ -48,8 +49,9 @@ def test_maxscore_with_large_values(spark):
     assert [(r.vec_id, r.score) for r in sorted(got, key=lambda r: r["rank"])] == [(i, -s) for s, i in want]
 
 
-def test_cross_polytope_recall_and_scores(spark):
-    folder = "/root/testdata/sf0.1"
+@pytest.mark.parametrize("sf", ["sf0.01", "sf0.1"])
+def test_cross_polytope_recall_and_scores(spark, sf):
+    folder = f"/root/testdata/{sf}"
     t = pq.read_table(f"{folder}/embeddings.parquet")
     ids, x = t["vec_id"].to_numpy(), np.stack(t["embedding"].to_numpy()).astype(float)
     norm = np.linalg.norm(x, axis=1)
@@ -64,6 +66,27 @@ def test_cross_polytope_recall_and_scores(spark):
         s[q] = -9
         hits.append(len(set(ids[np.lexsort((ids, -s))[:5]]) & set(found[ids[q]])) / 5)
     assert np.mean(hits) >= 0.9
+    share = {r.query_id: r.n_candidates / len(ids) for r in X.op10_cross_polytope(spark, folder).collect()}
+    assert 0 < np.mean(list(share.values())) <= 0.2
+
+
+def test_many_blocks_and_shards(spark, monkeypatch):
+    monkeypatch.setattr(B, "QUERY_BLOCK", 7)
+    monkeypatch.setattr(B, "SHARD_ROWS", 40)
+    rows = make(spark, rows_for(300, 8, 6))
+    ints, reals = M.integer_vectors(rows), B.valid_vectors(rows, nonzero=True)
+    cells = B.grid(ints, ints.where("vec_id % 5 = 0")).select("block", "shard").distinct().count()
+    assert cells > 40
+    got = sorted(tuple(r) for r in M.top_k(ints, ints.where("vec_id % 5 = 0")).collect())
+    good = [(r.vec_id, r.embedding) for r in ints.collect()]
+    want = []
+    for q, v in {q: v for q, v in good if q % 5 == 0}.items():
+        hits = sorted((-int(np.dot(v, w)), i) for i, w in good if i != q and len(w) == len(v))[:5]
+        want += [(q, r, i, -s) for r, (s, i) in enumerate(hits, 1)]
+    assert got == sorted(want)
+    found = sorted(tuple(r) for r in X.nearest(reals, reals.where("vec_id % 5 = 0")).collect())
+    monkeypatch.undo()
+    assert found == sorted(tuple(r) for r in X.nearest(reals, reals.where("vec_id % 5 = 0")).collect()) and len(found) == len(got) - 5
 
 
 def test_copies_tie_by_id(spark, folder_of):
@@ -76,10 +99,18 @@ def test_copies_tie_by_id(spark, folder_of):
 
 def test_transform_is_orthogonal():
     x = np.random.default_rng(1).normal(size=(5, 16)).astype(np.float32)
-    y = X.rotations(x, 3)
+    y = np.stack(list(X.rotated(x, 3)))
     assert np.allclose(np.linalg.norm(y, axis=2), 1, atol=1e-5) and not np.allclose(y[0], y[1])
     assert np.allclose(X.hadamard(X.hadamard(np.eye(8))), 8 * np.eye(8))
-    assert (X.axes(y) == X.probes(y, 3)[:, :, 0]).all()
+    x = np.random.default_rng(2).normal(size=(20, 16))
+    y = np.abs(np.stack(list(X.rotated(x, 4))))
+    code, probe = X.codes(x, 2), X.probes(x, 2, 10)
+    assert (code == probe[:, :, 0]).all()
+    for t in range(2):
+        for r in range(20):
+            sums = np.sort((y[2 * t, r][:, None] + y[2 * t + 1, r][None, :]).ravel())[::-1]
+            of = [y[2 * t, r][p // 32 // 2] + y[2 * t + 1, r][p % 32 // 2] for p in probe[t, r]]
+            assert len(set(probe[t, r].tolist())) == 10 and np.allclose(of, sums[:10])
 
 
 @pytest.mark.parametrize("run", [M.op9_maxscore_top_k, X.op10_cross_polytope])
