@@ -6,21 +6,23 @@ components of the links.
 
 The search never compares all fingerprints. Two fingerprints within two bits
 agree on one of three fixed bit blocks, so each distinct fingerprint goes to
-three shards keyed by (block, block value). Every shard builds a BK-tree, whose
-children are keyed by their Hamming distance to the parent, and follows only
-edges within the radius. The trees live in the task that owns the shard and
-aren't broadcast, because their total size grows with the corpus. Each shard
-returns a spanning forest of its links (at most one row per fingerprint), never
-the pairs, so copies are not expanded. A shard too large for a tree walk is
-joined through one-bit neighbours instead: two values within two bits share a
-value at distance one from each, so equal neighbour values link exactly the
-same texts in linear time.
+three shards, one for each block, keyed by the bits it has there. A shard over
+SHARD_VALUES values is split the same way: its free bits fall into three blocks
+again, and each of its values goes to three smaller shards. After three splits a
+shard has at most 14 free bits and so at most 16,384 values, which bounds every
+task. Every shard builds a BK-tree, whose children are keyed by their Hamming
+distance to the parent, and follows only edges within the radius. The trees live
+in the task that owns the shard and aren't broadcast, because their total size
+grows with the corpus. Each shard returns a spanning forest of its links (at
+most one row per fingerprint), never the pairs, so copies are not expanded.
 
 Defined cases: a null text is an empty text; no words give fingerprint zero,
 which links like any other; fewer than three words are one shingle; repeated
 rows share a fingerprint and so a class; rows without a doc_id count towards
 links but never name a class, whose id is null only if all its ids are null.
-Extra columns are ignored whatever their names; an empty table gives no rows.
+Rows that repeat a doc_id but are in different classes are different documents.
+Extra columns are ignored by the classes and kept by the filter, whatever their
+names; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -31,7 +33,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
+from annspark.llm.rows import packed, row_hash, unpacked
 from annspark.plans.session import ship_package, stage
 from annspark.plans.skew import join_hot_apart
 from annspark.sources.tables import table
@@ -40,10 +44,9 @@ SHINGLE_WORDS = 3
 SEED = 42
 RADIUS = 2
 #: Three blocks: two differing bits leave at least one block equal.
-BLOCKS = ((0, 21), (21, 42), (42, 64))
-#: Above this size a shard uses one-bit neighbours instead of a tree walk.
-TREE_LIMIT = 1024
-LEAF = 24
+PARTS = RADIUS + 1
+#: A shard with more values is split, up to so many times.
+SHARD_VALUES, SPLITS = 1024, 3
 
 
 def fingerprint(text: str | None) -> int:
@@ -83,31 +86,24 @@ class BKTree:
     """A BK-tree over distinct unsigned 64-bit values.
 
     Children hang on their integer distance to the parent. Nodes are added in
-    bulk: the first value is the root, the rest split by distance to it, and
-    small groups stay as leaves.
+    bulk: the first value is the root, and the rest split by distance to it.
     """
 
-    __slots__ = ("root", "children", "leaf")
+    __slots__ = ("root", "children")
 
     def __init__(self, values: np.ndarray):
         self.children: dict[int, BKTree] = {}
-        self.leaf = values if len(values) <= LEAF else None
         self.root = values[0] if len(values) else None
-        if self.leaf is None:
-            rest = values[1:]
+        rest = values[1:]
+        if len(rest):
             gap = np.bitwise_count(rest ^ self.root)
-            for d in np.unique(gap):
-                self.children[int(d)] = BKTree(rest[gap == d])
+            for d in set(gap.tolist()):
+                self.children[d] = BKTree(rest[gap == d])
 
     def within(self, queries: np.ndarray, radius: int = RADIUS) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Pairs (query values, tree values) at most ``radius`` apart, in bulk."""
         if not len(queries) or self.root is None:
             return
-        if self.leaf is not None:
-            q, t = np.nonzero(np.bitwise_count(queries[:, None] ^ self.leaf[None, :]) <= radius)
-            if len(q):
-                yield queries[q], self.leaf[t]
-            return
         gap = np.bitwise_count(queries ^ self.root).astype(np.int16)
         near = queries[gap <= radius]
         if len(near):
@@ -135,77 +131,84 @@ class Forest:
             self.up[max(a, b)] = min(a, b)
 
 
-def shard_links(values: np.ndarray, block: tuple[int, int]) -> tuple[np.ndarray, np.ndarray]:
+def shard_links(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest of the links among the sorted distinct values of one shard."""
     n = len(values)
     forest = Forest(n)
-    if n <= TREE_LIMIT:
-        for q, t in BKTree(values).within(values):
-            for a, b in set(zip(np.searchsorted(values, q).tolist(), np.searchsorted(values, t).tolist())):
-                forest.join(a, b)
-    else:
-        free = np.array([0] + [1 << b for b in range(64) if not block[0] <= b < block[1]], np.uint64)
-        order = values.argsort(kind="stable")
-        # Each of the (at most 44) neighbour columns meets the sorted table of
-        # those before it; a running table keeps one owner for each value.
-        keys, owner = np.empty(0, np.uint64), np.empty(0, np.int64)
-        for flip in free:
-            near = values ^ flip
-            keys, who = np.concatenate([keys, near]), np.concatenate([owner, order])
-            by = keys.argsort(kind="stable")
-            keys, who = keys[by], who[by]
-            same = np.flatnonzero(keys[1:] == keys[:-1])
-            for a, b in zip(who[same].tolist(), who[same + 1].tolist()):
-                forest.join(a, b)
-            first = np.concatenate([[True], keys[1:] != keys[:-1]])
-            keys, owner = keys[first], who[first]
+    for q, t in BKTree(values).within(values):
+        for a, b in zip(np.searchsorted(values, q).tolist(), np.searchsorted(values, t).tolist()):
+            forest.join(a, b)
     roots = np.array([forest.find(x) for x in range(n)], np.int64)
     linked = np.flatnonzero(roots != np.arange(n))
     return values[linked], values[roots[linked]]
 
 
 def _links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by (block, key, fp): one shard after another, across batches."""
+    """Rows sorted by (fixed, key, fp): one shard after another, across batches."""
     held: list[np.ndarray] = []
     now: tuple[int, int] | None = None
 
-    def out(shard: tuple[int, int] | None, parts: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+    def out(parts: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         values = np.unique(np.concatenate(parts)) if parts else np.empty(0, np.uint64)
-        if shard is not None and len(values) > 1:
-            a, b = shard_links(values, BLOCKS[shard[0]])
+        if len(values) > 1:
+            a, b = shard_links(values)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["a", "b"])
 
     for batch in batches:
         if not batch.num_rows:
             continue
-        block, key, fp = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
-        edges = np.flatnonzero((block[1:] != block[:-1]) | (key[1:] != key[:-1])) + 1
+        fixed, key, fp = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
+        edges = np.flatnonzero((fixed[1:] != fixed[:-1]) | (key[1:] != key[:-1])) + 1
         starts, ends = np.concatenate([[0], edges]), np.concatenate([edges, [len(fp)]])
         lone = ends - starts == 1
         for i in np.flatnonzero(~lone | (starts == 0) | (ends == len(fp))):
             s, e = int(starts[i]), int(ends[i])
-            shard = (int(block[s]), int(key[s]))
+            shard = (int(fixed[s]), int(key[s]))
             if shard != now:
-                yield from out(now, held)
+                yield from out(held)
                 now, held = shard, []
             held.append(fp[s:e].astype(np.int64).view(np.uint64))
-    yield from out(now, held)
+    yield from out(held)
+
 
+def parts_of(fixed: int) -> list[int]:
+    """The masks of the shards that a shard with the fixed bits ``fixed`` is split into: each fixes a third of the free bits more."""
+    free = [b for b in range(64) if not fixed >> b & 1]
+    cuts = [len(free) * i // PARTS for i in range(PARTS + 1)]
+    masks = [fixed | sum(1 << b for b in free[s:e]) for s, e in zip(cuts, cuts[1:])]
+    return [m - (1 << 64) if m >> 63 else m for m in masks]
 
-def _block_key(i: int) -> F.Column:
-    low, high = BLOCKS[i]
-    return F.shiftrightunsigned(F.col("fp"), low).bitwiseAND(F.lit((1 << (high - low)) - 1))
+
+def _split(rows: DataFrame, masks: list[int]) -> DataFrame:
+    """(fixed, key, fp): each row's value in the shards of ``masks``."""
+    part = F.explode(F.array(*[F.lit(m).cast("long") for m in masks])).alias("fixed")
+    return rows.select("fp", part).select("fixed", F.col("fixed").bitwiseAND(F.col("fp")).alias("key"), "fp")
+
+
+def shards(distinct: DataFrame) -> DataFrame:
+    """(fixed, key, fp): every value of ``distinct(fp)`` in its shards, none with more values than a task can hold."""
+    masks, rows, done = parts_of(0), _split(distinct, parts_of(0)), None
+    for _ in range(SPLITS):
+        large = stage(rows.groupBy("fixed", "key").agg(F.count("*").alias("n")).where(F.col("n") > SHARD_VALUES).drop("n"), "large-shards")
+        if not large.take(1):
+            break
+        fine = rows.join(large, ["fixed", "key"], "left_anti")
+        done = fine if done is None else done.unionByName(fine)
+        inside = rows.join(large, ["fixed", "key"], "left_semi")
+        finer = [_split(inside.where(F.col("fixed") == m), parts_of(m & (1 << 64) - 1)) for m in masks]
+        masks = [p for m in masks for p in parts_of(m & (1 << 64) - 1)]
+        rows = finer[0]
+        for more in finer[1:]:
+            rows = rows.unionByName(more)
+        rows = stage(rows, "shards")
+    return rows if done is None else done.unionByName(rows)
 
 
 def link_forest(distinct: DataFrame) -> DataFrame:
     """Links (a, b) between different fingerprints that span every class of ``distinct(fp)``."""
     ship_package(distinct.sparkSession)
-    shards = distinct.select(
-        F.col("fp"),
-        F.explode(F.array(*[F.struct(F.lit(i).alias("block"), _block_key(i).alias("key")) for i in range(len(BLOCKS))])).alias("s"),
-    ).select("s.block", "s.key", "fp")
-    return shards.repartition("block", "key").sortWithinPartitions("block", "key", "fp").mapInArrow(_links, "a long, b long")
+    return shards(distinct).repartition("fixed", "key").sortWithinPartitions("fixed", "key", "fp").mapInArrow(_links, "a long, b long")
 
 
 def components(links: DataFrame, rounds: int = 60) -> DataFrame:
@@ -248,34 +251,45 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
 
 
 def near_duplicate_classes(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp, component_id) for each row of ``docs``; component_id is the smallest doc_id of the class."""
+    """(doc_id, fp, root, component_id) for each row of ``docs``: root is the class's smallest fingerprint, component_id its smallest doc_id."""
     each = stage(fingerprints(docs), "fingerprints")
     nodes = stage(each.groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("n")), "nodes")
     roots = stage(components(link_forest(nodes.select("fp"))), "roots")
     linked = roots.withColumnRenamed("node", "fp").unionByName(roots.select(F.col("root").alias("fp"), "root").distinct())
     linked = nodes.join(linked, "fp").select("fp", "root", "low")
     low = linked.groupBy("root").agg(F.min("low").alias("class_low"))
-    classes = nodes.join(linked.join(low, "root").select("fp", "class_low"), "fp", "left").select("fp", "n", F.coalesce("class_low", "low").alias("component_id"))
-    return join_hot_apart(each, stage(classes, "classes"), "fp", "n").select("doc_id", "fp", "component_id")
+    classes = nodes.join(linked.join(low, "root").select("fp", "root", "class_low"), "fp", "left")
+    classes = classes.select("fp", "n", F.coalesce("root", "fp").alias("root"), F.coalesce("class_low", "low").alias("component_id"))
+    return join_hot_apart(each, stage(classes, "classes"), "fp", "n").select("doc_id", "fp", "root", "component_id")
+
+
+@F.arrow_udf(LongType())
+def _fingerprint_of(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+    for batch in texts:
+        yield pa.array(np.array([fingerprint(t.as_py()) for t in batch], np.uint64).view(np.int64), pa.int64())
 
 
 def keep_representatives(docs: DataFrame) -> DataFrame:
     """One document of each class, all columns of ``docs``.
 
-    The row with the class's smallest doc_id stays; of rows that repeat that id
-    one stays, and a class without any id keeps its rows.
+    The row with the class's smallest doc_id stays. Of rows that repeat that id
+    within a class, and of a class without any id, the row with the least hash
+    stays; rows that repeat an id in different classes all stay.
     """
     classes = stage(near_duplicate_classes(docs), "classes")
-    kept = stage(classes.where(F.col("doc_id") == F.col("component_id")).groupBy("doc_id").agg(F.count("*").alias("rows_of_id")), "kept")
-    once, more = kept.where("rows_of_id = 1").select("doc_id"), kept.where("rows_of_id > 1").select("doc_id")
+    kept = classes.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    ids = stage(kept.groupBy("doc_id").agg(F.count("*").alias("rows_of_id")), "kept")
+    alone = F.col("doc_id").isNotNull() & (F.col("rows_of_id") == 1)
+    once, more = ids.where(alone).select(F.col("doc_id").alias("kept_id")), ids.where(~alone).select(F.col("doc_id").alias("kept_id"))
+    rows = docs.select(packed(docs), F.col("doc_id").cast("long").alias("own_id"), F.col("text").cast("string").alias("own_text"), row_hash(docs).alias("own_hash"))
     # The table of kept ids grows with the corpus, so it's merged at every size and never broadcast.
-    out = docs.join(once.hint("merge"), "doc_id", "left_semi")
+    out = rows.join(once.hint("merge"), F.col("own_id") == F.col("kept_id"), "left_semi").select("row")
     if more.take(1):
-        out = out.unionByName(docs.join(more, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
-    lone = classes.where("component_id is null").select(F.lit(True).alias("_any")).limit(1)
-    if lone.count():
-        out = out.unionByName(docs.where("doc_id is null"))
-    return out.select(*docs.columns)
+        repeated = rows.join(more, F.col("own_id").eqNullSafe(F.col("kept_id")), "left_semi").withColumn("own_fp", _fingerprint_of("own_text"))
+        of = kept.join(more, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi").select("doc_id", "fp", "root").distinct()
+        owned = repeated.join(of, F.col("own_id").eqNullSafe(F.col("doc_id")) & (F.col("own_fp") == F.col("fp")))
+        out = out.unionByName(owned.groupBy("own_id", "root").agg(F.min_by("row", "own_hash").alias("row")).select("row"))
+    return out.select(*unpacked(out, docs.columns))
 
 
 def op6_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -56,15 +56,44 @@ def linked(values, pairs):
     return [find(int(v)) for v in values]
 
 
-@pytest.mark.parametrize("n", [2, 30, 200, 700])
-def test_tree_and_neighbour_paths_agree_with_brute_force(n, monkeypatch):
+@pytest.mark.parametrize("n", [2, 30, 200, 700, 1500])
+def test_shard_trees_agree_with_brute_force(n):
     values = cluster(n, n)
     want = [int(values[i]) for i in classes([int(v) for v in values])]
-    tree = H.shard_links(values, H.BLOCKS[0])
-    monkeypatch.setattr(H, "TREE_LIMIT", 1)
-    flat = H.shard_links(values, H.BLOCKS[0])
-    assert linked(values, tree) == want and linked(values, flat) == want
-    assert len(tree[0]) < n and len(flat[0]) < n
+    tree = H.shard_links(values)
+    assert linked(values, tree) == want and len(tree[0]) < n
+
+
+def fast_classes(values):
+    """Smallest value reachable, by distances from each value to all."""
+    up = {v: v for v in values.tolist()}
+
+    def find(x):
+        while up[x] != x:
+            up[x] = up[up[x]]
+            x = up[x]
+        return x
+
+    for v in values:
+        for w in values[np.bitwise_count(values ^ v) <= 2].tolist():
+            x, y = find(int(v)), find(w)
+            up[max(x, y)] = min(x, y)
+    return {v: find(v) for v in up}
+
+
+@pytest.mark.parametrize("limit", [1024, 8])
+def test_large_shards_are_split_and_keep_their_trees(spark, monkeypatch, limit):
+    monkeypatch.setattr(H, "SHARD_VALUES", limit)
+    rng = np.random.default_rng(6)
+    near = [cluster(1300, 1, 3), cluster(1300, 2, 6), rng.integers(0, 2**63, 300).astype(np.uint64)]
+    values = np.unique(np.concatenate(near) & np.uint64(2**63 - 1))
+    df = spark.createDataFrame([(int(v),) for v in values], "fp long")
+    sizes = H.shards(df).groupBy("fixed", "key").count().collect()
+    least = 21 if limit == 1024 else 50
+    assert all(r["count"] <= limit or (r.fixed & (1 << 64) - 1).bit_count() >= least for r in sizes)
+    assert len({(r.fixed & (1 << 64) - 1).bit_count() for r in sizes}) > 2
+    got = {r.node: r.root for r in H.components(H.link_forest(df)).collect()}
+    assert {v: got.get(v, v) for v in values.tolist()} == fast_classes(values)
 
 
 def test_bk_tree_finds_all_within_radius():
@@ -115,3 +144,17 @@ def test_edges(edge, empty):
 def test_repeated_ids_stay_once(docs_of):
     docs = docs_of([(1, "a b c d", "en", "s")] * 3 + [(2, "a b c d", "en", "s")])
     assert [r.doc_id for r in H.keep_representatives(docs).collect()] == [1]
+
+
+def test_rows_of_one_id_in_different_classes_all_stay(docs_of):
+    other, third = "quite another text that has nothing in common", "some third text which stands alone here"
+    docs = docs_of([(1, "a b c d", "en", "s"), (1, other, "en", "s"), (2, "a b c d", "en", "s"), (3, other, "en", "s"), (None, third, "en", "s"), (None, third, "en", "t"), (None, "a b c d", "en", "s"), (4, "fourth", "en", "s")])
+    got = H.keep_representatives(docs)
+    assert got.columns == docs.columns and sorted((r.doc_id or 0, r.text) for r in got.collect()) == [(0, third), (1, "a b c d"), (1, other), (4, "fourth")]
+
+
+def test_extra_columns_with_the_names_used_inside(spark):
+    names = ["fp", "row", "root", "kept_id", "own_id", "own_text", "own_hash", "own_fp", "component_id", "rows_of_id", "a.b"]
+    rows = [(i, t, *names) for i, t in ((1, "a b c"), (1, "d e f"), (2, "a b c"), (None, "g h i"), (3, "k l m"))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, " + ", ".join(f"`{n}` string" for n in names))
+    assert sorted(map(tuple, H.keep_representatives(docs).collect()), key=str) == sorted([r for r in rows if r[0] != 2], key=str)
