@@ -1,12 +1,12 @@
 """Rendering conversations through compiled templates, with a loss mask.
 
-Templates whose turns don't look at each other render turn by turn where the
-rows lie, before any shuffle. A conversation with a third of all rows is then
-packed in many tasks: runs of TURNS_PER_PART turn numbers of a conversation go
-together first, and the parts are then put in order and streamed into running
-digests. At no place are the turns of a whole conversation held in memory by
-the digest path. Only a template that looks at loop counters needs whole
-conversations.
+Templates whose turns don't look at each other render turn by turn. For the
+digests all turns are put in order by ranges, so that a conversation with a
+third of all rows, be it under one turn number, is sorted and rendered in many
+tasks. Each packs at most TURNS_PER_PART turns in a part, and the parts of a
+conversation are then streamed in order into running digests. At no place are
+the turns of a whole conversation held in memory by the digest path. Only a
+template that looks at loop counters needs whole conversations.
 
 Control strings inside texts are escaped reversibly, so the output can be read
 back: splitting it at the markers gives the turns again.
@@ -25,6 +25,7 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -69,25 +70,53 @@ def render_turns(conversations: DataFrame, source: str = CHAT) -> DataFrame:
         for batch in batches:
             texts, masks = [], []
             for role, text in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-                at, pieces, mask = 0, [], []
-                for piece, masked in template.render_turn({"role": role, "text": text}):
-                    if masked and piece:
-                        mask.append({"start": at, "end": at + len(piece)})
-                    pieces.append(piece)
-                    at += len(piece)
-                texts.append("".join(pieces))
+                output, mask = _rendered(template, role, text)
+                texts.append(output)
                 masks.append(mask)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string()), pa.array(masks, kind)], ["conv_id", "turn", "role", "text", "output", "mask"])
 
     return _clean(conversations).mapInArrow(run, "conv_id long, turn long, role string, text string, output string, mask array<struct<start: long, end: long>>")
 
 
-def _parts(rendered: DataFrame) -> DataFrame:
-    """(conv_id, part, turns): runs of turns, in order, from a shuffle on the conversation and its part."""
-    one = F.struct("turn", "role", "text", "output", "mask")
-    part = F.floor(F.coalesce(F.col("turn"), F.lit(-(2**62))) / TURNS_PER_PART)
-    grouped = rendered.groupBy("conv_id", part.alias("part")).agg(F.array_sort(F.collect_list(one)).alias("turns"))
-    return grouped.select("conv_id", "part", F.transform("turns", lambda t: F.struct(t["output"].alias("output"), t["mask"].alias("mask"))).alias("turns"))
+def _rendered(template: Template, role: str, text: str) -> tuple[str, list[dict[str, int]]]:
+    """One turn's output and its masked stretches."""
+    at, pieces, mask = 0, [], []
+    for piece, masked in template.render_turn({"role": role, "text": text}):
+        if masked and piece:
+            mask.append({"start": at, "end": at + len(piece)})
+        pieces.append(piece)
+        at += len(piece)
+    return "".join(pieces), mask
+
+
+def _parts(conversations: DataFrame, source: str) -> DataFrame:
+    """(conv_id, part, turns): rendered runs of turns, numbered in the order of all turns."""
+    spark = conversations.sparkSession
+    ship_package(spark)
+    if not compiled(source).by_turn:
+        raise ValueError("the template's turns depend on each other; use format_conversations")
+    # Turns equal in all columns may go to different ranges: their order doesn't matter.
+    order = ["conv_id", "turn", "role", "text", "_any"]
+    ranges = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = _clean(conversations).withColumn("_any", F.monotonically_increasing_id()).repartitionByRange(ranges, *order).sortWithinPartitions(*order).drop("_any")
+    kind = pa.list_(pa.struct([("output", pa.string()), ("mask", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        template = compiled(source)
+        part = TaskContext.get().partitionId() << 40
+        for batch in batches:
+            convs, numbers, runs = [], [], []
+            for conv, role, text in zip(*(batch.column(i).to_pylist() for i in (0, 2, 3))):
+                if not runs or convs[-1] != conv or len(runs[-1]) == TURNS_PER_PART:
+                    part += 1
+                    convs.append(conv)
+                    numbers.append(part)
+                    runs.append([])
+                output, mask = _rendered(template, role, text)
+                runs[-1].append({"output": output, "mask": mask})
+            yield pa.RecordBatch.from_arrays([pa.array(convs, pa.int64()), pa.array(numbers, pa.int64()), pa.array(runs, kind)], ["conv_id", "part", "turns"])
+
+    return rows.mapInArrow(run, "conv_id long, part long, turns array<struct<output: string, mask: array<struct<start: long, end: long>>>>")
 
 
 def format_conversations(conversations: DataFrame, source: str = CHAT, add_generation_prompt: bool = False) -> DataFrame:
@@ -116,7 +145,7 @@ def format_conversations(conversations: DataFrame, source: str = CHAT, add_gener
 
 def digests(conversations: DataFrame, source: str = CHAT) -> DataFrame:
     """One row for each conversation: counts and digests of what is read back from its output."""
-    parts = _parts(render_turns(conversations, source))
+    parts = _parts(conversations, source)
     # Parts of one conversation arrive together and in order; only digests are kept.
     ordered = parts.repartition("conv_id").sortWithinPartitions("conv_id", "part")
 

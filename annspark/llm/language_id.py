@@ -7,15 +7,15 @@ character-trigram model elsewhere. Viterbi over the words, with a penalty for
 each switch, labels spans; a text's language is the one with most letters.
 
 Training: rows with a text and a language whose crc32(doc_id) mod 4 is not 2.
-At most about SAMPLE_ROWS rows of each language (chosen by a hash of the id) fit
-the model, and at most MODEL_ROWS (language, word) counts are kept: a fit on a
-bounded sample. Prediction reads whole texts of every row and nothing but text.
+The fit is on a bounded sample of them: about SAMPLE_ROWS rows (chosen by a hash
+of the id) of each of the LANGUAGES labels that have most rows. Every word of
+those rows counts. Prediction reads whole texts of every row and nothing but text.
 
 Most texts are proved monolingual without a walk: if for no other language the
 score lead over the best one rises by more than the penalty within any stretch,
 no path with a switch can win. Only the rest runs the full recursion.
 
-Defined cases: null texts and texts without letters are `und` with score 0; a
+Defined cases: null texts and texts without letters (Unicode category L) are `und` with score 0; a
 text whose letters all belong to scripts no language uses gets the commonest
 language with score 0; ties go to the language that sorts first; with nothing to
 learn from, every text is `und`; repeated rows give equal results; extra columns
@@ -32,14 +32,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from annspark.plans.session import ship_package
 from annspark.sources.tables import table
 
-SAMPLE_ROWS = 1500
-MODEL_ROWS = 100_000
+#: Bounds of the labelled rows that the model is fitted on.
+SAMPLE_ROWS, LANGUAGES = 1000, 200
 SWITCH_PENALTY = 12.0
 #: A word's score is cut at so much below its best language.
 WORD_FLOOR = -6.0
@@ -62,7 +63,7 @@ SCRIPT_RANGES = (
     (0x4E00, 0x9FFF, "han"), (0xAC00, 0xD7AF, "hangul"), (0xF900, 0xFAFF, "han"), (0x20000, 0x2FA1F, "han"),
 )
 _STARTS = [r[0] for r in SCRIPT_RANGES]
-_LETTERS = re.compile(r"[^\W\d_]+")
+_LETTERS = regex.compile(r"\p{L}+")
 
 
 def script_of(ch: str) -> str:
@@ -276,27 +277,25 @@ def is_held_out(doc_id: F.Column) -> F.Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
 
 
-def fit(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, model_rows: int = MODEL_ROWS) -> Model:
+def fit(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, languages: int = LANGUAGES) -> Model:
     """Learn from a bounded sample of the labelled rows that aren't held out."""
-    may = docs.select(F.col("doc_id").cast("long"), F.col("lang").cast("string"), F.col("text").cast("string")).where(
+    may = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).where(
         F.col("lang").isNotNull() & F.col("text").isNotNull() & ~is_held_out(F.col("doc_id"))
     )
-    share = {r.lang: min(1.0, sample_rows / r.n) for r in may.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    if not share:
+    labels = may.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(languages).collect()
+    if not labels:
         return Model([])
-    # One row for each language label: a table of labels, not of documents.
-    rates = F.create_map(*[F.lit(x) for pair in sorted(share.items()) for x in pair])
+    rates = F.create_map(*[F.lit(x) for r in sorted(labels) for x in (r.lang, min(1.0, sample_rows / r.n))])
     chosen = may.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < F.try_element_at(rates, F.col("lang")) * 1_000_000)
     words = chosen.select("lang", F.explode(F.expr(r"regexp_extract_all(lower(text), '\\p{L}+', 0)")).alias("word"))
-    counts = words.where(F.length("word") <= CACHE_CHARS).groupBy("lang", "word").agg(F.count("*").alias("n"))
-    kept = counts.orderBy(F.desc("n"), "lang", "word").limit(model_rows).toArrow()
-    return Model(list(zip(*(kept.column(c).to_pylist() for c in ("lang", "word", "n")))))
+    counts = words.groupBy("lang", "word").agg(F.count("*").alias("n")).toArrow()
+    return Model(list(zip(*(counts.column(c).to_pylist() for c in ("lang", "word", "n")))))
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, lang_pred, score for every row, from the text alone."""
     ship_package(docs.sparkSession)
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by MODEL_ROWS
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample of the fit
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         labeller = Labeller(shared.value)

@@ -432,34 +432,39 @@ def encode_spans(df: DataFrame, text: str = "text", model_path: str | None = Non
     return frame.mapInArrow(run, (kept + ", " if kept else "") + "ids array<int>, starts array<long>, ends array<long>, decoded string")
 
 
-def encode_digests(df: DataFrame, model_path: str | None = None) -> DataFrame:
-    """doc_id with digests of the ids and of the decoded text, made beside the encoder.
+def encode_digests(df: DataFrame, model_path: str | None = None, with_ids: bool = False) -> DataFrame:
+    """doc_id with digests of the ids, the decoded text and the pieces' byte spans, made beside the encoder.
 
-    span_bytes is the end of the last span: the text's own length in bytes.
+    spans_sha256 is over each piece's start and end in the text's bytes, as
+    little-endian signed 64-bit integers; span_bytes is the last end, the text's
+    own length. ``with_ids`` adds the ids themselves.
     """
     ship_package(df.sparkSession)
     path = model_path or default_model_path()
+    names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "spans_sha256", "span_bytes"] + ["ids"] * with_ids
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(path)
         for batch in batches:
-            n, ids_hex, text_hex, size = [], [], [], []
+            n, ids_hex, text_hex, span_hex, size, all_ids = [], [], [], [], [], []
             for t in batch.column(1):
-                ids, _, ends = c.encode(t.as_py())
+                ids, starts, ends = c.encode(t.as_py())
                 n.append(len(ids))
                 ids_hex.append(hashlib.sha256(ids.tobytes()).hexdigest())
                 text_hex.append(hashlib.sha256(c.decode(ids).encode("utf-8")).hexdigest())
+                span_hex.append(hashlib.sha256(np.stack([starts, ends], axis=1).astype("<i8").tobytes()).hexdigest())
                 size.append(int(ends[-1]))
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(n, pa.int64()), pa.array(ids_hex, pa.string()), pa.array(text_hex, pa.string()), pa.array(size, pa.int64())],
-                ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "span_bytes"],
-            )
+                if with_ids:
+                    all_ids.append(ids.astype(np.int32))
+            columns = [batch.column(0), pa.array(n, pa.int64()), *(pa.array(x, pa.string()) for x in (ids_hex, text_hex, span_hex)), pa.array(size, pa.int64())]
+            yield pa.RecordBatch.from_arrays([*columns, *([pa.array(all_ids, pa.list_(pa.int32()))] if with_ids else [])], names)
         c.older = {}  # the worker may go on to other stages
 
     frame = df.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    return frame.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, span_bytes long")
+    kinds = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, spans_sha256 string, span_bytes long"
+    return frame.mapInArrow(run, kinds + (", ids array<int>" if with_ids else ""))
 
 
 def op8_sentencepiece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Contract: doc_id, n_tokens, ids_sha256, decoded_sha256, and the spans' last byte."""
+    """Contract: doc_id, n_tokens, ids_sha256, decoded_sha256; with the digest of all byte spans and the last byte."""
     return encode_digests(table(spark, sf_dir, "documents"))

@@ -4,10 +4,11 @@ Totals by source, language and tokenizer version are additive, so a change is a
 signed row: an insert adds a document's count, a delete takes it away, and a
 revision does both with the old and the new count. A batch of changes is summed
 before it is stored (partial sums first, so a hot source costs no more than
-others) and is committed under its batch id by renaming a finished folder. A
-batch id that is already there is left as it is, so replays after a failure, or
-of a stream's micro-batch, change nothing. Compaction folds committed batches
-into a snapshot that remembers their ids.
+others) and is committed under its batch id by renaming a finished folder, a rename that fails
+if the id is there. So replays after a failure, or of a stream's micro-batch,
+change nothing. Compaction folds the batches of one listing into a snapshot that
+remembers their ids; what is committed meanwhile stays beside it, and a batch
+that a late writer commits once more is known by its id and not counted.
 
 Defined cases: a null text has no tokens but counts as a document; null sources
 and languages are groups of their own; repeated rows count each; totals without
@@ -20,10 +21,11 @@ from __future__ import annotations
 import base64
 import re
 import uuid
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 from functools import lru_cache
 
 import pyarrow as pa
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -99,23 +101,36 @@ class TokenRollup:
         p = jvm.org.apache.hadoop.fs.Path(self.path)
         return p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()), jvm.org.apache.hadoop.fs.Path
 
-    def _names(self, prefix: str) -> list[str]:
+    def _listing(self) -> tuple[str | None, list[str]]:
+        """(snapshot, batches): folder names of one listing; a snapshot counts when its id list is complete."""
         fs, path = self._fs()
         if not fs.exists(path(self.path)):
-            return []
-        return sorted(n for n in (s.getPath().getName() for s in fs.listStatus(path(self.path))) if n.startswith(prefix))
+            return None, []
+        names = sorted(s.getPath().getName() for s in fs.listStatus(path(self.path)))
+        done = [n for n in names if n.startswith("snapshot-") and path_exists(self.spark, f"{self.path}/{n}/batches/_SUCCESS")]
+        return (done[-1] if done else None), [n for n in names if n.startswith("batch-")]
 
-    def _snapshot(self) -> str | None:
-        done = [n for n in self._names("snapshot-") if path_exists(self.spark, f"{self.path}/{n}/batches/_SUCCESS")]
-        return done[-1] if done else None
-
-    def folded(self) -> set[str]:
+    def _folded(self, snapshot: str | None) -> set[str]:
         """Ids of the batches in the snapshot: one short string each."""
-        name = self._snapshot()
-        return {r.batch for r in self.spark.read.schema("batch string").parquet(f"{self.path}/{name}/batches").collect()} if name else set()
+        return {r.batch for r in self.spark.read.schema("batch string").parquet(f"{self.path}/{snapshot}/batches").collect()} if snapshot else set()
+
+    def _rename(self, old: str, new: str) -> bool:
+        """Rename a folder; False if ``new`` exists. The file system decides, so of two writers one wins."""
+        sc = self.spark.sparkContext
+        fs = sc._jvm.org.apache.hadoop.fs
+        context = fs.FileContext.getFileContext(fs.Path(new).toUri(), sc._jsc.hadoopConfiguration()) if "://" in new else fs.FileContext.getFileContext(sc._jsc.hadoopConfiguration())
+        none = sc._gateway.new_array(getattr(fs, "Options$Rename"), 0)
+        try:
+            context.rename(fs.Path(old), fs.Path(new), none)
+        except Py4JJavaError as e:
+            if "FileAlreadyExistsException" in str(e.java_exception.getClass().getName()):
+                return False
+            raise
+        return True
 
     def committed(self) -> set[str]:
-        return {n.removeprefix("batch-") for n in self._names("batch-")} | self.folded()
+        snapshot, live = self._listing()
+        return {n.removeprefix("batch-") for n in live} | self._folded(snapshot)
 
     def commit(self, batch_id: str, signed: DataFrame) -> bool:
         """Add a batch of signed rows once; False if the id was there before."""
@@ -126,32 +141,30 @@ class TokenRollup:
         attempt = f"{self.path}/attempt-{uuid.uuid4().hex}"
         summed = signed.groupBy(*KEYS).agg(F.sum("n_docs").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
         summed.where("n_docs <> 0 OR n_tokens <> 0").write.parquet(attempt)
+        if self._rename(attempt, f"{self.path}/batch-{batch_id}"):
+            return True
         fs, path = self._fs()
-        target = path(f"{self.path}/batch-{batch_id}")
-        if fs.exists(target) or not fs.rename(path(attempt), target):
-            fs.delete(path(attempt), True)
-            return False
-        return True
+        fs.delete(path(attempt), True)
+        return False
 
-    def _read(self, names: Iterable[str]) -> DataFrame:
-        paths = [f"{self.path}/{n}" for n in names]
-        return self.spark.read.schema(DELTA).parquet(*paths) if paths else self.spark.createDataFrame([], DELTA)
+    def _totals(self, snapshot: str | None, live: list[str], folded: set[str]) -> DataFrame:
+        names = [*([f"{snapshot}/totals"] if snapshot else []), *(n for n in live if n.removeprefix("batch-") not in folded)]
+        rows = self.spark.read.schema(DELTA).parquet(*[f"{self.path}/{n}" for n in names]) if names else self.spark.createDataFrame([], DELTA)
+        out = rows.groupBy(*KEYS).agg(F.sum("n_docs").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
+        return out.where("n_docs <> 0 OR n_tokens <> 0")
 
     def totals(self) -> DataFrame:
         """Additive totals over everything committed."""
-        name, folded = self._snapshot(), self.folded()
-        live = [n for n in self._names("batch-") if n.removeprefix("batch-") not in folded]
-        rows = self._read([*([f"{name}/totals"] if name else []), *live])
-        out = rows.groupBy(*KEYS).agg(F.sum("n_docs").alias("n_docs"), F.sum("n_tokens").alias("n_tokens"))
-        return out.where("n_docs <> 0 OR n_tokens <> 0")
+        snapshot, live = self._listing()
+        return self._totals(snapshot, live, self._folded(snapshot))
 
     def compact(self) -> None:
-        """Fold all committed batches into a new snapshot; the old files go only when it is complete."""
-        ids = sorted(self.committed())
-        old, live = self._snapshot(), self._names("batch-")
-        number = int(old.removeprefix("snapshot-")) + 1 if old else 1
-        name = f"{self.path}/snapshot-{number:09d}"
-        self.totals().write.mode("overwrite").parquet(f"{name}/totals")
+        """Fold the committed batches of one listing into a new snapshot; the old files go only when it is complete."""
+        old, live = self._listing()
+        folded = self._folded(old)
+        name = f"{self.path}/snapshot-{(int(old.removeprefix('snapshot-')) if old else 0) + 1:09d}"
+        self._totals(old, live, folded).write.mode("overwrite").parquet(f"{name}/totals")
+        ids = sorted(folded | {n.removeprefix("batch-") for n in live})
         self.spark.createDataFrame([(i,) for i in ids], "batch string").coalesce(1).write.mode("overwrite").parquet(f"{name}/batches")
         fs, path = self._fs()
         for n in [*live, *([old] if old else [])]:

@@ -34,6 +34,7 @@ ROWS = [
     (0, 1, "assistant", "hi"), (0, 0, "user", "yo \\ \\n <| <|im_end|>"), (1, 0, None, None), (2, 5, "assistant", "b"), (2, 5, "assistant", "a"), (2, 5, "assistant", "a"),
     (2, None, "us\ner", "first"), (None, 0, "user", "x"), (None, 1, "assistant", "<|im_end|>\n<|im_start|>assistant\nok"), (3, 0, "assistant", "é😀\r\n"),
 ] + [(7, i, "assistant" if i % 2 else "user", f"turn {i} \\") for i in range(900)]
+ROWS += [(8, None, "assistant", f"same turn {i % 400}") for i in range(700)] + [(9, 3, "user", "all equal")] * 600
 
 
 def test_digests_match_brute_force(spark, folder_of):
@@ -43,7 +44,7 @@ def test_digests_match_brute_force(spark, folder_of):
 
 
 def test_whole_outputs_read_back(spark):
-    rows = [r for r in ROWS if r[0] != 7]
+    rows = [r for r in ROWS if r[0] not in (7, 8, 9)]
     for r in C.format_conversations(make(spark, rows)).collect():
         own = sorted((x for x in rows if x[0] == r.conv_id), key=lambda x: (x[1] is not None, x[1] or 0, x[2] or "", x[3] or ""))
         assert C.turns_of(r.output) == [(x[2] or "", x[3] or "") for x in own]

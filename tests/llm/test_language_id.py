@@ -60,6 +60,21 @@ def test_mixed_spans_and_scripts():
     assert L.script_of("д") == "cyrillic" and L.script_of("a") == "latin" and L.script_of("1") == "other"
 
 
+def test_only_letters_count():
+    lab = L.Labeller(L.Model([("en", w, 9) for w in ("the", "house")]))
+    for t in ("²", "½", "Ⅷ", "①", "１２", "_-_", "a²"[1:], "\u0301"):
+        assert lab.label(t)[:2] == ("und", 0.0), t
+    assert lab.label("²the½")[:2] == ("en", 1.0) and lab.label("日")[0] == "en"
+
+
+def test_every_word_of_the_sample_counts(docs_of):
+    long = "ab" * 40
+    model = L.fit(docs_of([(0, f"{long} {long} short", "en", "s")] + [(i, "another text", "en", "s") for i in range(1, 9)]))
+    assert long in model.words and model.langs == ["en"]
+    many = L.fit(docs_of([(i, "some words", f"label{i % 5}", "s") for i in range(60)]), languages=3)
+    assert len(many.langs) == 3
+
+
 def test_held_out_accuracy(spark):
     got = L.op2_language_id(spark, SMALL).join(spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "lang"), "doc_id").where("held_out")
     share = got.agg(F.avg((F.col("lang") == F.col("lang_pred")).cast("double"))).first()[0]

@@ -105,6 +105,10 @@ def test_query_and_edges(spark, edge, empty, folder_of, both):
     for r in rows:
         ids = lib.encode(texts[r.doc_id], add_bos=True, add_eos=True)
         assert (r.n_tokens, r.ids_sha256, r.decoded_sha256) == (len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest(), hashlib.sha256(lib.decode(ids).encode()).hexdigest())
-    assert S.encode_digests(empty).count() == 0
+        *_, starts, ends = mine.encode(texts[r.doc_id])
+        pairs = [x for p in zip(starts.tolist(), ends.tolist()) for x in p]
+        assert r.spans_sha256 == hashlib.sha256(struct.pack(f"<{len(pairs)}q", *pairs)).hexdigest() and r.span_bytes == len(texts[r.doc_id].encode())
+    assert S.encode_digests(empty).count() == 0 and S.encode_digests(empty, with_ids=True).columns[-1] == "ids"
+    assert {r.doc_id: r.ids for r in S.encode_digests(edge, with_ids=True).collect()}[6] == lib.encode("two words", add_bos=True, add_eos=True)
     full = S.encode_spans(edge, keep=("doc_id",)).where("doc_id = 6").first()
     assert full.decoded == "two words" and full.ends[-1] == 9 and len(full.ids) == len(full.starts)

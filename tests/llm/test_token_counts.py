@@ -45,6 +45,26 @@ def test_batches_commit_once_and_compact(docs_of, spark, tmp_path):
         roll.commit("../x", counted)
 
 
+def test_a_batch_that_arrives_during_compaction_is_kept(docs_of, spark, tmp_path, monkeypatch):
+    counted = T.changes(T.count_tokens(docs_of(ROWS), (T.WORDS,)), T.WORDS, 1)
+    roll = T.TokenRollup(spark, str(tmp_path / "c"))
+    roll.commit("b1", counted)
+    inner = roll._totals
+    monkeypatch.setattr(roll, "_totals", lambda *a: (T.TokenRollup(spark, roll.path).commit("b2", counted), inner(*a))[1])
+    roll.compact()
+    monkeypatch.undo()
+    docs = lambda: sum(n for n, _ in totals(roll.totals()).values())
+    assert roll.committed() == {"b1", "b2"} and docs() == 2 * len(ROWS)
+    assert not roll.commit("b2", counted) and docs() == 2 * len(ROWS)
+    # A writer that looked before another one committed the id, and one that comes after compaction.
+    monkeypatch.setattr(roll, "committed", set)
+    assert not roll.commit("b2", counted) and roll.commit("b1", counted)
+    monkeypatch.undo()
+    assert docs() == 2 * len(ROWS)
+    roll.compact()
+    assert docs() == 2 * len(ROWS) and not [p for p in (tmp_path / "c").iterdir() if p.name.startswith(("attempt", "batch"))]
+
+
 def test_edges(edge, empty, spark, tmp_path):
     rows = T.count_tokens(edge, (T.WORDS, T.BYTE_BPE)).collect()
     assert len(rows) == 10 and Counter(r[T.WORDS] for r in rows if r.doc_id == 5) == {1: 2}
