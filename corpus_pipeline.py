@@ -5,6 +5,10 @@ keep one document each; secrets are masked; sources are mixed to their target
 weights; texts are encoded. Each stage is written as Parquet in the shared
 folder and read again as the next one's input, so a lost executor costs at most
 a stage's tasks.
+
+Each stage takes any table with doc_id, text, lang, source and n_chars and keeps
+further columns whatever their names. An empty table gives an empty table. What
+a stage does with nulls, empty texts, ties and repeated rows stands at it.
 """
 
 from __future__ import annotations
@@ -17,28 +21,49 @@ from annspark.sources.tables import table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the documents whose language is determined."""
+    """Keep the documents whose language is determined.
+
+    Null and empty texts and texts without letters go; rows with null ids,
+    languages or sources stay; repeated rows share one decision.
+    """
     return language_id.keep_identified(docs, language_id.fit(docs))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep one document of each near-duplicate class."""
+    """Keep one document of each near-duplicate class.
+
+    The smallest doc_id stays. Of rows that repeat it, and of a class without
+    any id, one row stays; null and empty texts are one class; rows that repeat
+    an id with unrelated texts all stay.
+    """
     return simhash.keep_representatives(docs)
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Replace secrets in texts by a mark; every document stays."""
+    """Replace secrets in texts by a mark; every document stays.
+
+    Null texts stay null; n_chars is renewed where a text changes; repeated rows
+    change alike.
+    """
     return secrets.redact(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Repeat or thin out each source to its target."""
+    """Repeat or thin out each source to its target.
+
+    Null and empty texts are never taken; a null source is a source; rows that
+    repeat in all columns count each; n_chars is renewed.
+    """
     return mixing.mix_documents(docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every text with their digests and decoded text's digest."""
-    return sentencepiece_codec.encode_digests(docs)
+    """Token ids of every text, with digests of ids, decoded text and byte spans.
+
+    A null text is empty and has the begin and end ids alone; repeated rows give
+    equal rows; ids may be null or repeat.
+    """
+    return sentencepiece_codec.encode_digests(docs, with_ids=True)
 
 
 STAGES = [
