@@ -59,6 +59,8 @@ ROWS_PER_SALT = 20_000
 LEAST_SALTS = 64
 #: A source's draws are numbered in groups of so many shards.
 SHARDS_PER_GROUP = 4096
+#: Slots of one file, at most about so many.
+SLOTS_PER_FILE = 250_000
 #: Cells of a range of numbers that are joined to its intervals by equality.
 CELLS = 4096
 #: The table of sources is broadcast up to so many rows.
@@ -159,6 +161,8 @@ class Plan:
         place = F.pmod(F.xxhash64(F.lit(self.seed).cast("long"), "shard", "slot"), F.lit(max(1, self.n_slots)).cast("long"))
         slots = self.spark.range(self.n_slots).select(F.floor(F.col("id") / self.shard_slots).alias("shard"), (F.col("id") % self.shard_slots).alias("slot"))
         drawn = self._within(slots.withColumn("place", place), "place", self.n_slots, self.sources.select("sid", "low", "high"))
+        # Permutations make slots dear, so there are many files of them however few bytes they have.
+        drawn = drawn.repartition(max(4 * self.spark.sparkContext.defaultParallelism, self.n_slots // SLOTS_PER_FILE), "shard")
         rank = F.row_number().over(W.partitionBy("shard", "sid").orderBy("slot")) - 1
         return stage(drawn.select("shard", "slot", "sid", rank.cast("long").alias("rank")), "mix-drawn")
 
