@@ -1,7 +1,7 @@
 """Exact k nearest neighbours by scan: truth for every measure, and a baseline.
 
-Queries are taken in blocks of bounded size, each broadcast to where the base
-rows lie; a task returns at most k rows for each query, and a window merges.
+Queries and base rows meet in a grid of bounded blocks; a cell returns at most k
+rows for each query, and a window merges.
 """
 
 from __future__ import annotations
@@ -15,12 +15,13 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from annspark.functions.metric import Metric
+from annspark.operators.grid import grid, walk
 from annspark.plans.session import ship_package
 
-#: Queries in a broadcast block, at most about so many.
-QUERY_BLOCK = 8192
 #: Pairs of one Arrow batch of all_distances, at most about so many.
 PAIR_BLOCK = 100_000
+#: Pivots of a range join, at most so many: each left row is measured against all of them.
+MOST_PIVOTS = 256
 RESULT = "q_id long, rank int, vec_id long, dist double"
 
 
@@ -33,16 +34,6 @@ def to_matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(n, -1) if n else np.empty((0, 0))
 
 
-def query_blocks(queries: DataFrame, block: int = QUERY_BLOCK) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(ids, matrix) of bounded blocks of ``queries(q_id, qvec)``, by a hash of the id."""
-    n = queries.count()
-    parts = max(1, -(-n // block))
-    for b in range(parts if n else 0):
-        rows = queries.where(F.pmod(F.xxhash64("q_id"), F.lit(parts)) == b).select("q_id", "qvec").toArrow()
-        if rows.num_rows:
-            yield rows.column(0).to_numpy(), to_matrix(rows.column(1))
-
-
 def as_queries(points: DataFrame) -> DataFrame:
     return points.select(F.col("vec_id").alias("q_id"), F.col("embedding").alias("qvec"))
 
@@ -55,63 +46,50 @@ def top_k(found: DataFrame, k: int) -> DataFrame:
 
 def exact_knn(base: DataFrame, queries: DataFrame, k: int, metric: str = "l2", skip_self: bool = False) -> DataFrame:
     """(q_id, rank, vec_id, dist); with ``skip_self`` a query isn't its own neighbour."""
-    spark = base.sparkSession
-    ship_package(spark)
+    ship_package(base.sparkSession)
     space = Metric(metric)
-    rows = base.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>"))
-    parts = []
-    for ids, q in query_blocks(queries):
-        shared = spark.sparkContext.broadcast((ids, space.prepare(q)))
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            ids, q = shared.value
-            best_i, best_d = np.full((len(ids), 0), -1, np.int64), np.full((len(ids), 0), np.inf)
-            for batch in batches:
-                if not batch.num_rows:
-                    continue
-                b_ids = batch.column(0).to_numpy()
-                bound = best_d[:, -1] if best_d.shape[1] == k else None
-                got_i, got_d = space.nearest(q, space.prepare(to_matrix(batch.column(1))), b_ids, k, ids if skip_self else None, bound=bound)
-                best_i, best_d = np.concatenate([best_i, got_i], axis=1), np.concatenate([best_d, got_d], axis=1)
-                order = np.lexsort((best_i, best_d), axis=1)[:, :k]
-                best_i, best_d = np.take_along_axis(best_i, order, 1), np.take_along_axis(best_d, order, 1)
-            there = np.isfinite(best_d)
-            q_ids = np.repeat(ids, there.sum(axis=1))
-            yield pa.RecordBatch.from_arrays([pa.array(q_ids), pa.array(best_i[there]), pa.array(best_d[there])], ["q_id", "vec_id", "dist"])
-
-        parts.append(rows.mapInArrow(run, "q_id long, vec_id long, dist double"))
-    if not parts:
-        return spark.createDataFrame([], RESULT)
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.unionByName(part)
-    return top_k(out, k)
+
+    class Cell:
+        def __init__(self, parts):
+            self.ids = np.concatenate([p[0].to_numpy() for p in parts])
+            self.q = space.prepare(np.concatenate([to_matrix(p[1]) for p in parts]))
+            self.best_i, self.best_d = np.full((len(self.ids), 0), -1, np.int64), np.full((len(self.ids), 0), np.inf)
+
+    def visit(cell: Cell, ids: pa.Array, vectors: pa.Array) -> Iterator[pa.RecordBatch]:
+        bound = cell.best_d[:, -1] if cell.best_d.shape[1] == k else None
+        got_i, got_d = space.nearest(cell.q, space.prepare(to_matrix(vectors)), ids.to_numpy(), k, cell.ids if skip_self else None, bound=bound)
+        best_i, best_d = np.concatenate([cell.best_i, got_i], axis=1), np.concatenate([cell.best_d, got_d], axis=1)
+        order = np.lexsort((best_i, best_d), axis=1)[:, :k]
+        cell.best_i, cell.best_d = np.take_along_axis(best_i, order, 1), np.take_along_axis(best_d, order, 1)
+        return iter(())
+
+    def close(cell: Cell) -> Iterator[pa.RecordBatch]:
+        there = np.isfinite(cell.best_d)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(cell.ids, there.sum(axis=1))), pa.array(cell.best_i[there]), pa.array(cell.best_d[there])], ["q_id", "vec_id", "dist"])
+
+    found = grid(queries.select("q_id", "qvec"), base.select("vec_id", "embedding"))
+    return top_k(found.mapInArrow(lambda batches: walk(batches, Cell, visit, close), "q_id long, vec_id long, dist double"), k)
 
 
 def all_distances(base: DataFrame, queries: DataFrame, metric: str = "l2") -> DataFrame:
-    """(q_id, vec_id, dist) of all queries and base rows, in query blocks; the rows are streamed and never held together."""
-    spark = base.sparkSession
-    ship_package(spark)
+    """(q_id, vec_id, dist) of all queries and base rows; the rows are streamed and never held together."""
+    ship_package(base.sparkSession)
     space = Metric(metric)
-    rows = base.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>"))
-    out = spark.createDataFrame([], "q_id long, vec_id long, dist double")
-    for ids, q in query_blocks(queries):
-        shared = spark.sparkContext.broadcast((ids, space.prepare(q)))
 
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            ids, q = shared.value
-            for batch in batches:
-                if not batch.num_rows:
-                    continue
-                b_ids, x = batch.column(0).to_numpy(), space.prepare(to_matrix(batch.column(1)))
-                step = max(1, PAIR_BLOCK // len(b_ids))
-                for i in range(0, len(ids), step):
-                    part = ids[i : i + step]
-                    d = space.cross(q[i : i + step], x)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part, len(b_ids))), pa.array(np.tile(b_ids, len(part))), pa.array(d.ravel())], ["q_id", "vec_id", "dist"])
+    def open_cell(parts):
+        return np.concatenate([p[0].to_numpy() for p in parts]), space.prepare(np.concatenate([to_matrix(p[1]) for p in parts]))
 
-        out = out.unionByName(rows.mapInArrow(run, "q_id long, vec_id long, dist double"))
-    return out
+    def visit(cell, ids: pa.Array, vectors: pa.Array) -> Iterator[pa.RecordBatch]:
+        q_ids, q = cell
+        b_ids, x = ids.to_numpy(), space.prepare(to_matrix(vectors))
+        step = max(1, PAIR_BLOCK // len(b_ids))
+        for i in range(0, len(q_ids), step):
+            part = q_ids[i : i + step]
+            d = space.cross(q[i : i + step], x)
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part, len(b_ids))), pa.array(np.tile(b_ids, len(part))), pa.array(d.ravel())], ["q_id", "vec_id", "dist"])
+
+    met = grid(queries.select("q_id", "qvec"), base.select("vec_id", "embedding"))
+    return met.mapInArrow(lambda batches: walk(batches, open_cell, visit), "q_id long, vec_id long, dist double")
 
 
 def exact_knn_graph(points: DataFrame, k: int, metric: str = "l2") -> DataFrame:
@@ -119,9 +97,11 @@ def exact_knn_graph(points: DataFrame, k: int, metric: str = "l2") -> DataFrame:
     return exact_knn(points, as_queries(points), k, metric, skip_self=True).select(F.col("q_id").alias("src"), F.col("vec_id").alias("dst"), "dist", "rank")
 
 
-def range_join(left: DataFrame, right: DataFrame, tau: float, pivots: int = 16, metric: str = "l2") -> DataFrame:
+def range_join(left: DataFrame, right: DataFrame, tau: float, pivots: int | None = None, metric: str = "l2") -> DataFrame:
     """(l_id, r_id, dist) of all pairs within ``tau``, through pivots and annuli.
 
+    Without a number of pivots there are as many as the square root of the right side's rows, from 16 to MOST_PIVOTS.
+
     Each point belongs to its nearest pivot's cell of ``right``; a left point can
     only meet cells whose pivot distances differ by at most tau from its own
     (triangle inequality). Cells are cut into annuli of width tau, so pairs meet
@@ -132,6 +112,7 @@ def range_join(left: DataFrame, right: DataFrame, tau: float, pivots: int = 16,
     spark = left.sparkSession
     ship_package(spark)
     space = Metric(metric)
+    pivots = pivots or int(min(MOST_PIVOTS, max(16, right.count() ** 0.5)))
     # A bounded sample: the pivots' only purpose is to balance cells.
     sample = right.select("vec_id", "embedding").orderBy(F.xxhash64("vec_id"), "vec_id").limit(pivots).toArrow()
     if not sample.num_rows:

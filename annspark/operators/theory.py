@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from annspark.functions.metric import Metric
 from annspark.operators import exact
 from annspark.operators.exact import to_matrix
+from annspark.operators.grid import grid, walk
 from annspark.plans.session import ship_package, stage
 
 #: Slack for comparisons of sums of distances.
@@ -27,24 +28,25 @@ def pair_distances(points: DataFrame) -> DataFrame:
 
 def aspect_ratio(points: DataFrame) -> DataFrame:
     """(diameter, smallest, ratio) over the positive distances of all pairs; a task returns two numbers for each block of points."""
-    spark = points.sparkSession
-    ship_package(spark)
+    ship_package(points.sparkSession)
     # Copies are at distance zero and have no other distances than their first.
     rows = stage(points.select("vec_id", F.col("embedding").cast("array<double>")).groupBy("embedding").agg(F.min("vec_id").alias("vec_id")), "extreme-points")
     space = Metric()
-    out = spark.createDataFrame([], "high double, low double")
-    for _, q in exact.query_blocks(exact.as_queries(rows)):
-        shared = spark.sparkContext.broadcast(q)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            high, low = 0.0, np.inf
-            for batch in batches:
-                if batch.num_rows:
-                    high, low = space.extremes(shared.value, to_matrix(batch.column(0)), high, low)
-            if high > 0:
-                yield pa.RecordBatch.from_arrays([pa.array([high]), pa.array([low])], ["high", "low"])
-
-        out = out.unionByName(rows.select("embedding").mapInArrow(run, "high double, low double"))
+
+    class Cell:
+        def __init__(self, parts):
+            self.x, self.high, self.low = np.concatenate([to_matrix(p[1]) for p in parts]), 0.0, np.inf
+
+    def visit(cell: Cell, ids: pa.Array, vectors: pa.Array) -> Iterator[pa.RecordBatch]:
+        cell.high, cell.low = space.extremes(cell.x, to_matrix(vectors), cell.high, cell.low)
+        return iter(())
+
+    def close(cell: Cell) -> Iterator[pa.RecordBatch]:
+        if cell.high > 0:
+            yield pa.RecordBatch.from_arrays([pa.array([cell.high]), pa.array([cell.low])], ["high", "low"])
+
+    points = rows.select("vec_id", "embedding")
+    out = grid(points, points).mapInArrow(lambda batches: walk(batches, Cell, visit, close), "high double, low double")
     ext = out.agg(F.max("high").alias("diameter"), F.min("low").alias("smallest"))
     return ext.select("diameter", "smallest", (F.col("diameter") / F.col("smallest")).alias("ratio"))
 

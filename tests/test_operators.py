@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from annspark import catalogue, experiments
 from annspark.functions.graphs import Params
 from annspark.functions.rules import ScaledShiftedBall, ShiftedBall, UnitBall
-from annspark.operators import build, exact, measures, search, theory
+from annspark.operators import build, exact, grid, measures, search, theory
 from annspark.plans import query_plan
 from annspark.plans.session import stage
 from annspark.sources import vectors as V
@@ -38,7 +38,8 @@ def test_full_graph_is_limited(spark):
 
 def test_exact_search_over_partitions_and_blocks(spark, monkeypatch):
     x, q = points(300), points(40, seed=2)
-    monkeypatch.setattr(exact, "QUERY_BLOCK", 16)
+    monkeypatch.setattr(grid, "QUERY_BLOCK", 16)
+    monkeypatch.setattr(grid, "SHARD_ROWS", 50)
     asked = exact.as_queries(frame(spark, q, 1000))
     for parts, rows in ((1, 10_000), (5, 10_000), (2, 7), (1, 2)):
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
