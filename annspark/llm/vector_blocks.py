@@ -1,11 +1,6 @@
-"""A stated query set against all vectors, in a grid of query blocks and candidate shards.
-
-Queries fall into blocks of about QUERY_BLOCK rows and candidates into shards,
-both by a hash of the id. Each cell of the grid is one group of rows: a block's
-queries first, then a shard's candidates, which stream past them in Arrow
-batches. So a task holds one block and one batch, whatever the table's size,
-nothing passes the driver, and a lost task is redone from shuffled rows. A cell
-returns at most k rows for each query, and a window merges the shards.
+"""The k best of a stated query set against all vectors, over the grid of query blocks and candidate shards.
+
+A cell returns at most k rows for each query, and a window merges the shards.
 """
 
 from __future__ import annotations
@@ -18,13 +13,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from annspark.operators.grid import grid, walk
 from annspark.plans.session import ship_package
 
-QUERY_BLOCK = 8192
-#: Candidates of a shard, at most about so many; there are at least SPREAD shards for each core.
-SHARD_ROWS = 262_144
-SPREAD = 3
-
 
 def valid_vectors(df: DataFrame, nonzero: bool = False) -> DataFrame:
     """vec_id and embedding (doubles) of rows with an id and finite components only; with ``nonzero``, not all zero."""
@@ -76,19 +67,6 @@ class Best:
 Visit = Callable[[np.ndarray, np.ndarray, np.ndarray, np.ndarray, Best], None]
 
 
-def grid(candidates: DataFrame, queries: DataFrame) -> DataFrame:
-    """(block, shard, side, vec_id, embedding), sorted: of each cell first the queries (side 0), then the candidates."""
-    distinct = queries.groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
-    blocks = max(1, -(-distinct.count() // QUERY_BLOCK))
-    cores = candidates.sparkSession.sparkContext.defaultParallelism
-    shards = max(-(-candidates.count() // SHARD_ROWS), -(-SPREAD * cores // blocks))
-    part = lambda n, salt: F.pmod(F.xxhash64("vec_id", F.lit(salt)), F.lit(n)).cast("int")
-    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    left = distinct.select(part(blocks, 1).alias("block"), every(shards).alias("shard"), F.lit(0).alias("side"), "vec_id", "embedding")
-    right = candidates.select(every(blocks).alias("block"), part(shards, 2).alias("shard"), F.lit(1).alias("side"), "vec_id", "embedding")
-    return left.unionByName(right).repartition(blocks * shards, "block", "shard").sortWithinPartitions("block", "shard", "side")
-
-
 def search(candidates: DataFrame, queries: DataFrame, k: int, visit: Visit, score_type: str, counted: bool = False) -> DataFrame:
     """(query_id, rank, vec_id, score) of the k best candidates that ``visit`` finds for each query.
 
@@ -111,35 +89,24 @@ def search(candidates: DataFrame, queries: DataFrame, k: int, visit: Visit, scor
             columns = [pa.array(np.repeat(ids, n)), pa.array(np.concatenate(best.ids)), pa.array(scores, pa.int64() if whole else pa.float64()), pa.array(seen)]
             yield pa.RecordBatch.from_arrays(columns, ["query_id", "vec_id", "score", "seen"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, held, block = None, {}, None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            cell = np.stack([batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)])
-            cuts = [0, *(np.flatnonzero((cell[:, 1:] != cell[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
-            for s, e in zip(cuts, cuts[1:]):
-                b, h, side = cell[:, s].tolist()
-                if (b, h) != now:
-                    if block:
-                        yield from found(block)
-                    now, held, block = (b, h), {}, None
-                rows = batch.slice(s, e - s)
-                for ids, m in matrices(rows.column(3), rows.column(4)):
-                    if side == 0:
-                        got = held.setdefault(m.shape[1], ([], []))
-                        got[0].append(ids)
-                        got[1].append(m)
-                        continue
-                    if block is None:
-                        block = {d: (np.concatenate(i), np.concatenate(x), Best(sum(map(len, i)), k)) for d, (i, x) in held.items()}
-                    if m.shape[1] in block:
-                        query_ids, wanted, best = block[m.shape[1]]
-                        visit(query_ids, wanted, ids, m, best)
-        if block:
-            yield from found(block)
-
-    hits = grid(candidates, queries).mapInArrow(run, f"query_id long, vec_id long, score {score_type}, seen long")
+    def open_cell(parts) -> dict[int, tuple[np.ndarray, np.ndarray, Best]]:
+        held: dict[int, tuple[list, list]] = {}
+        for ids, m in (x for p in parts for x in matrices(*p)):
+            got = held.setdefault(m.shape[1], ([], []))
+            got[0].append(ids)
+            got[1].append(m)
+        return {d: (np.concatenate(i), np.concatenate(x), Best(sum(map(len, i)), k)) for d, (i, x) in held.items()}
+
+    def meet(block, ids: pa.Array, vectors: pa.Array) -> Iterator[pa.RecordBatch]:
+        for own, m in matrices(ids, vectors):
+            if m.shape[1] in block:
+                query_ids, wanted, best = block[m.shape[1]]
+                visit(query_ids, wanted, own, m, best)
+        return iter(())
+
+    distinct = queries.groupBy("vec_id").agg(F.min("embedding").alias("embedding"))
+    cells = grid(distinct, candidates.select("vec_id", "embedding"))
+    hits = cells.mapInArrow(lambda batches: walk(batches, open_cell, meet, found), f"query_id long, vec_id long, score {score_type}, seen long")
     by = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     if counted:
         hits = hits.withColumn("n_candidates", F.sum("seen").over(W.partitionBy("query_id")))

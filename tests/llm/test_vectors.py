@@ -7,6 +7,7 @@ import pytest
 from annspark.llm import cross_polytope as X
 from annspark.llm import maxscore as M
 from annspark.llm import vector_blocks as B
+from annspark.operators import grid
 
 SCHEMA = "vec_id long, embedding array<float>, label int, score string, query_id int"
 
@@ -71,11 +72,11 @@ def test_cross_polytope_recall_and_scores(spark, sf):
 
 
 def test_many_blocks_and_shards(spark, monkeypatch):
-    monkeypatch.setattr(B, "QUERY_BLOCK", 7)
-    monkeypatch.setattr(B, "SHARD_ROWS", 40)
+    monkeypatch.setattr(grid, "QUERY_BLOCK", 7)
+    monkeypatch.setattr(grid, "SHARD_ROWS", 40)
     rows = make(spark, rows_for(300, 8, 6))
     ints, reals = M.integer_vectors(rows), B.valid_vectors(rows, nonzero=True)
-    cells = B.grid(ints, ints.where("vec_id % 5 = 0")).select("block", "shard").distinct().count()
+    cells = grid.grid(ints.where("vec_id % 5 = 0").distinct(), ints).select("block", "shard").distinct().count()
     assert cells > 40
     got = sorted(tuple(r) for r in M.top_k(ints, ints.where("vec_id % 5 = 0")).collect())
     good = [(r.vec_id, r.embedding) for r in ints.collect()]
