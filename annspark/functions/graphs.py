@@ -6,7 +6,6 @@ places, and ties go to the smaller place.
 
 from __future__ import annotations
 
-import heapq
 import math
 from dataclasses import dataclass, field, replace
 
@@ -20,7 +19,11 @@ from annspark.functions.select import Selection, adaptive_select, fixed_select,
 
 @dataclass(frozen=True)
 class Params:
-    """Construction parameters: K-NN degree, degree cap, queue width, candidates, alpha range, tau."""
+    """Construction parameters: K-NN degree, degree cap, queue width, candidates, alpha range, tau; and the insertion baselines' own.
+
+    ``start`` is the place from which the entry is searched, a hashed one if
+    none; ``backward`` (lazy, eager, none) takes the place of a method's own way.
+    """
 
     K: int = 40
     M: int = 32
@@ -35,6 +38,26 @@ class Params:
     backward_cap: int | None = None
     seed: int = 1
     reuse: bool = True
+    hnsw_m: int = 32
+    hnsw_ef: int = 500
+    vamana_m: int = 70
+    vamana_l: int = 75
+    vamana_alpha: float = 1.2
+    start: int | None = None
+    backward: str | None = None
+
+
+# The published settings, by degree cap. The baselines' own are the defaults above.
+PRESETS = {
+    "degree_50": Params(K=200, M=50, L=40, C=500),
+    "degree_70": Params(K=200, M=70, L=60, C=500),
+    "degree_100": Params(K=200, M=100, L=100, C=500),
+    "degree_80_large": Params(K=200, M=80, L=100, C=500, alpha0=1.0),
+}
+#: Points up to which a shard's K-NN graph is exact; beyond, it is refined from projections.
+EXACT_POINTS = 20_000
+#: Points that an insertion baseline searches for together, at most a part of those already in.
+BATCH, BATCH_SHARE = 256, 8
 
 
 @dataclass
@@ -85,9 +108,64 @@ def exact_knn_graph(x: np.ndarray, k: int, metric: Metric = Metric()) -> tuple[n
     return metric.nearest(x, x, places, min(k, max(1, len(x) - 1)), skip=places)
 
 
-def find_entry(x: np.ndarray, adjacency: np.ndarray, width: int, metric: Metric, seed: int) -> int:
-    """The vertex that a search for the centroid from a hashed start finds."""
-    start = int(np.argmin(mix(np.arange(len(x)), seed)))
+def _closest(x: np.ndarray, ids: np.ndarray, dist: np.ndarray, more: np.ndarray, k: int, metric: Metric, block: int = 1024) -> tuple[np.ndarray, np.ndarray, int]:
+    """The k nearest different vertices of each row among ``ids`` with their distances and ``more``; and how many are new."""
+    out_i, out_d, changed = np.full((len(x), k), -1, np.int64), np.full((len(x), k), np.inf), 0
+    for i in range(0, len(x), block):
+        rows = slice(i, min(i + block, len(x)))
+        new = more[rows]
+        d = metric.rows(x[np.maximum(new, 0)], x[rows][:, None, :])
+        d[(new < 0) | (new == np.arange(len(x))[rows][:, None])] = np.inf
+        all_i, all_d = np.concatenate([ids[rows], new], axis=1), np.concatenate([dist[rows], d], axis=1)
+        order = np.lexsort((all_d, all_i), axis=1)
+        all_i, all_d = np.take_along_axis(all_i, order, 1), np.take_along_axis(all_d, order, 1)
+        all_d[:, 1:][all_i[:, 1:] == all_i[:, :-1]] = np.inf
+        order = np.lexsort((all_i, all_d), axis=1)[:, :k]
+        got_i, got_d = np.take_along_axis(all_i, order, 1), np.take_along_axis(all_d, order, 1)
+        got_i[~np.isfinite(got_d)] = -1
+        out_i[rows, : got_i.shape[1]], out_d[rows, : got_d.shape[1]] = got_i, got_d
+        changed += int((got_i[:, :, None] != ids[rows][:, None, :]).all(axis=2).sum()) if k <= 64 else int((got_i != ids[rows]).sum())
+    return out_i, out_d, changed
+
+
+def descent_knn_graph(x: np.ndarray, k: int, metric: Metric = Metric(), rounds: int = 12, sample: int = 12, delta: float = 0.001, seed: int = 7) -> tuple[np.ndarray, np.ndarray]:
+    """An approximate K-NN graph in arrays: neighbours along projections, then neighbours of forward and reverse neighbours."""
+    n = len(x)
+    k = min(k, max(1, n - 1))
+    ids, dist = np.full((n, k), -1, np.int64), np.full((n, k), np.inf)
+    rng = np.random.default_rng(seed)
+    for _ in range(4):
+        order = np.argsort(x @ rng.normal(size=x.shape[1]), kind="stable")
+        place = np.empty(n, np.int64)
+        place[order] = np.arange(n)
+        shift = np.concatenate([np.arange(-(k // 2) - 1, 0), np.arange(1, k // 2 + 2)])
+        near = place[:, None] + shift
+        ids, dist, _ = _closest(x, ids, dist, np.where((near >= 0) & (near < n), order[np.clip(near, 0, n - 1)], -1), k, metric)
+    for r in range(rounds):
+        top = ids[:, :sample]
+        src, dst = np.repeat(np.arange(n), top.shape[1]), top.ravel()
+        src, dst = src[dst >= 0], dst[dst >= 0]
+        order = np.lexsort((mix(src, seed + r), dst))
+        src, dst = src[order], dst[order]
+        at = np.arange(len(dst)) - np.searchsorted(dst, dst)
+        back = np.full((n, sample), -1, np.int64)
+        back[dst[at < sample], at[at < sample]] = src[at < sample]
+        both = np.concatenate([top, back], axis=1)
+        hop = np.where(both[:, :, None] >= 0, np.concatenate([top, back[:, : sample // 2]], axis=1)[np.maximum(both, 0)], -1).reshape(n, -1)
+        ids, dist, changed = _closest(x, ids, dist, hop, k, metric, max(1, 4_000_000 // max(1, hop.shape[1] * x.shape[1])))
+        if changed <= delta * n * k:
+            break
+    return ids, dist
+
+
+def knn_graph(x: np.ndarray, k: int, metric: Metric = Metric()) -> tuple[np.ndarray, np.ndarray]:
+    """The shard's K-NN graph: exact for a small shard, by descent for a large one."""
+    return exact_knn_graph(x, k, metric) if len(x) <= EXACT_POINTS else descent_knn_graph(x, k, metric)
+
+
+def find_entry(x: np.ndarray, adjacency: np.ndarray, width: int, metric: Metric, seed: int, start: int | None = None) -> int:
+    """The vertex that a search for the centroid finds, from a hashed start if none is given."""
+    start = int(np.argmin(mix(np.arange(len(x)), seed))) if start is None else start
     centre = x.mean(axis=0)
     found = beam_search(adjacency, x, centre[None, :], start, max(1, width), 1, metric)
     return int(found.ids[0, 0])
@@ -197,8 +275,8 @@ def repair(x, neighbors, dists, entry: int, p: Params, metric: Metric) -> list[t
 
 def prepare_local(x: np.ndarray, p: Params, metric: Metric = Metric()) -> tuple[int, list[tuple[np.ndarray, np.ndarray]]]:
     """(entry, candidates): the phases that neither alpha nor tau touches, shared by sweeps over them."""
-    knn, knn_dist = exact_knn_graph(x, p.K, metric)
-    entry = find_entry(x, knn, p.L, metric, p.seed)
+    knn, knn_dist = knn_graph(x, p.K, metric)
+    entry = find_entry(x, knn, p.L, metric, p.seed, p.start)
     return entry, local_candidates(x, knn, knn_dist, entry, p, metric)
 
 
@@ -215,130 +293,141 @@ def build_local(x: np.ndarray, p: Params, policy: str = "adaptive", backward: st
         log.append(got)
         neighbors.append(ids[got.kept].tolist())
         dists.append(d[got.kept].tolist())
+    backward = p.backward or backward
+    if backward == "none":
+        return Graph(neighbors, dists, entry, log, n)
     calls = n + (add_backward_lazy(x, neighbors, dists, select, p) if backward == "lazy" else add_backward_eager(x, neighbors, dists, select, p))
     repairs = repair(x, neighbors, dists, entry, p, metric)
     return Graph(neighbors, dists, entry, log, calls, repairs)
 
 
-def _walk(x, neighbors, q, entries: list[int], width: int, metric: Metric) -> list[tuple[float, int]]:
-    """One query's beam search over neighbour lists (list or dict): the queue, nearest first."""
-    d0 = metric.rows(x[entries], q)
-    seen = set(entries)
-    open_ = [(float(d), e) for d, e in zip(d0, entries)]
-    best = [(-d, -e) for d, e in open_]
-    heapq.heapify(open_)
-    heapq.heapify(best)
-    while open_:
-        d, c = heapq.heappop(open_)
-        if len(best) >= width and d > -best[0][0]:
-            break
-        new = [u for u in neighbors[c] if u not in seen]
-        if not new:
-            continue
-        seen.update(new)
-        for du, u in zip(metric.rows(x[new], q).tolist(), new):
-            if len(best) < width or (du, u) < (-best[0][0], -best[0][1]):
-                heapq.heappush(open_, (du, u))
-                heapq.heappush(best, (-du, -u))
-                if len(best) > width:
-                    heapq.heappop(best)
-    return sorted((-d, -e) for d, e in best)
-
-
-def _prune(x, v: int, ids: list[int], rule: Rule, cap: int, metric: Metric) -> list[int]:
-    ids = np.array(ids)
+class Rows:
+    """Out-neighbours in one array, -1 padded."""
+
+    def __init__(self, n: int, width: int):
+        self.a, self.degree = np.full((n, width), -1, np.int32), np.zeros(n, np.int64)
+
+    def get(self, v: int) -> np.ndarray:
+        return self.a[v, : self.degree[v]].astype(np.int64)
+
+    def put(self, v: int, ids) -> None:
+        self.a[v] = -1
+        self.a[v, : len(ids)] = ids
+        self.degree[v] = len(ids)
+
+    def lists(self) -> list[list[int]]:
+        return [self.a[v, :d].tolist() for v, d in enumerate(self.degree)]
+
+
+def _prune(x, v: int, ids: np.ndarray, rule: Rule, cap: int, metric: Metric) -> np.ndarray:
     d = metric.rows(x[ids], x[v])
     order = np.lexsort((ids, d))
-    return ids[order][select_neighbors(d[order], x[ids[order]], rule, cap, metric).kept].tolist()
+    return ids[order][select_neighbors(d[order], x[ids[order]], rule, cap, metric).kept]
+
+
+def _link(rows: Rows, x, batch, pools: list[np.ndarray], rule: Rule, m: int, cap: int, metric: Metric) -> int:
+    """Select at most ``m`` neighbours of each of ``batch`` from its pool and add reversed edges, pruning rows over ``cap`` once. Returns the selections made."""
+    back: dict[int, list[int]] = {}
+    calls = len(batch)
+    for v, pool in zip(batch, pools):
+        kept = _prune(x, v, pool[pool != v], rule, m, metric)
+        rows.put(v, kept)
+        for u in kept.tolist():
+            back.setdefault(u, []).append(v)
+    for u, new in back.items():
+        own = rows.get(u)
+        row = np.concatenate([own, np.setdiff1d(new, own)]).astype(np.int64)
+        if len(row) > cap:
+            row = _prune(x, u, row, rule, cap, metric)
+            calls += 1
+        rows.put(u, row)
+    return calls
 
 
 def build_layered(x: np.ndarray, m: int, width: int, rule: Rule = UnitBall(), metric: Metric = Metric(), seed: int = 1) -> Graph:
-    """The layered small-world baseline: levels drawn geometrically from hashes, inserts in hash order."""
+    """The layered small-world baseline: levels drawn geometrically from hashes, inserts in hash order.
+
+    Points are searched for in batches of at most an eighth of those already in,
+    and linked together; one that opens a layer goes alone.
+    """
     n = len(x)
     u = (mix(np.arange(n), seed + 17) >> np.uint64(11)).astype(float) / 2**53
     level = np.floor(-np.log(np.maximum(u, 1e-18)) / math.log(max(2, m))).astype(int)
-    layers: list[dict[int, list[int]]] = []
-    entry, calls = -1, 0
-    for v in np.argsort(mix(np.arange(n), seed), kind="stable").tolist():
+    order = np.argsort(mix(np.arange(n), seed), kind="stable")
+    caps = lambda lay: 2 * m if lay == 0 else m
+    entry, calls, done = int(order[0]), 0, 1
+    layers = [Rows(n, caps(lay)) for lay in range(level[entry] + 1)]
+    while done < n:
         top = len(layers) - 1
-        near = [entry]
-        for lay in range(top, level[v], -1):
-            near = [_walk(x, layers[lay], x[v], near, 1, metric)[0][1]]
-        for lay in range(min(top, level[v]), -1, -1):
-            queue = _walk(x, layers[lay], x[v], near, width, metric)
-            near = [i for _, i in queue]
-            ids = np.array(near)
-            kept = select_neighbors(np.array([d for d, _ in queue]), x[ids], rule, m, metric).kept
-            calls += 1
-            layers[lay][v] = ids[kept].tolist()
-            cap = 2 * m if lay == 0 else m
-            for w in layers[lay][v]:
-                row = layers[lay][w]
-                row.append(v)
-                if len(row) > cap:
-                    layers[lay][w] = _prune(x, w, row, rule, cap, metric)
-                    calls += 1
-        while len(layers) <= level[v]:
-            layers.append({v: []})
-            entry = v
-    neighbors = [layers[0][v] for v in range(n)]
+        batch = order[done : done + min(BATCH, max(1, done // BATCH_SHARE))]
+        opens = np.flatnonzero(level[batch] > top)
+        if len(opens):
+            batch = batch[: max(1, opens[0])]
+        starts = np.full(len(batch), entry)
+        for lay in range(top, -1, -1):
+            enters = level[batch] >= lay
+            for group, queue in ((np.flatnonzero(~enters), 1), (np.flatnonzero(enters), width)):
+                if not len(group):
+                    continue
+                got = beam_search(layers[lay].a, x, x[batch[group]], starts[group], queue, queue, metric)
+                starts[group] = got.ids[:, 0]
+                if queue > 1 or enters.any() and enters[group[0]]:
+                    calls += _link(layers[lay], x, batch[group].tolist(), [row[row >= 0] for row in got.ids], rule, m, caps(lay), metric)
+        for lay in range(top + 1, level[batch[0]] + 1):
+            layers.append(Rows(n, caps(lay)))
+            entry = int(batch[0])
+        done += len(batch)
+    neighbors = layers[0].lists()
     dists = [metric.rows(x[r], x[v]).tolist() if r else [] for v, r in enumerate(neighbors)]
-    return Graph(neighbors, dists, entry, [], calls, [], layers[1:])
+    upper = [{int(v): layers[lay].get(v).tolist() for v in np.flatnonzero(level >= lay)} for lay in range(1, len(layers))]
+    return Graph(neighbors, dists, entry, [], calls, [], upper)
 
 
 def build_two_pass(x: np.ndarray, m: int, width: int, alpha: float, tau: float | None = None, metric: Metric = Metric(), seed: int = 1) -> Graph:
-    """Random start, then two passes of search, selection and reverse edges; ``tau`` swaps in the scaled-shifted rule."""
+    """Random start, then two passes of search, selection and reverse edges, in batches; ``tau`` swaps in the scaled-shifted rule."""
     n = len(x)
     entry = exact_entry(x, metric)
-    neighbors: list[list[int]] = []
+    rows = Rows(n, m)
     for v in range(n):
-        row = mix(np.arange(min(m, n - 1) * 2) + 1_000_003 * v, seed) % np.uint64(n)
-        neighbors.append([int(u) for u in dict.fromkeys(row.tolist()) if u != v][:m])
-    calls = 0
+        drawn = mix(np.arange(min(m, n - 1) * 2) + 1_000_003 * v, seed) % np.uint64(n)
+        rows.put(v, [int(u) for u in dict.fromkeys(drawn.tolist()) if u != v][:m])
+    calls, order = 0, np.argsort(mix(np.arange(n), seed + 5), kind="stable")
+    step = max(1, min(BATCH, n // BATCH_SHARE))
     for a in (1.0, alpha):
         rule = ScaledBall(a) if tau is None else ScaledShiftedBall(a, tau)
-        for v in np.argsort(mix(np.arange(n), seed + 5), kind="stable").tolist():
-            pool = _visited(x, neighbors, x[v], entry, width, metric)
-            ids = [u for u in {*pool, *neighbors[v]} if u != v]
-            neighbors[v] = _prune(x, v, ids, rule, m, metric)
-            calls += 1
-            for u in neighbors[v]:
-                if v not in neighbors[u]:
-                    neighbors[u].append(v)
-                    if len(neighbors[u]) > m:
-                        neighbors[u] = _prune(x, u, neighbors[u], rule, m, metric)
-                        calls += 1
+        for i in range(0, n, step):
+            batch = order[i : i + step]
+            traces = beam_search(rows.a, x, x[batch], entry, width, 1, metric, traces=True).traces
+            pools = [np.union1d([c for c, _ in t], rows.get(v)).astype(np.int64) for v, t in zip(batch, traces)]
+            calls += _link(rows, x, batch.tolist(), pools, rule, m, m, metric)
+    neighbors = rows.lists()
     dists = [metric.rows(x[r], x[v]).tolist() if r else [] for v, r in enumerate(neighbors)]
     return Graph(neighbors, dists, entry, [], calls)
 
 
-def _visited(x, neighbors, q, entry: int, width: int, metric: Metric) -> list[int]:
-    """The vertices that one query's beam search expands."""
-    d0 = float(metric.rows(x[entry : entry + 1], q)[0])
-    queue, seen, expanded = [(d0, entry)], {entry}, []
-    closed: set[int] = set()
-    while True:
-        c = next((i for _, i in queue if i not in closed), None)
-        if c is None:
-            return expanded
-        closed.add(c)
-        expanded.append(c)
-        new = [u for u in neighbors[c] if u not in seen]
-        if new:
-            seen.update(new)
-            queue = sorted([*queue, *zip(metric.rows(x[new], q).tolist(), new)])[:width]
-
-
-def search_layered(g: Graph, x, queries, width: int, k: int, metric: Metric = Metric()):
+@dataclass
+class FlatGraph:
+    """A graph ready for search: the entry and each layer's adjacency, the base first."""
+
+    entry: int
+    adjacencies: list[np.ndarray]
+
+
+def flat(g: Graph) -> FlatGraph:
+    n = len(g.neighbors)
+    return FlatGraph(g.entry, [g.adjacency(), *(padded([layer.get(v, []) for v in range(n)]) for layer in g.layers)])
+
+
+def search_layered(g: Graph | FlatGraph, x, queries, width: int, k: int, metric: Metric = Metric()):
     """Greedy descent through the upper layers, then a beam on the base layer; costs of all layers count."""
+    g = flat(g) if isinstance(g, Graph) else g
     starts = np.full(len(queries), g.entry)
     ndc, hops, edges = np.zeros(len(queries), np.int64), np.zeros(len(queries), np.int64), np.zeros(len(queries), np.int64)
-    for layer in reversed(g.layers):
-        adjacency = padded([layer.get(v, []) for v in range(len(x))])
+    for adjacency in reversed(g.adjacencies[1:]):
         got = beam_search(adjacency, x, queries, starts, 1, 1, metric)
         starts = got.ids[:, 0]
         ndc, hops, edges = ndc + got.ndc - 1, hops + got.hops, edges + got.edges
-    got = beam_search(g.adjacency(), x, queries, starts, width, k, metric)
+    got = beam_search(g.adjacencies[0], x, queries, starts, width, k, metric)
     got.ndc, got.hops, got.edges = got.ndc + ndc, got.hops + hops, got.edges + edges
     return got
 
@@ -362,9 +451,10 @@ def build(method: str, x: np.ndarray, p: Params, metric: Metric = Metric()) -> G
         return build_local(x, p, "shifted", "eager", metric)
     if method in ("hnsw", "hnsw_plus"):
         rule = UnitBall() if method == "hnsw" else ScaledShiftedBall(p.alpha, p.tau)
-        return build_layered(x, max(2, p.M // 2), max(p.L, p.M), rule, metric, p.seed)
+        return build_layered(x, p.hnsw_m, p.hnsw_ef, rule, metric, p.seed)
     if method in ("vamana", "vamana_plus"):
-        return build_two_pass(x, p.M, p.L, max(p.alpha, 1.0), None if method == "vamana" else p.tau, metric, p.seed)
+        alpha, tau = (p.vamana_alpha, None) if method == "vamana" else (max(p.alpha, 1.0), p.tau)
+        return build_two_pass(x, p.vamana_m, p.vamana_l, alpha, tau, metric, p.seed)
     rule = {"mrng": UnitBall(), "shifted_full": ShiftedBall(p.tau), "scaled_full": ScaledBall(p.alpha), "fcg": ScaledShiftedBall(p.alpha, p.tau)}[method]
     rows = full_graph(x, rule, metric)
     return Graph([r[0] for r in rows], [r[1] for r in rows], exact_entry(x, metric), [], len(x))

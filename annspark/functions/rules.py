@@ -96,6 +96,8 @@ def alpha_bar(d_pu, d_uv, tau: float):
     With d(u, v) + tau = 0 it is infinite if d(p, u) > tau, else minus infinity.
     """
     above, below = np.asarray(d_pu, float) - tau, np.asarray(d_uv, float) + tau
+    if below.ndim and (below > 1e-150).all():
+        return above / below
     with np.errstate(divide="ignore", invalid="ignore", over="ignore"):
         out = above / below
     return np.where(below > 0, out, np.where(above > 0, np.inf, -np.inf))

@@ -81,11 +81,9 @@ def adaptive_select(
         used, steps = alpha, steps + 1
         alive = np.ones(n, bool)
         kept = []
-        for i in range(n):
-            if not alive[i]:
-                continue
+        i = 0
+        while i < n:
             kept.append(i)
-            ever.add(i)
             if len(kept) >= m:
                 break
             row = rows.get(i) if reuse else None
@@ -95,7 +93,15 @@ def adaptive_select(
                 row = alpha_bar(dist[i + 1 :], d, tau)
                 if reuse:
                     rows[i] = row
-            alive[i + 1 :] &= ~(row > alpha)
+            rest = alive[i + 1 :]
+            rest &= row <= alpha
+            if not len(rest):
+                break
+            step = int(rest.argmax())
+            if not rest[step]:
+                break
+            i += 1 + step
+        ever.update(kept)
         if 2 * len(kept) >= m:
             break
     return Selection(kept[:m], used, steps, pairs, len(ever))

@@ -92,7 +92,7 @@ def register_index(spark: SparkSession, index: DataFrame, prefix: str = "ann", m
     class Trace:
         def eval(self, qvec: list) -> Iterator[tuple]:
             g, ids, x = graph()
-            got = beam_search(g.adjacency(), x, space.prepare(np.array([qvec], float)), g.entry, 1, 1, space, traces=True)
+            got = beam_search(g.adjacencies[0], x, space.prepare(np.array([qvec], float)), g.entry, 1, 1, space, traces=True)
             for hop, (i, d) in enumerate(got.traces[0]):
                 yield hop, int(ids[i]), float(d)
 

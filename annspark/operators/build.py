@@ -1,16 +1,19 @@
 """Graph construction on Spark: full-candidate graphs, and sharded local graphs.
 
 Local graphs are built a shard at a time: points get a shard from a router of
-centroids (a two-level tree at scale), and each shard, about as large as one
-machine handles well, is one group of an Arrow function. An index row is a
+centroids (in two levels if there are many), and each shard, about as large as
+one machine handles well, is one group of an Arrow function. Several methods or
+settings are built together, each shard of each being a group. An index row is a
 vertex: its vector, out-neighbours and build log, so search and measures need no
 further join.
 """
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -80,6 +83,38 @@ def full_graph_sql(points: DataFrame, rule: Rule, limit: int | None = None) -> D
 
 # -- shards ------------------------------------------------------------------
 
+#: Points of one shard, about so many at most.
+SHARD_POINTS = 1_000_000
+#: A router with more centroids than this looks through its nearest groups of centroids only.
+FLAT_ROUTER, GROUPS_LOOKED = 1024, 8
+
+
+def _halves(x: np.ndarray, rounds: int = 8) -> np.ndarray:
+    """Which of two means each row is nearer to."""
+    far = x[np.argmax(((x - x.mean(axis=0)) ** 2).sum(axis=1))]
+    c = np.stack([far, x[np.argmax(((x - far) ** 2).sum(axis=1))]])
+    side = np.zeros(len(x), bool)
+    for _ in range(rounds):
+        side = ((x - c[1]) ** 2).sum(axis=1) < ((x - c[0]) ** 2).sum(axis=1)
+        if side.all() or not side.any():
+            break
+        c = np.stack([x[~side].mean(axis=0), x[side].mean(axis=0)])
+    return side
+
+
+def _leaves(x: np.ndarray, count: int) -> list[np.ndarray]:
+    """``count`` clusters of rows (places), the largest one being halved each time, so that none stays far above the others."""
+    leaves = [(-len(x), 0, np.arange(len(x)))]
+    for number in range(1, count):
+        size, _, own = heapq.heappop(leaves)
+        side = _halves(x[own])
+        if size == -1 or side.all() or not side.any():
+            raise ValueError(f"{count} shards of {len(leaves) + 1} different places in the sample")
+        for part in (own[~side], own[side]):
+            heapq.heappush(leaves, (-len(part), 2 * number + len(leaves), part))
+    return [own for *_, own in sorted(leaves, key=lambda leaf: int(leaf[2][0]))]
+
+
 @dataclass(frozen=True)
 class Router:
     """Centroids of shards; its size is the number of shards, not of points."""
@@ -87,29 +122,48 @@ class Router:
     centroids: np.ndarray
     metric: str = "l2"
 
+    @cached_property
+    def groups(self) -> tuple[np.ndarray, list[np.ndarray]]:
+        """(centres, members): centroids in about as many groups as the root of their number."""
+        members = _leaves(self.centroids, int(len(self.centroids) ** 0.5))
+        return np.stack([self.centroids[m].mean(axis=0) for m in members]), members
+
     def nearest(self, x: np.ndarray, probes: int) -> tuple[np.ndarray, np.ndarray]:
         space = Metric(self.metric)
-        return space.nearest(x, self.centroids, np.arange(len(self.centroids)), probes)
-
-
-def train_router(points: DataFrame, shards: int, metric: str = "l2", sample: int = 20_000, rounds: int = 10, seed: int = 3) -> Router:
-    """Lloyd's rounds over a bounded sample of points, chosen by a hash of the id."""
+        if len(self.centroids) <= FLAT_ROUTER:
+            return space.nearest(x, self.centroids, np.arange(len(self.centroids)), probes)
+        centres, members = self.groups
+        looked, _ = space.nearest(x, centres, np.arange(len(centres)), min(GROUPS_LOOKED, len(centres)))
+        best_i, best_d = np.full((len(x), probes), -1, np.int64), np.full((len(x), probes), np.inf)
+        for g, own in enumerate(members):
+            rows = np.flatnonzero((looked == g).any(axis=1))
+            if len(rows):
+                ids, d = space.nearest(x[rows], self.centroids[own], own, probes)
+                ids, d = np.concatenate([best_i[rows], ids], axis=1), np.concatenate([best_d[rows], d], axis=1)
+                order = np.lexsort((ids, d), axis=1)[:, :probes]
+                best_i[rows], best_d[rows] = np.take_along_axis(ids, order, 1), np.take_along_axis(d, order, 1)
+        return best_i, best_d
+
+
+def train_router(points: DataFrame, shards: int, metric: str = "l2", sample: int = 20_000, seed: int = 3) -> Router:
+    """Centroids from a bounded sample of points, chosen by a hash of the id: clusters are halved, the largest first.
+
+    The sample has at least 32 points a shard; too few different points for so many shards are an error.
+    """
     n = points.count()
-    rate = min(1.0, sample / max(1, n))
+    rate = min(1.0, max(sample, 32 * shards) / max(1, n))
     chosen = points.where(F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(1_000_000)) < int(rate * 1_000_000) + (rate >= 1)).select("vec_id", F.col("embedding").cast("array<double>"))
     rows = chosen.orderBy(F.xxhash64("vec_id", F.lit(seed + 1)), "vec_id").toArrow()
     space = Metric(metric)
     x = space.prepare(to_matrix(rows.column(1)))
-    c = np.unique(x, axis=0)[:shards] if len(x) <= shards else x[:shards].copy()
-    for _ in range(rounds):
-        near = space.nearest(x, c, np.arange(len(c)), 1)[0][:, 0]
-        for s in range(len(c)):
-            own = x[near == s]
-            if len(own):
-                c[s] = own.mean(axis=0)
-        if metric in ("chord", "angular"):
-            c = space.prepare(c)
-    return Router(c, metric)
+    c = np.stack([x[own].mean(axis=0) for own in _leaves(x, shards)])
+    return Router(space.prepare(c) if metric in ("chord", "angular") else c, metric)
+
+
+def router_for(points: DataFrame, shard_points: int = SHARD_POINTS, metric: str = "l2") -> Router | None:
+    """A router to shards of about ``shard_points``; none if all points fit one."""
+    n = points.count()
+    return train_router(points, -(-n // shard_points), metric) if n > shard_points else None
 
 
 def assign_shards(points: DataFrame, router: Router, rho: float = 0.0) -> DataFrame:
@@ -133,15 +187,48 @@ def assign_shards(points: DataFrame, router: Router, rho: float = 0.0) -> DataFr
     return points.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>")).mapInArrow(run, "vec_id long, embedding array<double>, shard int")
 
 
-def build_index(points: DataFrame, method: str, params: G.Params = G.Params(), router: Router | None = None, metric: str = "l2", rho: float = 0.0) -> DataFrame:
-    """Index rows of ``method`` for every shard. Without a router all points are one shard.
-
-    Ids must be distinct; collapse_duplicates makes vectors distinct too.
+def _index_table(g: G.Graph, ids: np.ndarray, raw: np.ndarray, shard: int) -> pa.Table:
+    """A graph's index rows, from flat arrays."""
+    n, dim = raw.shape
+
+    def lists(rows: list, kind: pa.DataType, values=None) -> pa.Array:
+        ends = np.cumsum([0, *map(len, rows)]).astype(np.int32)
+        flat = np.concatenate([np.asarray(r) for r in rows]) if ends[-1] else np.empty(0)
+        return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat.astype(np.int64) if kind == pa.int64() else flat.astype(np.float64), kind) if values is None else pa.array(values[flat.astype(np.int64)], kind))
+
+    logs = {f: [getattr(e, f) for e in g.log] if g.log else [None] * n for f in ("alpha_used", "steps", "pairs", "distinct")}
+    base = [
+        pa.array(np.full(n, shard, np.int32)), pa.array(ids), pa.ListArray.from_arrays(pa.array(np.arange(0, n * dim + 1, dim, dtype=np.int32)) if dim else pa.array(np.zeros(n + 1, np.int32)), pa.array(raw.ravel())),
+        lists(g.neighbors, pa.int64(), ids), lists(g.dists, pa.float64()), pa.array(np.zeros(n, np.int32)), pa.array(np.arange(n) == g.entry),
+        pa.array(np.bincount([u for u, _ in g.repairs], minlength=n).astype(np.int32)), pa.array(logs["alpha_used"], pa.float64()), pa.array(logs["steps"], pa.int32()),
+        pa.array(logs["pairs"], pa.int64()), pa.array(logs["distinct"], pa.int32()), pa.array(np.full(n, g.selections)),
+    ]
+    names = [c.split()[0] for c in INDEX.split(", ")]
+    out = [pa.Table.from_arrays(base, names)]
+    for level, layer in enumerate(g.layers, 1):
+        own = np.fromiter(layer, np.int64, len(layer))
+        m = len(own)
+        part = {"shard": pa.array(np.full(m, shard, np.int32)), "src": pa.array(ids[own]), "nbrs": lists(list(layer.values()), pa.int64(), ids), "level": pa.array(np.full(m, level, np.int32)), "is_entry": pa.array(own == g.entry), "n_repair": pa.array(np.zeros(m, np.int32))}
+        out.append(pa.Table.from_arrays([part[c] if c in part else pa.nulls(m, base[i].type) for i, c in enumerate(names)], names))
+    return pa.concat_tables(out)
+
+
+def build_indexes(points: DataFrame, settings: dict[str, tuple[str, G.Params]], router: Router | None = None, metric: str = "l2", rho: float = 0.0) -> DataFrame:
+    """Index rows of each (method, params) of ``settings``, under its name in the column `setting`.
+
+    Each shard of each setting is a group of its own, so settings are built side
+    by side. Without a router all points are one shard, and more than a shard's
+    points are an error. Ids must be distinct; collapse_duplicates makes vectors
+    distinct too.
     """
-    if method not in G.METHODS:
-        raise ValueError(f"unknown method {method}")
+    for method, _ in settings.values():
+        if method not in G.METHODS:
+            raise ValueError(f"unknown method {method}")
     ship_package(points.sparkSession)
+    if router is None and (n := points.count()) > SHARD_POINTS:
+        raise ValueError(f"{n} points in one shard; use router_for")
     placed = assign_shards(points, router, rho) if router is not None else points.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>"), F.lit(0).alias("shard"))
+    placed = placed.withColumn("setting", F.explode(F.array(*map(F.lit, settings))))
     space = Metric(metric)
 
     def run(shard: pa.Table) -> pa.Table:
@@ -149,21 +236,18 @@ def build_index(points: DataFrame, method: str, params: G.Params = G.Params(), r
         order = np.argsort(ids, kind="stable")
         ids = ids[order]
         raw = to_matrix(shard.column("embedding"))[order]
-        g = G.build(method, space.prepare(raw), params, space)
-        fixed = np.bincount([u for u, _ in g.repairs], minlength=len(ids))
-        number = shard.column("shard")[0].as_py()
-        rows = []
-        for v in range(len(ids)):
-            log = g.log[v] if g.log else None
-            rows.append((number, int(ids[v]), raw[v], ids[g.neighbors[v]].tolist(), g.dists[v], 0, v == g.entry, int(fixed[v]),
-                         log.alpha_used if log else None, log.steps if log else None, log.pairs if log else None, log.distinct if log else None, g.selections))
-        for level, layer in enumerate(g.layers, 1):
-            rows += [(number, int(ids[v]), None, ids[n].tolist(), None, level, v == g.entry, 0, None, None, None, None, None) for v, n in layer.items()]
-        kinds = [pa.int32(), pa.int64(), pa.list_(pa.float64()), pa.list_(pa.int64()), pa.list_(pa.float64()), pa.int32(), pa.bool_(), pa.int32(), pa.float64(), pa.int32(), pa.int64(), pa.int32(), pa.int64()]
-        names = [c.split()[0] for c in INDEX.split(", ")]
-        return pa.Table.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names)
-
-    return placed.groupBy("shard").applyInArrow(run, INDEX)
+        name = shard.column("setting")[0].as_py()
+        method, params = settings[name]
+        table = _index_table(G.build(method, space.prepare(raw), params, space), ids, raw, shard.column("shard")[0].as_py())
+        return table.add_column(0, "setting", pa.array([name] * table.num_rows, pa.string()))
+
+    groups = placed.repartition(len(settings) * (len(router.centroids) if router is not None else 1), "setting", "shard")
+    return groups.groupBy("setting", "shard").applyInArrow(run, "setting string, " + INDEX)
+
+
+def build_index(points: DataFrame, method: str, params: G.Params = G.Params(), router: Router | None = None, metric: str = "l2", rho: float = 0.0) -> DataFrame:
+    """Index rows of one method."""
+    return build_indexes(points, {method: (method, params)}, router, metric, rho).drop("setting")
 
 
 def edges_of(index: DataFrame, level: int = 0) -> DataFrame:

@@ -19,21 +19,28 @@ from annspark.operators.exact import to_matrix, top_k
 from annspark.plans.session import ship_package, stage
 
 FOUND = "q_id long, width int, vec_id long, dist double, ndc long, hops long, edges_scanned long"
+COSTS = ("ndc", "hops", "edges_scanned")
 
 
-def _graph_of(shard: pa.Table, metric: Metric) -> tuple[G.Graph, np.ndarray, np.ndarray]:
+def _graph_of(shard: pa.Table, metric: Metric) -> tuple[G.FlatGraph, np.ndarray, np.ndarray]:
     """(graph by place, ids, prepared vectors) of one shard's index rows."""
     level = shard.column("level").to_numpy()
     base = shard.filter(pa.array(level == 0)).sort_by("src")
     ids = base.column("src").to_numpy()
     x = metric.prepare(to_matrix(base.column("vec")))
-    place = lambda t: [np.searchsorted(ids, r).tolist() for r in t.column("nbrs").to_pylist()]
+
+    def adjacency(rows: pa.Table) -> np.ndarray:
+        lists = rows.column("nbrs").combine_chunks()
+        lists = lists.chunk(0) if isinstance(lists, pa.ChunkedArray) else lists
+        own, size = np.searchsorted(ids, rows.column("src").to_numpy()), np.diff(lists.offsets.to_numpy())
+        out = np.full((len(ids), max(1, int(size.max(initial=0)))), -1, np.int32)
+        row = np.repeat(np.arange(len(size)), size)
+        out[own[row], np.arange(len(row)) - np.repeat(np.cumsum(size) - size, size)] = np.searchsorted(ids, lists.flatten().to_numpy(zero_copy_only=False))
+        return out
+
     entry = int(np.flatnonzero(base.column("is_entry").to_numpy(zero_copy_only=False))[0])
-    layers = []
-    for number in range(1, int(level.max(initial=0)) + 1):
-        part = shard.filter(pa.array(level == number))
-        layers.append(dict(zip(np.searchsorted(ids, part.column("src").to_numpy()).tolist(), place(part))))
-    return G.Graph(place(base), [], entry, layers=layers), ids, x
+    upper = [adjacency(shard.filter(pa.array(level == number))) for number in range(1, int(level.max(initial=0)) + 1)]
+    return G.FlatGraph(entry, [adjacency(base), *upper]), ids, x
 
 
 def route_queries(queries: DataFrame, router: Router | None, probes: int, tau: float = 0.0, radii: dict[int, float] | None = None) -> DataFrame:
@@ -76,47 +83,54 @@ def shard_radii(index: DataFrame, router: Router) -> dict[int, float]:
     return {r.shard: r.d for r in rows.groupBy("shard").agg(F.max("d").alias("d")).collect()}
 
 
-def search_index(
-    index: DataFrame, queries: DataFrame, k: int, widths: list[int], router: Router | None = None, probes: int = 1, metric: str = "l2",
+def search_indexes(
+    index: DataFrame, settings: list[str], queries: DataFrame, k: int, widths: list[int], router: Router | None = None, probes: int = 1, metric: str = "l2",
     tau: float = 0.0, radii: dict[int, float] | None = None,
 ) -> DataFrame:
-    """(q_id, width, vec_id, dist, ndc, hops, edges_scanned) of each query's k best for each queue width, costs summed over shards.
+    """(setting, q_id, width, vec_id, dist, ndc, hops, edges_scanned): each query's k best for each setting and queue width, costs summed over shards.
 
-    Each width must be at least k. Queries travel to the shards of the index.
+    Queries travel to the shards of each setting's index.
     """
     if min(widths) < 1:
         raise ValueError("widths are positive")
     ship_package(index.sparkSession)
     space = Metric(metric)
+    names = ["setting", "shard", *(c.split()[0] for c in FOUND.split(", "))]
 
     def run(shard: pa.Table, asked: pa.Table) -> pa.Table:
         out = []
         if asked.num_rows and shard.num_rows:
             g, ids, x = _graph_of(shard, space)
             q = space.prepare(to_matrix(asked.column("qvec")))
-            q_ids = asked.column("q_id").to_numpy()
+            q_ids, number, name = asked.column("q_id").to_numpy(), shard.column("shard")[0].as_py(), shard.column("setting")[0].as_py()
             for width in widths:
                 got = G.search_layered(g, x, q, width, k, space)
                 there = got.ids >= 0
                 n = there.sum(axis=1)
                 rep = lambda a: pa.array(np.repeat(a, n))
+                same = lambda v, kind: pa.array([v] * int(n.sum()), kind)
                 out.append(pa.Table.from_arrays(
-                    [rep(q_ids), pa.array(np.full(n.sum(), width, np.int32)), pa.array(ids[got.ids[there]]), pa.array(got.dist[there]), rep(got.ndc), rep(got.hops), rep(got.edges)],
-                    [c.split()[0] for c in FOUND.split(", ")]))
-        empty = pa.schema([("q_id", pa.int64()), ("width", pa.int32()), ("vec_id", pa.int64()), ("dist", pa.float64()), ("ndc", pa.int64()), ("hops", pa.int64()), ("edges_scanned", pa.int64())])
-        return pa.concat_tables(out) if out else empty.empty_table()
+                    [same(name, pa.string()), same(number, pa.int32()), rep(q_ids), same(width, pa.int32()), pa.array(ids[got.ids[there]]), pa.array(got.dist[there]), rep(got.ndc), rep(got.hops), rep(got.edges)],
+                    names))
+        kinds = [pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64()]
+        return pa.concat_tables(out) if out else pa.schema(list(zip(names, kinds))).empty_table()
 
     asked = route_queries(queries, router, probes, tau, radii)
-    found = index.groupBy("shard").cogroup(asked.groupBy("shard")).applyInArrow(run, FOUND)
-    # Costs are equal on all rows of one query, width and shard; a shard's best row carries them.
+    asked = asked.withColumn("setting", F.explode(F.array(*map(F.lit, settings))))
+    found = index.groupBy("setting", "shard").cogroup(asked.groupBy("setting", "shard")).applyInArrow(run, "setting string, shard int, " + FOUND)
     if router is None:
-        return found
-    costs = found.groupBy("q_id", "width", "ndc", "hops", "edges_scanned").agg(F.min("dist").alias("_d")).groupBy("q_id", "width")
-    costs = costs.agg(*[F.sum(c).alias(c) for c in ("ndc", "hops", "edges_scanned")])
-    by = W.partitionBy("q_id", "width").orderBy("dist", "vec_id")
-    once = found.select("q_id", "width", "vec_id", "dist").distinct()
+        return found.drop("shard")
+    each = found.groupBy("setting", "q_id", "width", "shard").agg(*[F.max(c).alias(c) for c in COSTS])
+    costs = each.groupBy("setting", "q_id", "width").agg(*[F.sum(c).alias(c) for c in COSTS])
+    by = W.partitionBy("setting", "q_id", "width").orderBy("dist", "vec_id")
+    once = found.select("setting", "q_id", "width", "vec_id", "dist").distinct()
     best = once.withColumn("_r", F.row_number().over(by)).where(F.col("_r") <= k).drop("_r")
-    return best.join(costs, ["q_id", "width"]).select(*[c.split()[0] for c in FOUND.split(", ")])
+    return best.join(costs, ["setting", "q_id", "width"]).select("setting", *names[2:])
+
+
+def search_index(index: DataFrame, queries: DataFrame, k: int, widths: list[int], router: Router | None = None, probes: int = 1, metric: str = "l2", tau: float = 0.0, radii: dict[int, float] | None = None) -> DataFrame:
+    """(q_id, width, vec_id, dist, ndc, hops, edges_scanned) of one index."""
+    return search_indexes(index.withColumn("setting", F.lit("one")), ["one"], queries, k, widths, router, probes, metric, tau, radii).drop("setting")
 
 
 def greedy_routes(points: DataFrame, edges: DataFrame, queries: DataFrame, entry: int, metric: str = "l2") -> DataFrame:

@@ -46,7 +46,7 @@ def test_ties_go_to_smaller_places():
 
 @pytest.mark.parametrize("method", G.METHODS)
 def test_every_builder_gives_a_sound_graph(method):
-    x, p = points(120), G.Params(K=12, M=8, L=15, C=60, alpha=1.2, tau=0.01)
+    x, p = points(120), G.Params(K=12, M=8, L=15, C=60, alpha=1.2, tau=0.01, hnsw_m=4, hnsw_ef=15, vamana_m=8, vamana_l=15)
     g = G.build(method, x, p)
     extra = {u for u, _ in g.repairs}
     full = method in ("mrng", "shifted_full", "scaled_full", "fcg")
@@ -124,3 +124,55 @@ def test_tiny_sets(n):
     for method in G.METHODS:
         g = G.build(method, points(n), G.Params(K=4, M=4, L=4, C=8))
         assert len(g.neighbors) == n and all(len(r) < n for r in g.neighbors)
+
+
+def test_descent_comes_near_the_exact_graph():
+    x = points(1500, 8)
+    (ids, dist), (exact, _) = G.descent_knn_graph(x, 20), G.exact_knn_graph(x, 20)
+    assert np.mean([len(np.intersect1d(a, b)) / 20 for a, b in zip(ids, exact)]) >= 0.9
+    assert np.allclose(dist, np.sqrt(((x[ids] - x[:, None]) ** 2).sum(2))) and (np.diff(dist, axis=1) >= 0).all() and (ids != np.arange(len(x))[:, None]).all()
+    assert (G.descent_knn_graph(x[:3], 20)[0].shape, G.descent_knn_graph(x[:1], 5)[0].tolist()) == ((3, 2), [[-1]])
+
+
+def test_large_shards_take_the_descent(monkeypatch):
+    monkeypatch.setattr(G, "EXACT_POINTS", 100)
+    x = points(300, 4)
+    g = G.build("lcg_adaptive", x, G.Params(K=16, M=16, L=20, C=100))
+    exact, _ = Metric().nearest(x[:40], x, np.arange(len(x)), 5)
+    got = beam_search(g.adjacency(), x, x[:40], g.entry, 60, 5).ids
+    assert np.mean(got == exact) > 0.95
+
+
+def test_published_settings():
+    assert {(p.K, p.M, p.L, p.C) for p in G.PRESETS.values()} == {(200, 50, 40, 500), (200, 70, 60, 500), (200, 100, 100, 500), (200, 80, 100, 500)}
+    p = G.Params()
+    assert (p.hnsw_m, p.hnsw_ef, p.vamana_m, p.vamana_l, p.vamana_alpha, p.alpha0, p.alpha_step, p.alpha_max) == (32, 500, 70, 75, 1.2, 0.9, 0.05, 1.6)
+
+
+def eager(x, forward, m, select):
+    """Reversed edges one at a time, as words describe it."""
+    rows = [list(r) for r in forward]
+    for v in range(len(x)):
+        for u in forward[v]:
+            if v in rows[u]:
+                continue
+            rows[u].append(v)
+            if len(rows[u]) > m:
+                ids = np.array(sorted(rows[u], key=lambda w: (float(np.sqrt(((x[w] - x[u]) ** 2).sum())), w)))
+                d = np.sqrt(((x[ids] - x[u]) ** 2).sum(1))
+                rows[u] = ids[select(d, x[ids]).kept].tolist()
+    return rows
+
+
+@pytest.mark.parametrize("method,policy", [("nsg", "unit"), ("shifted_local", "shifted"), ("lcg_adaptive_eager", "adaptive")])
+def test_eager_insertion_by_brute_force(method, policy):
+    from dataclasses import replace
+
+    x, p = points(200, 4), G.Params(K=16, M=8, L=20, C=60, tau=0.02)
+    forward = G.build(method, x, replace(p, backward="none")).neighbors
+    want = eager(x, forward, p.M, G.make_select(policy, p, Metric()))
+    got = G.build(method, x, p)
+    fixed: dict = {}
+    for u, v in got.repairs:
+        fixed.setdefault(u, []).append(v)
+    assert [[v for v in row if v not in fixed.get(u, [])] for u, row in enumerate(got.neighbors)] == want
