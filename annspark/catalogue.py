@@ -15,7 +15,6 @@ from annspark.operators import build, exact, measures, relational, search, selec
 from annspark.plans import query_plan
 from annspark.plans.session import stage
 from annspark.sources import vectors as V
-from annspark.sources.tables import table
 from annspark.streaming import serving
 
 #: Every query set is the rows whose id is divisible by this, against all other rows.
@@ -327,53 +326,28 @@ for _method in ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "va
 query(O.exact_knn(O.EMB, 10), "beam_search_fcg")(_wide("fcg"))
 
 
-def method_curves(spark: SparkSession, points: DataFrame, methods: tuple[str, ...], params: Params, k: int, widths: list[int], every: int = EVERY) -> DataFrame:
-    """(method, width, recall, ndc, hops, edges_scanned) over a hold-out."""
-    points = stage(points.select("vec_id", "embedding"), "curve-points")
-    base, asked = V.hold_out(points, every)
-    asked = exact.as_queries(asked)
-    truth = stage(exact.exact_knn(base, asked, k), "curve-truth")
-    out = None
-    for method in methods:
-        index = build.build_index(base, method, params)
-        found = stage(search.search_index(index, asked, k, widths), "curve-found")
-        part = measures.curve(found, truth, k).select(F.lit(method).alias("method"), "width", "recall", "ndc", "hops", "edges_scanned")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
-PRACTICAL = ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana")
-
-
 @query()
 def recall_table(spark, d):
     """Every practical method on unit vectors: recall@10 and costs by queue width."""
-    return method_curves(spark, V.v_emb(spark, d), PRACTICAL, EMB, 10, [10, 15, 20, 40, 80])
+    return experiments.curves(spark, d, "v_emb", k=10, widths=[10, 15, 20, 40, 80])
 
 
 @query()
 def speedup_table(spark, d):
     """Best baseline's cost over the adaptive graph's at recall 0.90."""
-    curves = stage(method_curves(spark, V.v_emb(spark, d), PRACTICAL, EMB, 10, [10, 15, 20, 40, 80]), "curves")
-    return measures.speedup_at_recall(curves, 0.9, "lcg_adaptive", ("nsg", "shifted_local", "hnsw", "vamana"))
+    return measures.speedup_at_recall(recall_table(spark, d), 0.9, "lcg_adaptive", experiments.BASELINES)
 
 
 @query()
 def rule_transplant(spark, d):
     """The two baselines with the scaled-shifted rule in place of their own."""
-    return method_curves(spark, V.v_emb(spark, d), ("hnsw", "hnsw_plus", "vamana", "vamana_plus", "lcg_adaptive"), EMB, 10, [10, 20, 40, 80])
+    return experiments.curves(spark, d, "v_emb", experiments.TRANSPLANT, 10, [10, 20, 40, 80])
 
 
 @query()
 def index_cost(spark, d):
-    """Size, degree and selection work of each method's index."""
-    p = stage(V.v_emb(spark, d), "emb")
-    out = None
-    for method in (*PRACTICAL, "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full", "fcg"):
-        index = stage(build.build_index(p, method, EMB), "cost-index")
-        one = measures.index_stats(index).join(measures.selection_work(index), F.lit(True)).select(F.lit(method).alias("method"), "*")
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Size, degree and selection work of each method's index, full-candidate graphs too."""
+    return experiments.build_cost(spark, d, "v_emb", (*experiments.PRACTICAL, "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full", "fcg"))
 
 
 @query()
@@ -384,7 +358,7 @@ def nn_descent_recall(spark, d):
 
 @query()
 def sharded_search(spark, d):
-    """Adaptive graphs in four shards behind a router: recall@10 by the number of shards probed."""
+    """Adaptive graphs in eight shards behind a router: recall@10 by the number of shards probed."""
     p = stage(V.v_event(spark, d), "event")
     base, asked = V.hold_out(p, EVERY)
     asked = exact.as_queries(asked)
@@ -491,6 +465,3 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     truth = exact.exact_knn(base, asked, 1).select("q_id", F.col("vec_id").alias("nearest"))
     return last.join(truth, "q_id").select("q_id", "hops", "answer", "dist", (F.col("answer") == F.col("nearest")).alias("exact"))
 
-
-#: The documents' tables are read here too, so that a missing one shows at once.
-TABLE = table

@@ -11,6 +11,7 @@ further join.
 from __future__ import annotations
 
 import heapq
+import time
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cached_property
@@ -31,7 +32,7 @@ from annspark.plans.session import ship_package, stage
 EDGES = "src long, dst long, dist double, rank int"
 INDEX = (
     "shard int, src long, vec array<double>, nbrs array<long>, dists array<double>, level int, is_entry boolean, n_repair int, "
-    "alpha_used double, steps int, pairs long, distinct_kept int, selections long"
+    "alpha_used double, steps int, pairs long, distinct_kept int, selections long, build_s double"
 )
 #: Sources of one task of a full graph, at most about so many.
 SOURCE_BLOCK = 1024
@@ -187,7 +188,7 @@ def assign_shards(points: DataFrame, router: Router, rho: float = 0.0) -> DataFr
     return points.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>")).mapInArrow(run, "vec_id long, embedding array<double>, shard int")
 
 
-def _index_table(g: G.Graph, ids: np.ndarray, raw: np.ndarray, shard: int) -> pa.Table:
+def _index_table(g: G.Graph, ids: np.ndarray, raw: np.ndarray, shard: int, seconds: float) -> pa.Table:
     """A graph's index rows, from flat arrays."""
     n, dim = raw.shape
 
@@ -201,7 +202,7 @@ def _index_table(g: G.Graph, ids: np.ndarray, raw: np.ndarray, shard: int) -> pa
         pa.array(np.full(n, shard, np.int32)), pa.array(ids), pa.ListArray.from_arrays(pa.array(np.arange(0, n * dim + 1, dim, dtype=np.int32)) if dim else pa.array(np.zeros(n + 1, np.int32)), pa.array(raw.ravel())),
         lists(g.neighbors, pa.int64(), ids), lists(g.dists, pa.float64()), pa.array(np.zeros(n, np.int32)), pa.array(np.arange(n) == g.entry),
         pa.array(np.bincount([u for u, _ in g.repairs], minlength=n).astype(np.int32)), pa.array(logs["alpha_used"], pa.float64()), pa.array(logs["steps"], pa.int32()),
-        pa.array(logs["pairs"], pa.int64()), pa.array(logs["distinct"], pa.int32()), pa.array(np.full(n, g.selections)),
+        pa.array(logs["pairs"], pa.int64()), pa.array(logs["distinct"], pa.int32()), pa.array(np.full(n, g.selections)), pa.array(np.full(n, seconds)),
     ]
     names = [c.split()[0] for c in INDEX.split(", ")]
     out = [pa.Table.from_arrays(base, names)]
@@ -238,7 +239,9 @@ def build_indexes(points: DataFrame, settings: dict[str, tuple[str, G.Params]],
         raw = to_matrix(shard.column("embedding"))[order]
         name = shard.column("setting")[0].as_py()
         method, params = settings[name]
-        table = _index_table(G.build(method, space.prepare(raw), params, space), ids, raw, shard.column("shard")[0].as_py())
+        began = time.process_time()
+        g = G.build(method, space.prepare(raw), params, space)
+        table = _index_table(g, ids, raw, shard.column("shard")[0].as_py(), time.process_time() - began)
         return table.add_column(0, "setting", pa.array([name] * table.num_rows, pa.string()))
 
     groups = placed.repartition(len(settings) * (len(router.centroids) if router is not None else 1), "setting", "shard")

@@ -73,21 +73,25 @@ def long_edge_share(edges: DataFrame, longer_than: float) -> DataFrame:
     return edges.agg(F.avg(F.when(F.col("dist") > longer_than, 1.0).otherwise(0.0)).alias("long_share"), F.percentile_approx("dist", [0.1, 0.5, 0.9], 10_000).alias("quantiles"))
 
 
-def index_stats(index: DataFrame) -> DataFrame:
-    """(vertices, edges, index_mb, vector_mb): adjacency at 4 bytes a local id, vectors at 4 bytes a component."""
-    return index.agg(
+def index_stats(index: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by.., vertices, edges, index_mb, vector_mb, build_s): adjacency at 4 bytes a local id, vectors at 4 bytes a component, CPU seconds of all shards."""
+    build = index.where("level = 0").groupBy(*by, "shard").agg(F.max("build_s").alias("s")).groupBy(*by).agg(F.sum("s").alias("build_s"))
+    sizes = index.groupBy(*by).agg(
         F.count_if(F.col("level") == 0).alias("vertices"), F.sum(F.size("nbrs")).alias("edges"),
         (F.sum(F.size("nbrs")) * 4 / 1e6).alias("index_mb"), (F.sum(F.when(F.col("level") == 0, F.size("vec"))) * 4 / 1e6).alias("vector_mb"),
     )
+    return sizes.join(build, list(by)) if by else sizes.join(build, F.lit(True))
 
 
-def selection_work(index: DataFrame) -> DataFrame:
-    """(pairs, mean_steps, mean_alpha, mean_distinct, selections): what neighbour selection did."""
+def selection_work(index: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """(by.., pairs, mean_steps, mean_alpha, mean_distinct, selections, repair_edges): what neighbour selection did, over all shards."""
     base = index.where("level = 0")
-    return base.agg(
-        F.sum("pairs").alias("pairs"), F.avg("steps").alias("mean_steps"), F.avg("alpha_used").alias("mean_alpha"), F.avg("distinct_kept").alias("mean_distinct"),
-        F.max("selections").alias("selections"), F.sum("n_repair").alias("repair_edges"),
+    calls = base.groupBy(*by, "shard").agg(F.max("selections").alias("s")).groupBy(*by).agg(F.sum("s").alias("selections"))
+    work = base.groupBy(*by).agg(
+        F.sum("pairs").alias("pairs"), F.avg("steps").alias("mean_steps"), F.avg("alpha_used").alias("mean_alpha"), F.avg("distinct_kept").alias("mean_distinct"), F.sum("n_repair").alias("repair_edges"),
     )
+    both = work.join(calls, list(by)) if by else work.join(calls, F.lit(True))
+    return both.select(*by, "pairs", "mean_steps", "mean_alpha", "mean_distinct", "selections", "repair_edges")
 
 
 def approx_ratio(found: DataFrame, truth: DataFrame) -> DataFrame:

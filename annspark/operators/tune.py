@@ -1,55 +1,39 @@
 """Parameter search: tau by a grid that is then refined, and alpha of the fixed variant.
 
-Phases that neither parameter touches (K-NN graph, entry, candidates) are done
-once and shared by all settings. Tuning queries are disjoint from test queries.
+Settings are indexes built side by side, each shard of each in a task of its own.
+Tuning queries are disjoint from test queries.
 """
 
 from __future__ import annotations
 
 from dataclasses import replace
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from annspark.functions import graphs as G
-from annspark.functions.beam import beam_search
-from annspark.functions.metric import Metric
-from annspark.operators.exact import to_matrix
-from annspark.operators.measures import cost_at_recall
-from annspark.plans.session import ship_package, stage
+from annspark.operators.build import SHARD_POINTS, build_indexes, router_for
+from annspark.operators.exact import exact_knn
+from annspark.operators.measures import cost_at_recall, curve
+from annspark.operators.search import search_indexes
+from annspark.plans.session import stage
 
-CURVE = "policy string, alpha double, tau double, width int, recall double, ndc double, hops double, mean_degree double"
 #: The starting grid: zero against powers of ten.
 TAU_GRID = (0.0, 10.0, 1.0, 0.1, 0.01, 0.001)
 
 
-def sweep(points: DataFrame, queries: DataFrame, settings: list[tuple[str, float, float]], params: G.Params, k: int, widths: list[int], metric: str = "l2") -> DataFrame:
-    """Recall and costs of each (policy, alpha, tau) at each width, on one shard of points."""
-    ship_package(points.sparkSession)
-    space = Metric(metric)
-    base = points.select(F.lit(0).alias("g"), F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>"))
-    asked = queries.select(F.lit(0).alias("g"), F.col("q_id").cast("long"), F.col("qvec").cast("array<double>"))
-
-    def run(rows: pa.Table, ask: pa.Table) -> pa.Table:
-        rows = rows.sort_by("vec_id")
-        x, q = space.prepare(to_matrix(rows.column("embedding"))), space.prepare(to_matrix(ask.column("qvec")))
-        truth, _ = space.nearest(q, x, np.arange(len(x)), k)
-        prepared = G.prepare_local(x, params, space)
-        out = []
-        for policy, alpha, tau in settings:
-            g = G.build_local(x, replace(params, alpha=alpha, tau=tau), policy, "lazy", space, prepared)
-            adjacency, degree = g.adjacency(), float(np.mean([len(r) for r in g.neighbors]))
-            for width in widths:
-                got = beam_search(adjacency, x, q, g.entry, width, k, space)
-                recall = float(np.mean([len(np.intersect1d(a, b[b >= 0])) / max(1, (b >= 0).sum()) for a, b in zip(got.ids, truth)]))
-                out.append((policy, alpha, tau, width, recall, float(got.ndc.mean()), float(got.hops.mean()), degree))
-        names = [c.split()[0] for c in CURVE.split(", ")]
-        kinds = [pa.string(), pa.float64(), pa.float64(), pa.int32(), pa.float64(), pa.float64(), pa.float64(), pa.float64()]
-        return pa.Table.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], names)
-
-    return base.groupBy("g").cogroup(asked.groupBy("g")).applyInArrow(run, CURVE)
+def sweep(points: DataFrame, queries: DataFrame, settings: list[tuple[str, float, float]], params: G.Params, k: int, widths: list[int], metric: str = "l2", shard_points: int = SHARD_POINTS, probes: int = 2) -> DataFrame:
+    """(policy, alpha, tau, width, recall, ndc, hops, mean_degree) of each (policy, alpha, tau) at each width."""
+    spark = points.sparkSession
+    named = {f"{policy}/{alpha!r}/{tau!r}": (f"lcg_{policy}", replace(params, alpha=alpha, tau=tau)) for policy, alpha, tau in settings}
+    router = router_for(points, shard_points, metric)
+    truth = stage(exact_knn(points, queries, k, metric), "sweep-truth")
+    index = stage(build_indexes(points, named, router, metric), "sweep-index")
+    found = search_indexes(index, list(named), queries, k, widths, router, probes, metric)
+    degree = index.groupBy("setting").agg(F.avg(F.size("nbrs")).alias("mean_degree"))
+    about = spark.createDataFrame([(n, *s) for n, s in zip(named, settings)], "setting string, policy string, alpha double, tau double")
+    rows = curve(found, truth, k, ("setting", "width")).join(F.broadcast(about), "setting").join(F.broadcast(degree), "setting")
+    return rows.select("policy", "alpha", "tau", "width", "recall", "ndc", "hops", "mean_degree")
 
 
 def _best(curves: DataFrame, by: str, target: float) -> tuple[float, DataFrame]:

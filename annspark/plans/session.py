@@ -15,6 +15,7 @@ _PACKAGE = Path(__file__).resolve().parents[1]
 _shipped: set[str] = set()
 _own_dirs: dict[str, str] = {}
 _staged: dict[str, list[str]] = {}
+_releases: dict[str, int] = {}
 
 
 def ship_package(spark: SparkSession) -> None:
@@ -62,9 +63,16 @@ def staging_path(spark: SparkSession, name: str) -> str:
     return path
 
 
+def releases(spark: SparkSession) -> int:
+    """How often this application has released its staged tables: what was staged before is gone."""
+    return _releases.get(spark.sparkContext.applicationId, 0)
+
+
 def release_staged(spark: SparkSession) -> int:
     """Delete what this application has staged so far; call it when no result that reads it is needed any more."""
-    paths = _staged.pop(spark.sparkContext.applicationId, [])
+    app = spark.sparkContext.applicationId
+    paths = _staged.pop(app, [])
+    _releases[app] = releases(spark) + 1
     jvm = spark.sparkContext._jvm
     for path in paths:
         p = jvm.org.apache.hadoop.fs.Path(path)
