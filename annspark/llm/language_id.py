@@ -40,7 +40,7 @@ from annspark.plans.session import ship_package
 from annspark.sources.tables import table
 
 #: Bounds of the labelled rows that the model is fitted on.
-SAMPLE_ROWS, LANGUAGES = 1000, 200
+SAMPLE_ROWS, LANGUAGES = 400, 200
 SWITCH_PENALTY = 12.0
 #: A word's score is cut at so much below its best language.
 WORD_FLOOR = -6.0
@@ -49,7 +49,7 @@ SCRIPT_SHARE = 0.02
 #: The filter keeps texts in which the winner has at least this share of the letters.
 KEEP_SCORE = 0.3
 UNDETERMINED = "und"
-CACHE_ENTRIES, CACHE_CHARS = 80_000, 48
+CACHE_ENTRIES = 60_000
 
 # First and last code point of common scripts' letters.
 SCRIPT_RANGES = (

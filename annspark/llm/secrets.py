@@ -183,16 +183,19 @@ def _judged(scanned: DataFrame, mean: float, least: float) -> DataFrame:
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """``docs`` with every secret in text replaced by a mark, and n_chars renewed; null texts stay null."""
-    mean, least = threshold(stage(scan(docs).where(F.size("tested") > 0).select("tested"), "secret-candidates"))
+    """``docs`` with every secret in text replaced by a mark, and n_chars renewed; null texts stay null.
+
+    The rows are written once with their spans and tested runs, so that texts
+    are scanned once and not again when the threshold is known.
+    """
     rows = docs.select(packed(docs), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    at = _judged(_scanned(rows, "text"), mean, least)
+    scanned = stage(_scanned(rows, "text").select("row", "base", "tested"), "secret-rows")
+    at = _judged(scanned, *threshold(scanned.select("tested"))).select("row", "all_spans")
     found, old = F.size("all_spans") > 0, at["row"]
-    text = F.when(old["text"].isNotNull(), S.replaced("text", "all_spans", MARKS))
-    renewed = {"text": text}
-    if "n_chars" in docs.columns:
-        renewed["n_chars"] = F.when(found, F.length(text).cast("long")).otherwise(old["n_chars"])
-    return at.select(*unpacked(at, docs.columns, renewed))
+    marked = at.select("row", "all_spans", F.coalesce(old["text"].cast("string"), F.lit("")).alias("text"))
+    marked = marked.select("row", found.alias("found"), F.when(old["text"].isNotNull(), S.replaced("text", "all_spans", MARKS)).alias("text"))
+    renewed = {"text": F.col("text"), "n_chars": F.when(F.col("found"), F.length("text").cast("long")).otherwise(old["n_chars"]) if "n_chars" in docs.columns else None}
+    return marked.select(*unpacked(marked, docs.columns, renewed))
 
 
 def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

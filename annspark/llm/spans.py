@@ -15,6 +15,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 SPAN = "struct<start: bigint, end: bigint, value: string, left: string, right: string>"
+#: Matches placed together.
+RUN = 128
 #: Characters of left and right context kept beside a match.
 LEFT = RIGHT = 48
 
@@ -24,21 +26,29 @@ def _quoted(pattern: str) -> str:
 
 
 def located(text: str, found: str, pattern: str) -> Column:
-    """array<SPAN> of the matches ``found`` (a column) of ``pattern`` in ``text`` (a column)."""
+    """array<SPAN> of the matches ``found`` (a column) of ``pattern`` in ``text`` (a column).
+
+    An array that grows is copied at each step, so matches are placed in runs of
+    RUN, and the runs are put together at the end.
+    """
+    none = f"cast(array() AS array<{SPAN}>)"
+    place = (
+        "(a, m) -> named_struct('at', a.at + length(m.piece) + length(m.value), 'out', array_append(a.out, named_struct("
+        "'start', a.at + length(m.piece), 'end', a.at + length(m.piece) + length(m.value), "
+        f"'value', m.value, 'left', substring(m.piece, -{LEFT}), 'right', m.right)))"
+    )
+    run = f"aggregate(slice(ms, j * {RUN} + 1, {RUN}), named_struct('at', s.at, 'out', {none}), {place})"
     return F.expr(f"""
         CASE WHEN size(`{found}`) > 0 THEN
-            aggregate(
+            transform(
                 transform(array(split(`{text}`, {_quoted(pattern)}, -1)), ps -> zip_with(
                     zip_with(slice(ps, 1, size(`{found}`)), `{found}`, (x, y) -> named_struct('piece', x, 'value', y)),
-                    slice(ps, 2, size(`{found}`)), (m, z) -> named_struct('piece', m.piece, 'value', m.value, 'right', substring(z, 1, {RIGHT}))))[0],
-                named_struct('at', 0L, 'out', cast(array() AS array<{SPAN}>)),
-                (a, m) -> named_struct(
-                    'at', a.at + length(m.piece) + length(m.value),
-                    'out', array_append(a.out, named_struct(
-                        'start', a.at + length(m.piece), 'end', a.at + length(m.piece) + length(m.value),
-                        'value', m.value, 'left', substring(m.piece, -{LEFT}), 'right', m.right))),
-                a -> a.out)
-        ELSE cast(array() AS array<{SPAN}>) END""")
+                    slice(ps, 2, size(`{found}`)), (m, z) -> named_struct('piece', m.piece, 'value', m.value, 'right', substring(z, 1, {RIGHT})))),
+                ms -> aggregate(
+                    sequence(0, cast((size(ms) - 1) div {RUN} AS int)), named_struct('at', 0L, 'out', cast(array() AS array<array<{SPAN}>>)),
+                    (s, j) -> transform(array({run}), r -> named_struct('at', r.at, 'out', array_append(s.out, r.out)))[0],
+                    s -> flatten(s.out)))[0]
+        ELSE {none} END""")
 
 
 def with_spans(df: DataFrame, text: str, patterns: dict[str, tuple[str, str]]) -> DataFrame:
