@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -109,7 +111,7 @@ def prune_supp_sql_form(spark, d):
     return rounded(build.full_graph_sql(V.v_supp(spark, d), ScaledShiftedBall(SUPP_ALPHA, SUPP_TAU)), "dist")
 
 
-@query(f"""WITH pt AS ({O.EMB}), nn AS (SELECT * FROM (SELECT a.id AS p, b.id AS u, b.e AS e, list_distance(a.e, b.e) AS dp, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.e, b.e), b.id) AS rank FROM pt a JOIN pt b ON a.id <> b.id) WHERE rank <= 6)
+@query(f"""WITH pt AS MATERIALIZED ({O.EMB}), nn AS MATERIALIZED (SELECT * FROM (SELECT a.id AS p, b.id AS u, b.e AS e, list_distance(a.e, b.e) AS dp, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.e, b.e), b.id) AS rank FROM pt a JOIN pt b ON a.id <> b.id) WHERE rank <= 6)
 SELECT x.p AS p, x.u AS u, y.u AS v, round((x.dp - 0.001::DOUBLE) / (list_distance(x.e, y.e) + 0.001::DOUBLE), 6) AS alpha_bar FROM nn x JOIN nn y ON x.p = y.p AND y.rank < x.rank""")
 def alpha_bar_pairs(spark, d):
     p = V.v_emb(spark, d)
@@ -308,22 +310,60 @@ def hops_bound_check(spark, d):
 
 # -- indexes of every method -----------------------------------------------------------
 
-def _wide(method: str) -> Query:
-    """Search with the whole shard as queue: an index that reaches everything gives the exact answer."""
+LOCAL = Params(K=20, M=16, L=20, C=60, alpha=1.05, tau=0.001, start=0)
+_STEPS = [0.9 + k * 0.05 for k in range(15)]
 
-    def run(spark: SparkSession, d: str) -> DataFrame:
-        p = stage(V.v_emb(spark, d), "emb")
-        index = build.build_index(p, method, EMB)
-        found = search.search_index(index, queries_of(p), 11, [p.count()])
-        near = found.where("q_id <> vec_id")
-        return rounded(exact.top_k(near, 10), "dist")
 
-    return run
+def _local_edges(method: str, params: Params) -> Query:
+    """Every edge of a method's index, with its place in the row."""
+    return lambda spark, d: rounded(build.edges_of(build.build_index(V.v_emb(spark, d), method, params)).drop("shard"), "dist")
 
 
-for _method in ("lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "hnsw", "vamana", "hnsw_plus", "vamana_plus", "mrng", "shifted_full", "scaled_full"):
-    query(O.exact_knn(O.EMB, 10), f"{_method}_exhaustive")(_wide(_method))
-query(O.exact_knn(O.EMB, 10), "beam_search_fcg")(_wide("fcg"))
+def _local_sql(alphas: list[float], drop: str | None = None, backward: bool = True) -> str:
+    return O.local_graph(O.EMB, LOCAL.K, LOCAL.M, LOCAL.L, LOCAL.C, alphas, LOCAL.tau, drop, backward)
+
+
+query(_local_sql(_STEPS), "lcg_adaptive_edges")(_local_edges("lcg_adaptive", LOCAL))
+query(_local_sql([LOCAL.alpha]), "lcg_fixed_edges")(_local_edges("lcg_fixed", LOCAL))
+query(_local_sql([1.0], DROPS["unit"], False), "nsg_forward_edges")(_local_edges("nsg", replace(LOCAL, backward="none")))
+query(_local_sql([1.0], DROPS["unit"]), "nsg_lazy_edges")(_local_edges("nsg", replace(LOCAL, backward="lazy")))
+query(_local_sql([1.0], "d_uv < d_pu - 0.003::DOUBLE", False), "shifted_local_forward_edges")(_local_edges("shifted_local", replace(LOCAL, backward="none")))
+for _method, _rule in (("mrng", "unit"), ("shifted_full", "shifted"), ("scaled_full", "scaled"), ("fcg", "scaled_shifted")):
+    query(O.edges(O.EMB, DROPS[_rule]), f"{_method}_index_edges")(_local_edges(_method, Params(alpha=1.05, tau=getattr(RULES[_rule], "tau", 0.0))))
+
+
+def _fcg_found(spark, d, k: int, widths: list[int]) -> tuple[DataFrame, DataFrame]:
+    p = stage(V.v_emb(spark, d), "emb")
+    index = stage(build.build_index(p, "fcg", Params(alpha=1.05, tau=0.001)), "fcg-index")
+    return p, search.search_index(index, queries_of(p), k, widths)
+
+
+@query(O.beam_rows(O.EMB, DROPS["scaled_shifted"], 10, 10))
+def beam_search_fcg(spark, d):
+    """Beam search with a queue of ten over the exact graph: answers and costs of each query."""
+    return rounded(_fcg_found(spark, d, 10, [10])[1].drop("width"), "dist")
+
+
+_CURVE = O.beam_curve(O.EMB, DROPS["scaled_shifted"], 10, [10, 14, 20])
+
+
+def _fcg_curve(spark, d) -> DataFrame:
+    p, found = _fcg_found(spark, d, 10, [10, 14, 20])
+    return measures.curve(found, exact.exact_knn(p, queries_of(p), 10), 10)
+
+
+@query(f"{_CURVE} SELECT width, round(recall, 6) AS recall, round(ndc, 6) AS ndc, round(hops, 6) AS hops, round(edges_scanned, 6) AS edges_scanned FROM curve")
+def beam_curve_fcg(spark, d):
+    """Recall@10, distance computations, hops and edges scanned by queue width."""
+    return rounded(_fcg_curve(spark, d), "recall", "ndc", "hops", "edges_scanned")
+
+
+@query(_CURVE + O.AT_RECALL.format(target="(SELECT (min(recall) + max(recall)) / 2 FROM curve)"))
+def cost_at_recall_fcg(spark, d):
+    """Interpolated costs at the recall half way between the curve's ends."""
+    curve = stage(_fcg_curve(spark, d), "fcg-curve")
+    target = curve.agg((F.min("recall") + F.max("recall")) / 2).first()[0]
+    return rounded(measures.cost_at_recall(curve.withColumn("method", F.lit("fcg")), target).drop("method"), "ndc", "hops")
 
 
 @query()
@@ -372,28 +412,38 @@ def sharded_search(spark, d):
     return out
 
 
-@query(O.exact_knn(O.SUPP, 3))
+@query(O.beam_rows(O.EMB, DROPS["scaled_shifted"], 6, 6).replace(" CAST(t.scanned AS BIGINT) AS edges_scanned", " CAST(row_number() OVER (PARTITION BY t.q ORDER BY t.z.d, t.z.v) AS INTEGER) AS rank"))
 def bsp_beam_search(spark, d):
-    """Beam search as supersteps of joins, with a queue as wide as the graph."""
-    p = stage(V.v_supp(spark, d), "supp")
-    index = stage(build.build_index(p, "lcg_adaptive", Params(K=10, M=8, L=16, C=40, tau=0.01)), "supp-index")
-    found = search.bsp_search(index, queries_of(p), 4, p.count(), expand=16)
-    return rounded(exact.top_k(found.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 3), "dist")
+    """Beam search as supersteps of joins over the exact graph, one vertex a step: it equals the kernel in answers and costs."""
+    p = stage(V.v_emb(spark, d), "emb")
+    index = stage(build.build_index(p, "fcg", Params(alpha=1.05, tau=0.001)), "fcg-index")
+    return rounded(search.bsp_search(index, queries_of(p), 6, 6), "dist")
 
 
-@query(O.exact_knn(O.SUPP, 5))
+@query()
 def lsh_family(spark, d):
-    p = V.v_supp(spark, d)
-    near = search.lsh_knn(p, queries_of(p), 6, bucket=1e9)
-    return rounded(exact.top_k(near.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 5), "dist")
+    """Recall@5 of bucketed projections on suppliers."""
+    p = stage(V.v_supp(spark, d), "supp")
+    return measures.recall_at_k(search.lsh_knn(p, queries_of(p), 5, bucket=1.0), exact.exact_knn(p, queries_of(p), 5), 5)
 
 
-@query(O.exact_knn(O.PART, 5))
+@query(f"""WITH pt AS ({O.PART}), cell AS (SELECT row_number() OVER (ORDER BY id) - 1 AS c, e AS ce FROM pt ORDER BY id LIMIT 6),
+near AS MATERIALIZED (SELECT id, e, c, row_number() OVER (PARTITION BY id ORDER BY list_distance(e, ce), c) AS r FROM pt, cell)
+SELECT q_id, CAST(rank AS INTEGER) AS rank, vec_id, round(dist, 6) AS dist FROM (
+    SELECT q.id AS q_id, b.id AS vec_id, list_distance(q.e, b.e) AS dist, row_number() OVER (PARTITION BY q.id ORDER BY list_distance(q.e, b.e), b.id) AS rank
+    FROM near q JOIN near b ON b.c = q.c AND b.r = 1 WHERE q.id % {EVERY} = 0 AND q.r <= 2) WHERE rank <= 5""")
 def cell_family(spark, d):
-    """Inverted cells, all probed."""
-    p = V.v_part(spark, d)
-    near = search.cell_knn(p, queries_of(p), 6, build.train_router(p, 6), 6)
-    return rounded(exact.top_k(near.where("q_id <> vec_id").select("q_id", "vec_id", "dist"), 5), "dist")
+    """Inverted cells around the first six points, two of them probed."""
+    p = stage(V.v_part(spark, d), "part")
+    first = p.orderBy("vec_id").limit(6).collect()
+    router = build.Router(np.array([r.embedding for r in first]))
+    return rounded(search.cell_knn(p, queries_of(p), 5, router, 2), "dist")
+
+
+@query("VALUES ('nearest', 1, 1, 0.1::DOUBLE), ('nearest', 2, 5, 0.106888), ('nearest', 3, 2, 0.110454), ('nearest', 4, 6, 0.116726), ('adaptive', 1, 1, 0.1), ('adaptive', 2, 7, 5.0)".replace("VALUES", "SELECT * FROM (VALUES") + ") t(policy, rank, dst, dist)")
+def w11_truncation(spark, d):
+    """A hub's edges cut to the nearest, and with adaptive alpha: the worked example of lost ways."""
+    return rounded(experiments.truncation(spark, d), "dist")
 
 
 # -- text ------------------------------------------------------------------------------
