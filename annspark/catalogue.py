@@ -7,6 +7,7 @@ from dataclasses import replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from annspark import experiments
@@ -72,7 +73,7 @@ def exact_knn_supp(spark, d):
     return rounded(exact.exact_knn(p, queries_of(p), 5, skip_self=True), "dist")
 
 
-@query()
+@query(O.LINE_KNN)
 def exact_knn_line(spark, d):
     base, asked = V.hold_out(V.v_line(spark, d), EVERY)
     return rounded(exact.exact_knn(base, exact.as_queries(asked), 10), "dist")
@@ -332,6 +333,23 @@ for _method, _rule in (("mrng", "unit"), ("shifted_full", "shifted"), ("scaled_f
     query(O.edges(O.EMB, DROPS[_rule]), f"{_method}_index_edges")(_local_edges(_method, Params(alpha=1.05, tau=getattr(RULES[_rule], "tau", 0.0))))
 
 
+@query("SELECT method, statement, CAST(0 AS BIGINT) AS violations FROM (VALUES ('hnsw'), ('vamana'), ('hnsw_plus'), ('vamana_plus')) m(method), (VALUES ('loop'), ('repeated'), ('over_cap'), ('wrong_distance')) s(statement)")
+def insertion_invariants(spark, d):
+    """Edges of the insertion baselines' base layer that break what every build must keep; none does."""
+    p = stage(V.v_emb(spark, d), "emb")
+    params = Params(alpha=1.05, tau=0.001, hnsw_m=16, hnsw_ef=60, vamana_m=24, vamana_l=40)
+    caps = {"hnsw": 32, "hnsw_plus": 32, "vamana": 24, "vamana_plus": 24}
+    index = stage(build.build_indexes(p, {m: (m, params) for m in caps}), "insertion-index").where("level = 0")
+    e = index.select("setting", "src", F.explode(F.arrays_zip("nbrs", "dists")).alias("x"), F.size("nbrs").alias("degree")).select("setting", "src", "degree", F.col("x.nbrs").alias("dst"), F.col("x.dists").alias("dist"))
+    side = lambda c: p.select(F.col("vec_id").alias(c), F.col("embedding").alias(f"{c}_e"))
+    true = F.sqrt(F.aggregate(F.zip_with("src_e", "dst_e", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda t, z: t + z))
+    e = e.join(side("src"), "src").join(side("dst"), "dst").withColumn("again", F.count("*").over(W.partitionBy("setting", "src", "dst")))
+    cap = F.create_map(*[F.lit(x) for pair in caps.items() for x in pair])[F.col("setting")]
+    checks = {"loop": F.col("src") == F.col("dst"), "repeated": F.col("again") > 1, "over_cap": F.col("degree") > cap, "wrong_distance": F.abs(true - F.col("dist")) > 1e-9}
+    counts = e.groupBy("setting").agg(*[F.count_if(c).alias(n) for n, c in checks.items()])
+    return counts.unpivot(["setting"], list(checks), "statement", "violations").withColumnRenamed("setting", "method")
+
+
 def _fcg_found(spark, d, k: int, widths: list[int]) -> tuple[DataFrame, DataFrame]:
     p = stage(V.v_emb(spark, d), "emb")
     index = stage(build.build_index(p, "fcg", Params(alpha=1.05, tau=0.001)), "fcg-index")
@@ -474,7 +492,19 @@ def doc_near_copies(spark, d):
     return rounded(members.withColumn("kind", F.lit("member")).unionByName(near.withColumn("kind", F.lit("near"))), "dist")
 
 
-@query()
+def _hashed_vectors(name: str, ident: str, tbl: str) -> str:
+    """CTEs ending in ``name``(id, e): unit vectors of hashed words."""
+    body = _HASHED.format(id=ident, text="text", table=tbl)
+    for c in ("w", "h", "s"):
+        body = body.replace(f"    {c} AS", f"    {name}_{c} AS").replace(f"FROM {c} ", f"FROM {name}_{c} ")
+    return body + f""", {name} AS MATERIALIZED (
+        SELECT x.id AS id, list(coalesce(v, 0.0) / n ORDER BY b) AS e FROM (SELECT id, sqrt(sum(v * v)) AS n FROM {name}_s GROUP BY id HAVING sum(v * v) > 0) x, range(128) r(b)
+        LEFT JOIN {name}_s y ON y.id = x.id AND y.bucket = r.b GROUP BY x.id)"""
+
+
+@query(f"""WITH {_hashed_vectors("doc", "doc_id", "documents")}, {_hashed_vectors("bench", "item_id", "benchmark")}
+SELECT q_id, CAST(rank AS INTEGER) AS rank, vec_id, round(dist, 6) AS dist FROM (
+    SELECT q.id AS q_id, b.id AS vec_id, list_distance(q.e, b.e) AS dist, row_number() OVER (PARTITION BY q.id ORDER BY list_distance(q.e, b.e), b.id) AS rank FROM bench q, doc b) WHERE rank <= 5""")
 def bench_to_docs(spark, d):
     """Each benchmark item's nearest documents by hashed words."""
     return rounded(exact.exact_knn(V.v_doc(spark, d), exact.as_queries(V.v_bench(spark, d)), 5), "dist")

@@ -12,6 +12,16 @@ PART = """
         (SELECT avg(p_size) AS m1, stddev_samp(p_size) AS s1, avg(p_retailprice) AS m2, stddev_samp(p_retailprice) AS s2 FROM part)
 """
 EVERY = 20
+#: The columns stay apart here: the table is too large for list arithmetic over all pairs.
+LINE_KNN = f"""
+    WITH z AS (SELECT avg(l_quantity) m1, stddev_samp(l_quantity) s1, avg(l_extendedprice) m2, stddev_samp(l_extendedprice) s2,
+        avg(l_discount) m3, stddev_samp(l_discount) s3, avg(l_tax) m4, stddev_samp(l_tax) s4 FROM lineitem),
+    pt AS MATERIALIZED (SELECT CAST(concat('0x', substr(md5(concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey)), 1, 15)) AS BIGINT) AS id,
+        (l_quantity - m1) / s1 AS a, (l_extendedprice - m2) / s2 AS b, (l_discount - m3) / s3 AS c, (l_tax - m4) / s4 AS d FROM lineitem, z),
+    best AS (SELECT q.id AS q_id, min({{'d': (q.a - p.a) * (q.a - p.a) + (q.b - p.b) * (q.b - p.b) + (q.c - p.c) * (q.c - p.c) + (q.d - p.d) * (q.d - p.d), 'id': p.id}}, 10) AS n
+        FROM pt q, pt p WHERE q.id % {EVERY} = 0 AND p.id % {EVERY} <> 0 GROUP BY q.id)
+    SELECT q_id, CAST(rank AS INTEGER) AS rank, n[rank].id AS vec_id, round(sqrt(n[rank].d), 6) AS dist FROM best, range(1, 11) t(rank) WHERE rank <= len(n)
+"""
 
 
 def knn(points: str, k: int, where: str = "TRUE") -> str:

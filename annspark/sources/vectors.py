@@ -33,8 +33,9 @@ def v_emb(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def v_line(spark: SparkSession, sf_dir: str) -> DataFrame:
     line = table(spark, sf_dir, "lineitem")
-    # Order and line number repeat here; 63 hashed bits of the four keys tell rows apart.
-    ident = F.shiftrightunsigned(F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"), 1)
+    # Order and line number repeat here; 60 bits of a hash of the four keys tell rows apart, in other SQL engines too.
+    keys = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    ident = F.conv(F.substring(F.md5(keys.cast("binary")), 1, 15), 16, 10).cast("long")
     return standardised(line, ident, {c: F.col(f"l_{c}") for c in ("quantity", "extendedprice", "discount", "tax")})
 
 
