@@ -68,6 +68,15 @@ class IndexStore:
         where = f"{self.path}/{name}"
         return self.spark.read.schema(schema).parquet(where) if fs.exists(path(where)) else self.spark.createDataFrame([], schema)
 
+    def _files(self, name: str) -> list[str]:
+        """The committed files of a table, as they are now."""
+        fs, path = self._fs()
+        where = path(f"{self.path}/{name}")
+        return [s.getPath().toString() for s in fs.listStatus(where) if s.getPath().getName().endswith(".parquet")] if fs.exists(where) else []
+
+    def _read(self, files: list[str], schema: str) -> DataFrame:
+        return self.spark.read.schema(schema).parquet(*files) if files else self.spark.createDataFrame([], schema)
+
     def insert(self, points: DataFrame) -> None:
         points.select(F.col("vec_id").cast("long"), F.col("embedding").cast("array<double>")).write.mode("append").parquet(f"{self.path}/delta")
 
@@ -104,15 +113,19 @@ class IndexStore:
         return exact.top_k(answers.distinct(), k)
 
     def rebuild(self) -> int:
-        """Fold the delta in and the tombstones out, as a new version; then empty both."""
+        """Fold the delta in and the tombstones out, as a new version; then remove what was folded.
+
+        Inserts and deletions that come while it runs stay for the next rebuild.
+        """
         rows, _, about = self.index()
-        dead = self._table("tombstones", "vec_id long").distinct()
+        delta_files, dead_files = self._files("delta"), self._files("tombstones")
+        dead, delta = self._read(dead_files, "vec_id long").distinct(), self._read(delta_files, POINTS)
         old = rows.where("level = 0").select(F.col("src").alias("vec_id"), F.col("vec").alias("embedding")).dropDuplicates(["vec_id"])
-        delta = self._table("delta", POINTS)
         kept = old.join(dead, "vec_id", "left_anti").join(delta.select("vec_id"), "vec_id", "left_anti")
-        points = kept.unionByName(self.live_delta().dropDuplicates(["vec_id"]))
+        points = kept.unionByName(delta.join(dead, "vec_id", "left_anti").dropDuplicates(["vec_id"]))
         version = self.write(points, about["method"], Params(**about["params"]), about["shards"], about["metric"], about["rho"])
         fs, path = self._fs()
-        for name in ("delta", "tombstones"):
-            fs.delete(path(f"{self.path}/{name}"), True)
+        # The delta goes first: a tombstone that outlives its rows harms nothing, rows that outlive it would come back.
+        for name in delta_files + dead_files:
+            fs.delete(path(name), False)
         return version

@@ -293,3 +293,49 @@ def test_statistics_cover_every_row(spark):
     y[sorted(first), 0] = np.linspace(0, 1e-3, 2000)
     y[rest[:64], range(64)] = 1.0
     assert theory.doubling_dimension(frame(spark, y)) >= 5
+
+
+def test_streams_of_two_batches_join(spark, tmp_path):
+    # A stream's watermark begins at second 0, where rows count as late.
+    for clicks, bought in (([(1, 1000), (2, 1010)], [(1, 1050), (2, 1010)]), ([(1, 5000)], [(1, 1100), (1, 1101), (2, 1060)])):
+        for name, rows in (("click", clicks), ("buy", bought)):
+            df = spark.createDataFrame(rows, "user long, s long").select("user", F.timestamp_seconds("s").alias(f"{name}_ts"))
+            df.coalesce(1).write.mode("append").parquet(f"{tmp_path}/{name}")
+    a, b = (serving.stream_of(spark, f"{tmp_path}/{n}", f"user long, {n}_ts timestamp") for n in ("click", "buy"))
+    got = serving.drain(serving.join_streams(a, b, "user", "click_ts", "buy_ts", 100), f"{tmp_path}/run").select("user", F.unix_seconds("buy_ts").alias("s")).collect()
+    assert sorted(map(tuple, got)) == [(1, 1050), (1, 1100), (2, 1060)]
+
+
+def test_tombstones_from_a_stream(spark, tmp_path):
+    p = points(60, 3)
+    store = IndexStore(spark, str(tmp_path / "store"))
+    store.write(frame(spark, p), "lcg_fixed", Params(K=8, M=8, L=10, C=20))
+    for ids in ([3, 3, 4], [4, 5]):
+        df = spark.createDataFrame([(i, n) for n, i in enumerate(ids)], "vec_id long, s long").select("vec_id", F.timestamp_seconds("s").alias("ts"))
+        df.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        stream = serving.stream_of(spark, str(tmp_path / "in"), "vec_id long, ts timestamp")
+        serving.tombstone_stream(stream, store, str(tmp_path / "cp")).awaitTermination()
+    assert sorted(r.vec_id for r in spark.read.parquet(str(tmp_path / "store/tombstones")).collect()) == [3, 4, 5]
+    asked = exact.as_queries(frame(spark, p).where("vec_id IN (3, 5)"))
+    assert not {r.vec_id for r in store.search(asked, 3, 20).collect()} & {3, 4, 5}
+
+
+def test_rebuild_keeps_what_comes_meanwhile(spark, tmp_path, monkeypatch):
+    p = points(40, 3)
+    store = IndexStore(spark, str(tmp_path))
+    store.write(frame(spark, p[:30]), "lcg_fixed", Params(K=8, M=8, L=10, C=20))
+    store.insert(frame(spark, p[30:32], 30))
+    store.delete(spark.createDataFrame([(1,)], "vec_id long"))
+    write = store.write
+
+    def busy(*args):
+        version = write(*args)
+        store.insert(frame(spark, p[32:33], 32))
+        store.delete(spark.createDataFrame([(2,)], "vec_id long"))
+        return version
+
+    monkeypatch.setattr(store, "write", busy)
+    store.rebuild()
+    assert [r.vec_id for r in store.live_delta().collect()] == [32]
+    held = {r.vec_id for r in store.search(exact.as_queries(frame(spark, p[:1])), 40, 60).collect()}
+    assert held == set(range(33)) - {1, 2}
