@@ -109,3 +109,18 @@ def test_metrics_satisfy_the_triangle_inequality(name):
 def test_what_is_no_metric_is_refused():
     with pytest.raises(ValueError):
         Metric("cosine")
+
+
+def test_ranking_distances_round_as_fused_sums():
+    import math
+
+    x = np.random.default_rng(4).normal(size=(2, 200, 128))
+    want = []
+    for a, b in zip(*x):
+        s = 0.0
+        for u, v in zip(a, b):
+            s = math.fma(u - v, u - v, s)
+        want.append(math.sqrt(s))
+    assert Metric().ranking(*x).tolist() == want
+    near, dist = Metric().nearest(x[0][:1], x[1], np.arange(200), 200)
+    assert dist[0].tolist() == Metric().ranking(x[0][0], x[1][near[0]]).tolist()
