@@ -339,3 +339,24 @@ def test_rebuild_keeps_what_comes_meanwhile(spark, tmp_path, monkeypatch):
     assert [r.vec_id for r in store.live_delta().collect()] == [32]
     held = {r.vec_id for r in store.search(exact.as_queries(frame(spark, p[:1])), 40, 60).collect()}
     assert held == set(range(33)) - {1, 2}
+
+
+def test_selected_edges_come_without_repairs(spark):
+    x = np.concatenate([points(40, 2, 1), points(40, 2, 2) + 1000])
+    index = stage(build.build_index(frame(spark, x), "lcg_adaptive", Params(K=5, M=6, L=10, C=20)), "islands")
+    every, selected = build.edges_of(index), build.edges_of(index, repairs=False)
+    n = index.agg(F.sum("n_repair")).first()[0]
+    assert n > 0 and every.count() - selected.count() == n
+    assert selected.join(every, ["src", "dst", "rank"]).count() == selected.count()
+
+
+def test_a_confirmed_answer_is_exact_whatever_the_index_missed(spark):
+    x = points(300, 8, 5)
+    p = frame(spark, x)
+    asked = exact.as_queries(p.where("vec_id % 20 = 0"))
+    want = exact.exact_knn(p, asked, 5)
+    key = lambda df: sorted(tuple(r) for r in df.select("q_id", "rank", "vec_id").collect())
+    # A search that knows every third row alone, and nothing of some queries.
+    poor = exact.exact_knn(p.where("vec_id % 3 = 0"), asked.where("q_id <> 40"), 5)
+    assert key(poor) != key(want)
+    assert key(query_plan.confirmed(query_plan.AnnQuery(5, 5), p, asked, poor)) == key(want)
