@@ -176,3 +176,23 @@ def test_eager_insertion_by_brute_force(method, policy):
     for u, v in got.repairs:
         fixed.setdefault(u, []).append(v)
     assert [[v for v in row if v not in fixed.get(u, [])] for u, row in enumerate(got.neighbors)] == want
+
+
+@pytest.mark.parametrize("rule", [UnitBall(), ScaledShiftedBall(1.05, 0.001)])
+@pytest.mark.parametrize("shape", ["spread", "copies", "lattice", "far"])
+def test_full_rows_equal_the_filter_over_all_and_look_at_few(rule, shape):
+    x = points(300, 6, 3)
+    x = {"spread": x, "copies": x[np.arange(300) % 40], "lattice": np.round(x), "far": x * 1e-6 + 5}[shape]
+    full = G.FullRows(x, rule)
+    for cap in (None, 4):
+        for p, (ids, dist) in enumerate(full.rows(np.arange(0, 300, 7), cap)):
+            want, d = full._plain(7 * p, cap)
+            assert ids.tolist() == want.tolist() and dist.tolist() == d.tolist()
+
+
+def test_full_rows_measure_few_pairs(monkeypatch):
+    x, looked = points(4000, 8, 3), []
+    rows = Metric.rows
+    monkeypatch.setattr(Metric, "rows", lambda self, a, b: looked.append(len(a)) or rows(self, a, b))
+    [(ids, _)] = G.full_graph(x, ScaledShiftedBall(1.05, 0.001), Metric(), np.array([5]))
+    assert len(ids) > 5 and sum(looked) < len(x)
