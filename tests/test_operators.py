@@ -360,3 +360,13 @@ def test_a_confirmed_answer_is_exact_whatever_the_index_missed(spark):
     poor = exact.exact_knn(p.where("vec_id % 3 = 0"), asked.where("q_id <> 40"), 5)
     assert key(poor) != key(want)
     assert key(query_plan.confirmed(query_plan.AnnQuery(5, 5), p, asked, poor)) == key(want)
+
+
+def test_routes_that_make_visited_rows_alone_equal_those_over_the_graph(spark, monkeypatch):
+    p = stage(frame(spark, np.concatenate([points(150, 4, 6), points(20, 4, 6)])), "route-points")
+    rule, asked = ScaledShiftedBall(1.2, 0.05), exact.as_queries(p.where("vec_id % 9 = 0"))
+    want = search.greedy_routes(p, build.full_graph(p, rule), asked, 0)
+    key = lambda df: sorted((r.q_id, r.hop, r.vec_id, round(r.dist, 12)) for r in df.collect())
+    want = key(want)
+    monkeypatch.setattr(build, "full_graph", None)
+    assert key(search.greedy_routes_full(p, rule, asked, 0)) == want
