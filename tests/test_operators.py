@@ -370,3 +370,31 @@ def test_routes_that_make_visited_rows_alone_equal_those_over_the_graph(spark, m
     want = key(want)
     monkeypatch.setattr(build, "full_graph", None)
     assert key(search.greedy_routes_full(p, rule, asked, 0)) == want
+
+
+def test_a_cut_loses_the_far_region_and_adaptive_alpha_keeps_a_way(spark):
+    hub = np.array([(0, 0), (0.1, 0), (0.11, 0.01), (0.12, -0.01), (0.13, 0), (0.105, 0.02), (0.115, -0.02), (-5, 0), (-5.5, 0.5), (-6, 0)], float)
+    got = sorted((r.policy, r["rank"], r.dst, round(r.dist, 6)) for r in experiments.truncation(frame(spark, hub), 0, 9, 4).collect())
+    assert got == [("adaptive", 1, 1, 0.1), ("adaptive", 2, 7, 5.0), ("nearest", 1, 1, 0.1), ("nearest", 2, 5, 0.106888), ("nearest", 3, 2, 0.110454), ("nearest", 4, 6, 0.116726)]
+
+
+def test_the_truncation_query_reads_a_given_table(spark, small):
+    ids = {r.vec_id for r in V.v_emb(spark, small).select("vec_id").collect()}
+    rows = catalogue.QUERIES["w11_truncation"](spark, small).collect()
+    assert {r.dst for r in rows} <= ids and sum(r.policy == "nearest" for r in rows) == 16
+
+
+def test_range_scan_equals_the_pivot_join(spark):
+    p = frame(spark, np.concatenate([points(150, 12, 8) * 0.05, points(20, 12, 8) * 0.05]))
+    key = lambda df: sorted((r.l_id, r.r_id, round(r.dist, 12)) for r in df.collect())
+    assert len(key(exact.range_scan(p, p, 0.2))) > 210 and key(exact.range_scan(p, p, 0.2)) == key(exact.range_join(p, p, 0.2))
+
+
+def test_copies_of_parts_add_members_and_no_pairs(spark, small, tmp_path):
+    part = spark.read.parquet(f"{small}/part.parquet")
+    many = part.unionByName(part.withColumn("p_partkey", F.col("p_partkey") + 100_000)).unionByName(part.withColumn("p_partkey", F.col("p_partkey") + 200_000))
+    many.write.parquet(f"{tmp_path}/part.parquet")
+    one, three = (catalogue.QUERIES["tau_range_join"](spark, str(d)) for d in (small, tmp_path))
+    n = lambda df, kind: df.where(F.col("kind") == kind).count()
+    assert n(three, "member") == 3 * n(one, "member") == 3 * part.count()
+    assert 0 < n(three, "near") <= n(one, "near") + 5
