@@ -398,3 +398,18 @@ def test_copies_of_parts_add_members_and_no_pairs(spark, small, tmp_path):
     n = lambda df, kind: df.where(F.col("kind") == kind).count()
     assert n(three, "member") == 3 * n(one, "member") == 3 * part.count()
     assert 0 < n(three, "near") <= n(one, "near") + 5
+
+
+def test_boxes_find_the_same_neighbours_and_scan_few(spark):
+    x = np.round(points(3000, 3, 9), 2)
+    x[:900] = x[0]
+    p = frame(spark, x)
+    asked = exact.as_queries(p.where("vec_id % 50 = 0").select("vec_id", "embedding").union(frame(spark, [x[0] + 30, x[0] - 30], 9000)))
+    key = lambda df: sorted((r.q_id, r["rank"], r.vec_id, r.dist) for r in df.collect())
+    for k in (1, 10):
+        assert key(exact.exact_knn_boxes(p, asked, k, box_rows=64)) == key(exact.exact_knn(p, asked, k))
+    assert key(exact.exact_knn_boxes(p.limit(4), asked, 10)) == key(exact.exact_knn(p.limit(4), asked, 10))
+    boxes = exact.Boxes(x, 40)
+    own = boxes.of(x)
+    assert ((x <= boxes.high[own]) & (x >= boxes.low[own])).all() and len(boxes.low) > 20
+    assert sum(len(row) for row, _ in boxes.within(x[900:], np.full(2100, 0.05))) < 2100 * 8
