@@ -413,3 +413,19 @@ def test_boxes_find_the_same_neighbours_and_scan_few(spark):
     own = boxes.of(x)
     assert ((x <= boxes.high[own]) & (x >= boxes.low[own])).all() and len(boxes.low) > 20
     assert sum(len(row) for row, _ in boxes.within(x[900:], np.full(2100, 0.05))) < 2100 * 8
+
+
+def test_violations_by_blocks_equal_those_by_joins(spark):
+    alpha, tau = 1.2, 0.1
+    p = stage(frame(spark, np.concatenate([points(60, 2, 4), points(6, 2, 4)])), "checked-points")
+    # A graph with gaps and edges too many, so that every statement is broken somewhere.
+    g = stage(build.full_graph(p, ScaledShiftedBall(1.5, 0.2)).where("(src + dst) % 5 <> 0 AND src <> 7"), "checked-graph")
+    asked = stage(exact.as_queries(p), "checked-queries")
+    dist, pairs = theory.query_distances(p, asked), theory.pair_distances(p)
+    key = lambda df, *c: sorted(tuple(r) for r in df.select(*c).collect())
+    for got, want, c in (
+        (theory.violations(p, g, asked, alpha, tau, "reducible"), theory.reducible_violations(g, dist, alpha, tau), ("q_id", "p")),
+        (theory.violations(p, g, asked, alpha, tau, "shortcut"), theory.shortcut_violations(g, pairs, alpha, tau), ("p", "z")),
+        (theory.close_kept(p, g, 1.01, 0.0), theory.packing_violations(g, pairs, 1.01, 0.0), ("src", "u", "v")),
+    ):
+        assert key(got, *c) == key(want, *c) and key(want, *c)
