@@ -429,3 +429,40 @@ def test_violations_by_blocks_equal_those_by_joins(spark):
         (theory.close_kept(p, g, 1.01, 0.0), theory.packing_violations(g, pairs, 1.01, 0.0), ("src", "u", "v")),
     ):
         assert key(got, *c) == key(want, *c) and key(want, *c)
+
+
+def test_statistics_without_all_pairs_equal_those_of_all_pairs(spark, monkeypatch):
+    monkeypatch.setattr(exact, "BOX_ROWS", 64)
+    monkeypatch.setattr(theory, "SPREAD_BLOCK", 100)
+    for x in (points(700, 3, 1), np.abs(points(500, 4, 2)) ** 3, points(300, 20, 3), points(2, 2, 4), points(1, 2, 4)):
+        p = stage(frame(spark, x), "spread-points")
+        got = theory.spread(p, x.shape[1], theory.share_vectors(p))
+        want = theory.aspect_ratio(p).first()
+        assert got == pytest.approx((want.diameter, want.smallest, experiments.median_nearest(p)), rel=1e-12) if len(x) > 1 else got == (None, None, None)
+    # Different vectors whose distance underflows don't hide the smallest positive distance.
+    tiny = stage(frame(spark, np.array([[0.0, 0.0], [1e-200, 0.0], [3.0, 0.0], [3.0, 4.0]])), "spread-points")
+    assert theory.spread(tiny, 2, None) == (5.0, 3.0, 1.5)
+
+
+@pytest.mark.parametrize("metric", ["l2", "l1", "angular"])
+def test_covers_by_blocks_equal_plain_covers(metric):
+    space = exact.Metric(metric)
+    for x in (points(900, 3, 5), points(500, 40, 6), np.repeat(points(60, 4, 7), 10, axis=0), np.arange(400.0)[:, None] / 8):
+        x = space.prepare(x + 3)
+        for radius in (0.01, 0.125, 0.5, 1.5):
+            left, count = x, 0
+            while len(left):
+                left, count = left[space.rows(left, left[0]) > radius], count + 1
+            assert theory.cover_size(x, radius, space) == count
+            assert theory.cover_size(x, radius, space, count - 1) == count and theory.cover_size(x, radius, space, count) <= count
+
+
+def test_statistics_leave_no_staged_rows(spark, small, monkeypatch):
+    monkeypatch.setattr(V, "VIEWS", {v: V.VIEWS[v] for v in ("v_supp", "v_bench")})
+    from annspark.plans import session
+
+    before = list(session._staged.get(spark.sparkContext.applicationId, []))
+    rows = {r.view: r for r in experiments.dataset_statistics(spark, small).collect()}
+    ext = theory.aspect_ratio(V.v_supp(spark, small)).first()
+    assert (rows["v_supp"].diameter, rows["v_supp"].smallest) == pytest.approx((ext.diameter, ext.smallest)) and rows["v_bench"].dim == 128
+    assert session._staged[spark.sparkContext.applicationId][: len(before)] == before and not any("stat-points" in path for path in session._staged[spark.sparkContext.applicationId][len(before) :])
