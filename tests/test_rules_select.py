@@ -124,3 +124,32 @@ def test_ranking_distances_round_as_fused_sums():
     assert Metric().ranking(*x).tolist() == want
     near, dist = Metric().nearest(x[0][:1], x[1], np.arange(200), 200)
     assert dist[0].tolist() == Metric().ranking(x[0][0], x[1][near[0]]).tolist()
+
+
+def test_few_distance_calls_where_many_are_kept(monkeypatch):
+    calls, rows = [0], Metric.rows
+
+    def counted(self, a, b):
+        calls[0] += 1
+        return rows(self, a, b)
+
+    rng = np.random.default_rng(9)
+    for d, n in ((2, 60), (3, 150), (16, 200), (64, 600)):
+        for scale in (1.0, 1e-4):
+            # On a grid there are ties at the ball's edge.
+            v = np.round(rng.normal(size=(n, d)) * 2) / 2 * scale + 1
+            p = Metric()
+            dist = p.rows(v, np.ones(d))
+            order = np.lexsort((np.arange(n), dist))
+            v, dist = v[order], dist[order]
+            for rule in (UnitBall(), ShiftedBall(0.05 * scale), ScaledBall(1.2), ScaledShiftedBall(1.05, 0.001 * scale)):
+                for cap in (None, 16, 50):
+                    monkeypatch.setattr(Metric, "rows", counted)
+                    calls[0] = 0
+                    got = select_neighbors(dist, v, rule, cap)
+                    monkeypatch.setattr(Metric, "rows", rows)
+                    assert got.kept == scan_pairs(dist, v, rule, cap)[0]
+                    asked = got.kept if cap is None or len(got.kept) < cap else got.kept[:-1]
+                    assert got.pairs == sum(n - 1 - i for i in asked)
+                    if d == 16 and len(asked) > 40:
+                        assert calls[0] < len(asked) / 2
