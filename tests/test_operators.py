@@ -466,3 +466,25 @@ def test_statistics_leave_no_staged_rows(spark, small, monkeypatch):
     ext = theory.aspect_ratio(V.v_supp(spark, small)).first()
     assert (rows["v_supp"].diameter, rows["v_supp"].smallest) == pytest.approx((ext.diameter, ext.smallest)) and rows["v_bench"].dim == 128
     assert session._staged[spark.sparkContext.applicationId][: len(before)] == before and not any("stat-points" in path for path in session._staged[spark.sparkContext.applicationId][len(before) :])
+
+
+def test_invariants_of_insertion_are_broken_where_an_index_is(spark, small, monkeypatch):
+    """Many shards, a wrong distance, a repeated edge and a loop."""
+    monkeypatch.setattr(experiments, "SHARD_POINTS", 200)
+    made = build.build_indexes
+
+    def broken(*args, **kw):
+        rows = made(*args, **kw)
+        first = rows.where("level = 0 AND setting = 'vamana'").agg(F.min("src")).first()[0]
+        at = (F.col("src") == first) & (F.col("setting") == "vamana") & (F.col("level") == 0)
+        nbrs = F.when(at, F.concat(F.array(F.col("src")), F.array(F.col("nbrs")[1]), F.slice("nbrs", 2, 3))).otherwise(F.col("nbrs"))
+        dists = F.when(at, F.concat(F.array(F.lit(0.0)), F.array(F.col("dists")[1]), F.array(F.col("dists")[1] + 1e-6), F.slice("dists", 3, 2))).otherwise(F.col("dists"))
+        return rows.select(*[{"nbrs": nbrs.alias("nbrs"), "dists": dists.alias("dists")}.get(c, F.col(c)) for c in rows.columns])
+
+    query = catalogue.QUERIES["insertion_invariants"]
+    assert {r.violations for r in query(spark, small).collect()} == {0}
+    monkeypatch.setattr(build, "build_indexes", broken)
+    got = {(r.method, r.statement): r.violations for r in query(spark, small).collect() if r.violations}
+    assert got == {("vamana", "loop"): 1, ("vamana", "repeated"): 2, ("vamana", "wrong_distance"): 1}
+    shards = made(V.v_emb(spark, small), {"hnsw": ("hnsw", Params(hnsw_m=8, hnsw_ef=20))}, build.router_for(V.v_emb(spark, small), 200)).agg(F.count_distinct("shard")).first()[0]
+    assert shards > 1
