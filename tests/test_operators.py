@@ -1,4 +1,5 @@
 import struct
+from dataclasses import replace
 
 import numpy as np
 import pytest
@@ -488,3 +489,21 @@ def test_invariants_of_insertion_are_broken_where_an_index_is(spark, small, monk
     assert got == {("vamana", "loop"): 1, ("vamana", "repeated"): 2, ("vamana", "wrong_distance"): 1}
     shards = made(V.v_emb(spark, small), {"hnsw": ("hnsw", Params(hnsw_m=8, hnsw_ef=20))}, build.router_for(V.v_emb(spark, small), 200)).agg(F.count_distinct("shard")).first()[0]
     assert shards > 1
+
+
+def test_swept_settings_equal_indexes_built_alone(spark, monkeypatch):
+    p = stage(frame(spark, np.concatenate([points(300, 3, 1), points(40, 3, 2) + 30])), "swept-points")
+    params = Params(K=12, M=8, L=10, C=40, tau=0.01)
+    settings = {"fixed/1": ("lcg_fixed", replace(params, alpha=1.0)), "fixed/2": ("lcg_fixed", replace(params, tau=0.5)), "adaptive": ("lcg_adaptive", params)}
+    columns = [c for c in build.build_indexes(p, settings).columns if c != "build_s"]
+    key = lambda df: sorted(str(r) for r in df.select(*columns).collect())
+    want = key(build.build_indexes(p, settings))
+    # No task but those of the vertices searches the K-NN graph or selects from candidates.
+    got = build.build_swept(p, settings)
+    assert key(got) == want and got.agg(F.sum("n_repair")).first()[0] > 0
+    # One K-NN graph, exact, also where a shard's own is refined from projections.
+    monkeypatch.setattr("annspark.functions.graphs.EXACT_POINTS", 100)
+    assert key(build.build_swept(p, settings)) == want
+    with pytest.raises(ValueError):
+        build.build_swept(p, {"a": ("lcg_fixed", params), "b": ("lcg_fixed", replace(params, L=20))})
+    assert build.build_swept(frame(spark, points(1, 3)), settings).count() == 3
