@@ -196,3 +196,62 @@ def test_full_rows_measure_few_pairs(monkeypatch):
     monkeypatch.setattr(Metric, "rows", lambda self, a, b: looked.append(len(a)) or rows(self, a, b))
     [(ids, _)] = G.full_graph(x, ScaledShiftedBall(1.05, 0.001), Metric(), np.array([5]))
     assert len(ids) > 5 and sum(looked) < len(x)
+
+
+def _cloud(n: int, dim: int, seed: int = 3) -> np.ndarray:
+    """Points on a coarse grid, so that many distances are equal."""
+    return np.unique(np.round(np.random.default_rng(seed).normal(size=(n, dim)) * 4) / 4, axis=0)
+
+
+@pytest.mark.parametrize("dim, width", [(3, 20), (8, 400)])
+def test_beam_by_products_equals_the_plain_one_and_measures_less(dim, width, monkeypatch):
+    from annspark.functions import beam
+
+    x = _cloud(900, dim)
+    knn, _ = G.exact_knn_graph(x, 40)
+    queries = x[::7] + 0.01
+    measured = [0]
+    rows = Metric.rows
+    monkeypatch.setattr(Metric, "rows", lambda self, a, b: measured.__setitem__(0, measured[0] + len(a)) or rows(self, a, b))
+    got = beam.beam_search(knn, x, queries, 0, width, 10, traces=True)
+    quick, measured[0] = measured[0], 0
+    nearest = beam.beam_search(knn, x, queries, 0, 20, 1, pools=True, most=30).pools
+    monkeypatch.setattr(beam, "COARSE_POINTS", 0)
+    measured[0] = 0
+    plain = beam.beam_search(knn, x, queries, 0, width, 10, traces=True)
+    assert width > 20 or 3 * quick < 2 * measured[0]
+    for f in ("ids", "dist", "ndc", "hops", "edges"):
+        assert np.array_equal(getattr(got, f), getattr(plain, f))
+    assert got.traces == plain.traces
+    for (ids, d), (all_ids, all_d) in zip(nearest, beam.beam_search(knn, x, queries, 0, 20, 1, pools=True).pools):
+        best = np.lexsort((all_ids, all_d))[:30]
+        own = np.lexsort((ids, d))[:30]
+        assert np.array_equal(ids[own], all_ids[best]) and np.array_equal(d[own], all_d[best])
+
+
+def test_methods_over_the_same_candidates_share_a_group():
+    from dataclasses import replace
+
+    from annspark.operators.build import _families
+
+    p = G.Params()
+    settings = {m: (m, p) for m in ("hnsw", "lcg_adaptive", "lcg_fixed", "nsg", "shifted_local", "vamana")}
+    assert _families(settings, 8, 6) == [["lcg_adaptive", "lcg_fixed", "nsg", "shifted_local"], ["hnsw"], ["vamana"]]
+    assert _families(settings, 1, 6) == [[m] for m in settings]
+    assert len(_families({"a": ("nsg", p), "b": ("nsg", replace(p, K=9))}, 8, 6)) == 2
+
+
+@pytest.mark.parametrize("policy", ["unit", "shifted", "fixed"])
+def test_eager_edges_by_additions_equal_whole_selections(policy):
+    x, p, calls = _cloud(400, 3), G.Params(K=30, M=6, C=40, tau=0.05), [0, 0]
+    _, pools = G.prepare_local(x, p)
+
+    def built(number: int, rule):
+        select = G.make_select(policy, p, Metric())
+        first = [select(d, x[ids]).kept for ids, d in pools]
+        near, far = [ids[k].tolist() for (ids, _), k in zip(pools, first)], [d[k].tolist() for (_, d), k in zip(pools, first)]
+        counted = lambda d, v: calls.__setitem__(number, calls[number] + 1) or select(d, v)
+        return G.add_backward_eager(x, near, far, counted, p, rule), near, far
+
+    assert built(0, G.make_rule(policy, p)) == built(1, None)
+    assert 2 * calls[0] < calls[1]

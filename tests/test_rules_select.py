@@ -153,3 +153,26 @@ def test_few_distance_calls_where_many_are_kept(monkeypatch):
                     assert got.pairs == sum(n - 1 - i for i in asked)
                     if d == 16 and len(asked) > 40:
                         assert calls[0] < len(asked) / 2
+
+
+@pytest.mark.parametrize("tau", [0.0, 0.05])
+def test_selections_of_many_points_equal_the_double_loop(tau):
+    from annspark.functions.rules import ScaledBall, ScaledShiftedBall, ShiftedBall
+    from annspark.functions.select import adaptive_many, select_many
+
+    rng = np.random.default_rng(5)
+    x = np.unique(np.round(rng.normal(size=(500, 3)) * 4) / 4, axis=0) + rng.choice([0.0, 1e6])
+    ids, dist = [], []
+    for p in range(0, len(x), 9):
+        d = np.linalg.norm(x - x[p], axis=1)
+        order = np.lexsort((np.arange(len(x)), d))
+        order = order[order != p][: p % 140]
+        ids.append(order)
+        dist.append(d[order])
+    for rule in (UnitBall(), ShiftedBall(tau), ScaledBall(1.2), ScaledShiftedBall(1.1, tau)):
+        for cap in (None, 7):
+            for i, d, got in zip(ids, dist, select_many(x, ids, dist, rule, cap)):
+                assert got.kept == scan_pairs(d, x[i], rule, cap)[0]
+    for reuse in (True, False):
+        for i, d, got in zip(ids, dist, adaptive_many(x, ids, dist, 12, tau=tau, reuse=reuse)):
+            assert got == adaptive_select(d, x[i], 12, tau=tau, reuse=reuse)
