@@ -6,6 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from annspark import catalogue, experiments
+from annspark.functions import graphs as G
 from annspark.functions.graphs import Params
 from annspark.functions.rules import ScaledShiftedBall, ShiftedBall, UnitBall
 from annspark.operators import build, exact, grid, measures, search, theory
@@ -507,3 +508,14 @@ def test_swept_settings_equal_indexes_built_alone(spark, monkeypatch):
     with pytest.raises(ValueError):
         build.build_swept(p, {"a": ("lcg_fixed", params), "b": ("lcg_fixed", replace(params, L=20))})
     assert build.build_swept(frame(spark, points(1, 3)), settings).count() == 3
+
+
+@pytest.mark.parametrize("method", ["lcg_adaptive", "lcg_fixed"])
+def test_one_shard_of_many_points_has_the_exact_graph(spark, method):
+    """Over 20,000 points, from which on a routed shard refines its K-NN graph."""
+    x, params = points(20_200, 6, 3), Params(K=4, M=4, L=4, C=8, start=0)
+    knn, dist = G.exact_knn_graph(x, 4)
+    entry = G.find_entry(x, knn, 4, exact.Metric(), 1, 0)
+    g = G.build(method, x, params, prepared=(entry, G.local_candidates(x, knn, dist, entry, params, exact.Metric())))
+    got = build.build_index(frame(spark, x), method, params).select("src", "nbrs", "is_entry").orderBy("src").toArrow().to_pydict()
+    assert got["nbrs"] == g.neighbors and got["is_entry"].index(True) == entry
