@@ -510,12 +510,22 @@ def test_swept_settings_equal_indexes_built_alone(spark, monkeypatch):
     assert build.build_swept(frame(spark, points(1, 3)), settings).count() == 3
 
 
-@pytest.mark.parametrize("method", ["lcg_adaptive", "lcg_fixed"])
-def test_one_shard_of_many_points_has_the_exact_graph(spark, method):
+@pytest.mark.parametrize("method, backward", [("lcg_adaptive", None), ("lcg_fixed", None), ("nsg", "lazy")])
+def test_one_shard_of_many_points_has_the_exact_graph(spark, method, backward):
     """Over 20,000 points, from which on a routed shard refines its K-NN graph."""
-    x, params = points(20_200, 6, 3), Params(K=4, M=4, L=4, C=8, start=0)
+    x, params = points(20_200, 6, 3), Params(K=4, M=4, L=4, C=8, start=0, backward=backward)
     knn, dist = G.exact_knn_graph(x, 4)
     entry = G.find_entry(x, knn, 4, exact.Metric(), 1, 0)
-    g = G.build(method, x, params, prepared=(entry, G.local_candidates(x, knn, dist, entry, params, exact.Metric())))
+    g = G.build_local(x, params, G.LOCAL[method][0], backward or "lazy", prepared=(entry, G.local_candidates(x, knn, dist, entry, params, exact.Metric())))
     got = build.build_index(frame(spark, x), method, params).select("src", "nbrs", "is_entry").orderBy("src").toArrow().to_pydict()
     assert got["nbrs"] == g.neighbors and got["is_entry"].index(True) == entry
+
+
+@pytest.mark.parametrize("method", ["nsg", "shifted_local", "lcg_adaptive_eager"])
+def test_vertices_built_in_many_tasks_equal_a_shard_built_in_one(spark, method):
+    p = stage(frame(spark, np.concatenate([points(300, 3, 1), points(40, 3, 2) + 30])), "parted-points")
+    columns = ["src", "nbrs", "dists", "is_entry", "n_repair", "steps", "pairs", "selections"]
+    key = lambda df: sorted(str(r) for r in df.select(*columns).collect())
+    for way in (None, "none", "lazy"):
+        params = Params(K=12, M=8, L=10, C=40, tau=0.01, backward=way)
+        assert key(build.build_index(p, method, params)) == key(build.build_indexes(p, {method: (method, params)}))
