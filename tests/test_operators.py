@@ -529,3 +529,31 @@ def test_vertices_built_in_many_tasks_equal_a_shard_built_in_one(spark, method):
     for way in (None, "none", "lazy"):
         params = Params(K=12, M=8, L=10, C=40, tau=0.01, backward=way)
         assert key(build.build_index(p, method, params)) == key(build.build_indexes(p, {method: (method, params)}))
+
+
+def test_checks_of_lists_equal_those_of_edges(spark):
+    """Checks and routes of a graph with a dense middle: as lists it is neither collected nor broadcast, and full rows are those of the plain filter."""
+    alpha, tau, rule = 1.2, 0.05, ScaledShiftedBall(1.2, 0.05)
+    x = np.concatenate([points(250, 3, 4) * 0.06, points(150, 3, 5), np.repeat(points(3, 3, 6), 20, axis=0)])
+    p = stage(frame(spark, x), "listed-points")
+    g, rows = stage(build.full_graph(p, rule), "listed-graph"), stage(build.full_graph(p, rule, lists=True), "listed-rows")
+    key = lambda df, *c: sorted(tuple(r) for r in df.select(*c).collect())
+    edge = ("src", "dst", "dist", "rank")
+    assert key(g, *edge) == key(build.edges_of(rows.selectExpr("0 AS shard", "*", "0 AS level")), *edge)
+    full, plain = G.FullRows(x, rule), G.FullRows(x, rule)
+    plain.few = False
+    for a, b, c in zip(full.rows(np.arange(0, len(x), 7)), plain.rows(np.arange(0, len(x), 7)), full.rows(np.arange(0, len(x), 7), 5)):
+        assert (a[0].tolist(), a[1].tolist(), a[0][:5].tolist()) == (b[0].tolist(), b[1].tolist(), c[0].tolist())
+    assert "balls" in vars(full) and "balls" not in vars(plain)
+    asked = stage(exact.as_queries(p).withColumn("qvec", F.transform("qvec", lambda v: v + 0.01)), "listed-queries")
+    route = ("q_id", "hop", "vec_id", "dist")
+    assert key(search.greedy_routes(p, rows, asked, 3), *route) == key(search.greedy_routes(p, g, asked, 3), *route)
+    some = rows.where("src % 9 <> 4").select("src", F.slice("nbrs", 2, 9).alias("nbrs"), F.slice("dists", 2, 9).alias("dists"))
+    few = g.where("src % 9 <> 4 AND rank BETWEEN 2 AND 10")
+    dist, pairs = theory.query_distances(p, asked), theory.pair_distances(p)
+    for got, want, c in (
+        (theory.violations(p, some, asked, alpha, tau, "reducible"), theory.reducible_violations(few, dist, alpha, tau), ("q_id", "p")),
+        (theory.violations(p, some, exact.as_queries(p), alpha, tau, "shortcut"), theory.shortcut_violations(few, pairs, alpha, tau), ("p", "z")),
+        (theory.close_kept(p, rows, 1.5, 0.01), theory.packing_violations(g, pairs, 1.5, 0.01), ("src", "u", "v")),
+    ):
+        assert key(got, *c) == key(want, *c) and key(want, *c)
